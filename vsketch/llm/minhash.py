@@ -11,6 +11,7 @@ their full sets."""
 from __future__ import annotations
 
 from collections import OrderedDict
+from collections.abc import Callable
 from math import comb
 
 import numpy as np
@@ -192,32 +193,18 @@ def _crossing(pairs: DataFrame, labels: DataFrame) -> DataFrame:
     return pairs.join(one, "a", "left").join(two, "b", "left").filter(F.coalesce("la", "a") != F.coalesce("lb", "b")).select(*pairs.columns)
 
 
-def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85, miss: float = MISS) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept for every row of docs.
-
-    Texts without words (null, empty) have no shingles and no links.  Equal rows share their result; rows
-    that share a doc_id are told apart by text; a null doc_id orders first.  An empty table gives no rows;
-    other columns are ignored."""
-    base, back = unique_ids(docs)
-    rows = band_rows(percent)
-    scan = table(_scan(base, size, rows), "minhash-scan")
-    some = scan.filter("n_shingles > 0")
-    groups = some.groupBy("digest").agg(F.min("doc_id").alias("rep"))
-    placed = table(some.select("doc_id", "digest").join(groups, "digest").select("doc_id", "rep"), "minhash-placed")
-    reps = placed.filter("doc_id = rep").select("doc_id")
-    rows_of = some.select("doc_id", "bands").join(reps, "doc_id").select(F.explode("bands").alias("key"), F.col("doc_id").alias("id"))
-    buckets = rows_of.groupBy("key").agg(F.min("id").alias("center"), F.count("*").alias("n")).filter("n > 1")
-    members = table(rows_of.join(buckets, "key").select("key", "id", "center"), "minhash-members")
-    involved = members.select(F.col("id").alias("doc_id")).distinct()
-    signed = table(_signed(base.join(involved, "doc_id"), size), "minhash-signed")
+def resolve(members: DataFrame, likely_of: Callable[[DataFrame], DataFrame], linked_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """id, label for members of buckets that are joined by links between members of one bucket.
 
+    members: key, id, center (the bucket's smallest id).  likely_of keeps pairs a, b that may be linked and
+    adds agree (a number that is larger for likelier pairs); linked_of keeps those that are."""
     pairs = members.filter("id <> center").select(F.col("center").alias("a"), F.col("id").alias("b")).distinct()
-    tried = table(pairs, "minhash-pairs")
-    likely = table(_likely(tried, signed, percent, miss), "minhash-likely")
+    tried = table(pairs, "near-pairs")
+    likely = table(likely_of(tried), "near-likely")
     best = likely.groupBy("b").agg(F.max_by("a", F.struct("agree", -F.col("a"))).alias("a"))
-    labels = components(table(_linked(best, signed, size, percent), "minhash-links"))
+    labels = components(table(linked_of(best), "near-links"))
     rest = _crossing(likely.select("a", "b").join(best.select("a", "b"), ["a", "b"], "left_anti"), labels)
-    links = table(_linked(rest, signed, size, percent), "minhash-links")
+    links = table(linked_of(rest), "near-links")
     if not links.isEmpty():
         labels = components(links, labels)
 
@@ -226,21 +213,48 @@ def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85, miss: flo
         named = members.join(labels, "id", "left").select("key", "id", F.coalesce("label", "id").alias("label"))
         counts = named.groupBy("key", "label").agg(F.count("*").alias("n"))
         mixed = counts.groupBy("key").agg(F.max_by("label", F.struct("n", "label")).alias("main"), F.count("*").alias("labels")).filter("labels > 1").select("key", "main")
-        named = table(named.join(mixed, "key"), "minhash-mixed")
+        named = table(named.join(mixed, "key"), "near-mixed")
         if named.isEmpty():
             break
         nth = F.row_number().over(Window.partitionBy("key").orderBy("id"))
-        next_ = table(named.filter("label <> main").withColumn("nth", nth).filter(F.col("nth") <= deal).select("key", F.col("id").alias("one"), F.col("label").alias("own")), "minhash-next")
+        next_ = table(named.filter("label <> main").withColumn("nth", nth).filter(F.col("nth") <= deal).select("key", F.col("id").alias("one"), F.col("label").alias("own")), "near-next")
         pairs = named.join(next_, "key").filter("label <> own").select(F.least("id", "one").alias("a"), F.greatest("id", "one").alias("b")).distinct()
-        pairs = table(pairs.join(tried, ["a", "b"], "left_anti"), "minhash-pairs")
+        pairs = table(pairs.join(tried, ["a", "b"], "left_anti"), "near-pairs")
         tried = tried.unionByName(pairs)
-        likely = table(_likely(pairs, signed, percent, miss), "minhash-likely")
-        links = table(_linked(likely, signed, size, percent), "minhash-links")
+        likely = table(likely_of(pairs), "near-likely")
+        links = table(linked_of(likely), "near-links")
         if not links.isEmpty():
             labels = components(links, labels)
         members = named.select("key", "id").join(next_.select("key", F.col("one").alias("id")), ["key", "id"], "left_anti")
         deal *= 4
 
+    return labels
+
+
+def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85, miss: float = MISS) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept for every row of docs.
+
+    Texts without words (null, empty) have no shingles and no links.  Equal rows share their result; rows
+    that share a doc_id are told apart by text; a null doc_id orders first.  An empty table gives no rows;
+    other columns are ignored."""
+    base, back = unique_ids(docs)
+    rows = band_rows(percent)
+    scan = table(_scan(base, size, rows), "minhash-scan")
+    some = scan.filter("n_shingles > 0")
+    groups = some.groupBy("digest").agg(F.min("doc_id").alias("rep"))
+    placed = table(some.select("doc_id", "digest").join(groups, "digest").select("doc_id", "rep"), "minhash-placed")
+    reps = placed.filter("doc_id = rep").select("doc_id")
+    rows_of = some.select("doc_id", "bands").join(reps, "doc_id").select(F.explode("bands").alias("key"), F.col("doc_id").alias("id"))
+    buckets = rows_of.groupBy("key").agg(F.min("id").alias("center"), F.count("*").alias("n")).filter("n > 1")
+    members = table(rows_of.join(buckets, "key").select("key", "id", "center"), "minhash-members")
+    involved = members.select(F.col("id").alias("doc_id")).distinct()
+    signed = table(_signed(base.join(involved, "doc_id"), size), "minhash-signed")
+
+    labels = resolve(
+        members,
+        lambda pairs: _likely(pairs, signed, percent, miss),
+        lambda pairs: _linked(pairs, signed, size, percent),
+    )
     out = scan.select("doc_id", "n_shingles").join(placed, "doc_id", "left").join(labels.select(F.col("id").alias("rep"), "label"), "rep", "left")
     out = out.select("doc_id", "n_shingles", F.coalesce("label", "rep", "doc_id").alias("component_id"))
     return back(out).select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))

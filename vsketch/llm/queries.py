@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontam, fst_bpe, minhash, sharding, substring
+from . import classlm, decontam, fst_bpe, minhash, sharding, spotsigs, substring
 from .common import documents
 
 
@@ -18,10 +18,18 @@ def op2_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontam.report(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"), 10)
 
 
+def op3_classlm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classlm.score(documents(spark, sf_dir))
+
+
 def op4_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.near_duplicates(documents(spark, sf_dir), 3, 85)
 
 
+def op5_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spotsigs.neighbours(documents(spark, sf_dir))
+
+
 def op7_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.removal(documents(spark, sf_dir), 20)
 
@@ -33,7 +41,7 @@ def op8_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_sharding, op2_decontamination, op4_minhash, op7_substring, op8_bpe)}
+    return {f.__name__: f for f in (op1_sharding, op2_decontamination, op3_classlm, op4_minhash, op5_spotsigs, op7_substring, op8_bpe)}
 
 
 WORDS_SQL = r"""regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"""
