@@ -83,3 +83,24 @@ def unique_ids(docs: DataFrame) -> tuple[DataFrame, Callable[[DataFrame], DataFr
         return out.withColumn("copy", F.explode(F.expr("sequence(1, int(count))"))).select(F.col("own_id").alias("doc_id"), *rest)
 
     return rows.select(F.col("uid").alias("doc_id"), "text"), back
+
+
+def without(docs: DataFrame, gone: DataFrame, key: str = "doc_id", most: int = 4_000_000) -> DataFrame:
+    """Rows of docs whose key is not in gone (one long column): by a broadcast array of up to ``most`` keys
+    (32 MB), by an anti join beyond that."""
+    gone = table(gone.select(key).distinct(), "gone")
+    if gone.count() > most:
+        return docs.join(gone, key, "left_anti").select(*docs.columns)
+    import numpy as np
+
+    shared = docs.sparkSession.sparkContext.broadcast(np.sort(np.asarray(gone.toArrow().column(0))))
+    at = docs.columns.index(key)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys = shared.value
+        for batch in batches:
+            own = np.asarray(batch.column(at).cast(pa.int64()))
+            found = keys[np.minimum(np.searchsorted(keys, own), len(keys) - 1)] == own if len(keys) else np.zeros(len(own), bool)
+            yield batch.filter(pa.array(~found))
+
+    return docs.mapInArrow(run, docs.schema)

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_map, column, table, texts, unique_ids
+from .common import arrow_map, column, table, texts, unique_ids, without
 from .substring import rolling, word_hashes
 
 HASHES = 160
@@ -258,3 +258,17 @@ def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85, miss: flo
     out = scan.select("doc_id", "n_shingles").join(placed, "doc_id", "left").join(labels.select(F.col("id").alias("rep"), "label"), "rep", "left")
     out = out.select("doc_id", "n_shingles", F.coalesce("label", "rep", "doc_id").alias("component_id"))
     return back(out).select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
+
+
+def keep_first(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
+    """Rows of docs, all columns: of each component of near-duplicates the row with the smallest doc_id.
+
+    Texts without words have no links and stay.  Where doc_id is null or repeats, rows that agree in doc_id
+    and text become one, and of rows with one doc_id the smaller text goes first."""
+    if not docs.groupBy("doc_id").count().filter("count > 1 or doc_id is null").take(1):
+        return without(docs, near_duplicates(docs, size, percent).filter("not kept").select("doc_id"))
+    columns = docs.columns
+    rows = docs.dropDuplicates(["doc_id", "text"]).orderBy(F.col("doc_id").asc_nulls_first(), F.col("text").asc_nulls_first())
+    rows = table(rows.withColumn("_own_row", F.monotonically_increasing_id()), "rows")
+    found = near_duplicates(rows.select(F.col("_own_row").alias("doc_id"), "text"), size, percent)
+    return without(rows, found.filter("not kept").select(F.col("doc_id").alias("_own_row")), "_own_row").select(*columns)

@@ -6,7 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import classlm, decontam, fst_bpe, minhash, sharding, spotsigs, substring
+from . import classlm, decontam, fst_bpe, minhash, pii, sharding, spotsigs, substring
+from . import quality as grades
 from .common import documents
 
 
@@ -30,6 +31,14 @@ def op5_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spotsigs.neighbours(documents(spark, sf_dir))
 
 
+def _labels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/labels.parquet")
+
+
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return grades.quality(documents(spark, sf_dir), _labels(spark, sf_dir))
+
+
 def op7_substring(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.removal(documents(spark, sf_dir), 20)
 
@@ -40,8 +49,16 @@ def op8_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fst_bpe.report(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
+def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return grades.toxicity(documents(spark, sf_dir), _labels(spark, sf_dir))
+
+
+def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.report(documents(spark, sf_dir))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_sharding, op2_decontamination, op3_classlm, op4_minhash, op5_spotsigs, op7_substring, op8_bpe)}
+    return {f.__name__: f for f in (op1_sharding, op2_decontamination, op3_classlm, op4_minhash, op5_spotsigs, op6_quality, op7_substring, op8_bpe, op9_toxicity, op10_pii)}
 
 
 WORDS_SQL = r"""regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"""
