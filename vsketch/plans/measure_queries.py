@@ -1,3 +1,265 @@
+"""Queries of baselines, measures and experiment workloads."""
+
+from __future__ import annotations
+
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..functions.estimate import std_error
+from ..functions.spec import PORTABLE8, SketchSpec
+from ..operators import balls, baselines, exact, measures, triangles, vst
+from ..sources.build import arcs, canonical
+from ..sources.graphs import graph
+from . import sql as S
+from .graph_queries import ML12, _vst
 from .registry import registry
 
 QUERIES, SQL, add = registry()
+r6 = lambda c: f"round({c}, 6)"
+
+
+def _round(frame: DataFrame) -> DataFrame:
+    return frame.select(*(F.round(c, 6).alias(c) if t == "double" else F.col(c) for c, t in frame.dtypes))
+
+
+def _on(name, run):
+    return lambda s, d: _round(run(graph(s, d, name)))
+
+
+# baselines
+_low = lambda b: f"bit_count({b} & xor({b} + 1, -1::BIGINT))"
+_B16 = SketchSpec(p=4, hash="portable")
+
+
+def _bitmap_layers(k: int) -> list[str]:
+    first = f"SELECT x, i, (1::BIGINT) << ({S.rank('w', _B16)} - 1) AS bits FROM (SELECT x, i, {S.word(chr(39).join(['concat(i, ', '/', ', x)']))} AS w FROM (SELECT DISTINCT x FROM arcs), range(16) t(i))"
+    out = [f"m0 AS MATERIALIZED ({first})"]
+    for t in range(1, k + 1):
+        out.append(f"m{t} AS MATERIALIZED (SELECT x, i, bit_or(bits) AS bits FROM (SELECT * FROM m{t - 1} UNION ALL SELECT y, i, bits FROM arcs JOIN m{t - 1} USING (x)) GROUP BY 1, 2)")
+    return out
+
+
+add("b_balls_bitmap", _on("event_prox60", lambda e: baselines.balls_bitmap(e, 3)), S.head("event_prox60", *_bitmap_layers(3)) + " UNION ALL ".join(f"SELECT x, {t} AS t, round(pow(2.0, avg({_low('bits')}::DOUBLE)) / {baselines.PHI}, 6) AS n_est FROM m{t} GROUP BY x" for t in (1, 2, 3)))
+add("b_balls_global_only", lambda s, d: baselines.balls_global_only(*_vst(s, d, "event_prox60"), 3).select("t", F.round("n_est", 4).alias("n_est")), S.head("event_prox60", *S.layers(3)) + f"SELECT t, round(sum(n_est), 4) AS n_est FROM ({S.locals_(3)}) GROUP BY t")
+_MINS = ", ".join(f"min({S.word('y', i)}) AS m{i}" for i in range(16))
+_SAME = " + ".join(f"CAST(p.m{i} = q.m{i} AS INTEGER)" for i in range(16))
+add("b_minwise_triangles", _on("event_prox300", baselines.minwise_triangles), S.head("event_prox300", S.DEGREE, f"mins AS MATERIALIZED (SELECT x, {_MINS} FROM arcs GROUP BY 1)", f"j AS (SELECT u, v, ({_SAME}) / 16.0::DOUBLE AS j, a.d + b.d AS d FROM e JOIN mins p ON p.x = u JOIN mins q ON q.x = v JOIN deg a ON a.x = u JOIN deg b ON b.x = v)") + "SELECT u, v, round(j / (1 + j) * d, 6) AS t_est FROM j")
+_KEY = "concat(u, '-', v)"
+_TRI_OF = lambda rel: f"SELECT count(*) FROM {rel} e JOIN {rel} f ON e.v = f.u JOIN {rel} g ON g.u = e.u AND g.v = f.v"
+add("b_sample_final", _on("docline", lambda e: baselines.sampled_triangles(e, 0.3)), S.head("docline", f"k AS MATERIALIZED (SELECT u, v FROM e WHERE {S.uniform(_KEY, 1)} < 0.3)") + f"SELECT round(({_TRI_OF('k')}) / pow(0.3, 3), 6) AS t_est")
+add(
+    "b_sample_arrival", _on("docline", lambda e: baselines.sampled_triangles(e, 0.3, mode="arrival")),
+    S.head("docline", f"p AS MATERIALIZED (SELECT u, v, {S.uniform(_KEY, 1001)} AS pos, {S.uniform(_KEY, 1)} < 0.3 AS kept FROM e)", "k AS MATERIALIZED (SELECT u AS x, v AS y, pos FROM p WHERE kept UNION ALL SELECT v, u, pos FROM p WHERE kept)")
+    + "SELECT round(count(*) / pow(0.3, 2), 6) AS t_est FROM p JOIN k a ON a.x = p.u AND a.pos < p.pos JOIN k b ON b.x = p.v AND b.y = a.y AND b.pos < p.pos",
+)
+add("b_reservoir_base", _on("docline", lambda e: baselines.reservoir_base(e, 3000)), S.head("docline", "m AS (SELECT count(*)::DOUBLE AS m FROM e)", f"k AS MATERIALIZED (SELECT u, v FROM (SELECT u, v, {S.uniform(_KEY, 2)} AS p FROM e) ORDER BY p, u, v LIMIT 3000)") + f"SELECT round(({_TRI_OF('k')}) * (CASE WHEN m > 3000 THEN greatest(1.0, m * (m - 1) * (m - 2) / (3000.0::DOUBLE * 2999 * 2998)) ELSE 1.0 END), 6) AS t_est FROM m")
+add("b_reservoir_improved", _on("docline", lambda e: baselines.reservoir_triangles(e, 3000, 4)))
+add("b_reservoir_dynamic", _on("docline", lambda e: baselines.reservoir_triangles(e.withColumn("deleted", F.pmod("u", F.lit(5)) == 0), 3000, 4, variant="dynamic")))
+add("b_reservoir_parallel", _on("docline", lambda e: baselines.reservoir_triangles(e, 1500, 2, workers=4)))
+add("b_reservoir_grouped", _on("docline", lambda e: baselines.reservoir_triangles(e, 1500, 2, groups=3)))
+add("b_weighted_sample", _on("docline", lambda e: baselines.weighted_sample_triangles(e, 0.2, 0.5)))
+add("b_wedges", _on("docline", lambda e: baselines.wedge_triangles(e, 2000)))
+_P64 = SketchSpec(p=6, hash="portable")
+
+
+def _pcsa_sql() -> str:
+    bits = f"SELECT x, CAST(w >> {_P64.q} AS INTEGER) AS j, bit_or((1::BIGINT) << ({S.rank('w', _P64)} - 1)) AS bits FROM (SELECT x, {S.word('y')} AS w FROM arcs) GROUP BY 1, 2"
+    return S.head("copart") + f"SELECT x, round({_P64.r / baselines.PHI!r} * pow(2.0, sum({_low('bits')})::DOUBLE / 64.0), 6) AS n_est FROM ({bits}) GROUP BY x"
+
+
+add("b_bitmap_count", lambda s, d: _round(baselines.pcsa(arcs(graph(s, d, "copart")), "x", F.col("y"), _P64)), _pcsa_sql())
+add("b_kmv", lambda s, d: _round(baselines.kmv(arcs(graph(s, d, "copart")), "x", F.col("y"), 32)), S.head("copart") + f"SELECT x, round(CASE WHEN count(*) < 32 THEN count(*)::DOUBLE ELSE 31.0 / max(h) END, 6) AS n_est FROM (SELECT x, h, row_number() OVER (PARTITION BY x ORDER BY h) AS nth FROM (SELECT DISTINCT x, {S.uniform('y', 0)} AS h FROM arcs)) WHERE nth <= 32 GROUP BY x")
+_MRB = (
+    f"c AS (SELECT DISTINCT x, least({S.rank('w', _P64)}, 8) AS level, CAST(w >> {_P64.q} AS INTEGER) % 64 AS b FROM (SELECT x, {S.word('y')} AS w FROM arcs)), f AS (SELECT x, level, count(*) AS n FROM c GROUP BY 1, 2), "
+    "base AS (SELECT x, least(max(level) + 1, 8) AS base FROM f WHERE n > 0.9 * 64 GROUP BY 1)"
+)
+add("b_multires_bitmap", lambda s, d: _round(baselines.multires_bitmap(arcs(graph(s, d, "copart")), "x", F.col("y"))), S.head("copart", _MRB) + "SELECT x, round(sum(-64.0 * ln((64 - least(n, 63))::DOUBLE / 64.0)) * pow(2.0, max(coalesce(base, 1)) - 1), 6) AS n_est FROM f LEFT JOIN base USING (x) WHERE level >= coalesce(base, 1) GROUP BY x")
+add("b_builtin_hll", lambda s, d: vst.accumulate_builtin(graph(s, d, "copart"), "hll").select("x", F.hll_sketch_estimate("sk").alias("d_est")))
+add("b_builtin_approx", lambda s, d: arcs(graph(s, d, "copart")).groupBy("x").agg(F.approx_count_distinct("y", 0.05).alias("d_est")))
+add("b_exact_distinct", lambda s, d: arcs(graph(s, d, "copart")).groupBy("x").agg(F.countDistinct("y").alias("d")), S.head("copart") + "SELECT x, count(DISTINCT y) AS d FROM arcs GROUP BY x")
+
+
+# measures
+def _ball_errors(s, d, name, k, spec=PORTABLE8):
+    edges, table = _vst(s, d, name, spec)
+    return measures.relative_errors(balls.ball_sizes(edges, table, k).local, exact.balls(edges, k), ["x", "t"], "n_est", "n")
+
+
+_ERR = f"err AS (SELECT t, abs(n_est - n) / n AS err FROM (SELECT l.x, l.t, n_est, n FROM ({S.locals_(3)}) l JOIN (" + " UNION ALL ".join(f"SELECT x, {t} AS t, count(*) AS n FROM b{t} GROUP BY x" for t in (1, 2, 3)) + ") b ON b.x = l.x AND b.t = l.t))"
+add("m_mre_by_hop", lambda s, d: _round(measures.mre(_ball_errors(s, d, "event_prox60", 3), ["t"])), S.head("event_prox60", *S.layers(3), *S.exact_balls(3), _ERR) + "SELECT t, round(avg(err), 6) AS mre, count(*) AS n, CAST(0 AS BIGINT) AS undefined FROM err GROUP BY t")
+
+
+def _trials(s: SparkSession, d: str, name: str, seeds: int, k: int) -> DataFrame:
+    edges = graph(s, d, name)
+    out = None
+    for seed in range(seeds):
+        spec = SketchSpec(p=8, seed=seed)
+        got = balls.ball_sizes(edges, vst.accumulate(edges, spec), k, how="beta").local.withColumn("seed", F.lit(seed))
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+def _bias(s, d):
+    got = measures.bias_sd(_trials(s, d, "event_prox60", 8, 2), exact.balls(graph(s, d, "event_prox60"), 2), ["x", "t"], "n_est", "n")
+    return _round(got.groupBy("t").agg(F.avg("bias").alias("bias"), F.avg("sd").alias("sd")).withColumn("eta", F.lit(std_error(8))))
+
+
+add("m_bias_sd", _bias)
+
+
+def _pr(s, d, name, k, vertex=False, spec=PORTABLE8, how="ie", aware=False):
+    edges, table = _vst(s, d, name, spec)
+    per = balls.shared_table(triangles.edge_triangles(edges, table, how), "per-edge")
+    if vertex:
+        return measures.pr_curve(triangles.vertex_triangles(per), exact.vertex_triangles(edges), ["x"], k, tie_aware=aware)
+    return measures.pr_curve(per, exact.edge_triangles(edges), ["u", "v"], k, tie_aware=aware)
+
+
+def _pr_sql(keys: str, est: str, true: str) -> str:
+    on = " AND ".join(f"f.{c} = h.{c}" for c in keys.split(", "))
+    return (
+        f", h AS (SELECT {keys} FROM {true} ORDER BY t DESC, {keys} LIMIT 100), f AS (SELECT {keys}, row_number() OVER (ORDER BY t_est DESC, {keys}) AS rank FROM {est}), "
+        f"hit AS (SELECT kp AS kprime, count(h.{keys.split(', ')[0]}) AS tp, count(*) AS got FROM range(20, 201, 20) g(kp) JOIN f ON f.rank <= kp LEFT JOIN h ON {on} GROUP BY 1) "
+        f"SELECT 100 AS k, CAST(kprime AS INTEGER) AS kprime, tp, got - tp AS fp, n - tp AS fn, m - got - n + tp AS tn, round(tp / got, 6) AS precision, round(tp / n, 6) AS recall FROM hit, (SELECT count(*) AS n FROM h), (SELECT count(*) AS m FROM {true})"
+    )
+
+
+_V = "per_v AS MATERIALIZED (SELECT x, round(CAST(sum(CAST(t_est AS DECIMAL(28,6))) AS DOUBLE) / 2, 7) AS t_est FROM (SELECT u AS x, t_est FROM per_edge UNION ALL SELECT v, t_est FROM per_edge) GROUP BY 1)"
+add("m_pr_curve_edges", lambda s, d: _round(_pr(s, d, "docline", 100)), (S.head("docline", *S.EDGE_T, S.TRI, S.EXACT_EDGE).rstrip() + _pr_sql("u, v", "per_edge", "exact")))
+add("m_pr_curve_vertices", lambda s, d: _round(_pr(s, d, "docline", 100, vertex=True)), (S.head("docline", *S.EDGE_T, _V, S.TRI, S.EXACT_EDGE, S.EXACT_VERTEX).rstrip() + _pr_sql("x", "per_v", "exact_v")))
+
+
+def _true_density(s, d, name):
+    edges = graph(s, d, name)
+    return exact.intersections(edges, edges).select("u", "v", F.col("inter").cast("long").alias("t"), (F.col("inter") / F.col("n_union")).alias("density"))
+
+
+_DENSE = ["met AS MATERIALIZED (SELECT e.u, e.v, count(b.y) AS t FROM e LEFT JOIN arcs a ON a.x = e.u LEFT JOIN arcs b ON b.x = e.v AND b.y = a.y GROUP BY 1, 2)", "td AS MATERIALIZED (SELECT m.u, m.v, t, t / (p.d + q.d - t) AS density FROM met m JOIN deg p ON p.x = m.u JOIN deg q ON q.x = m.v)"]
+add("m_rank_profile", lambda s, d: _round(measures.rank_profile(_true_density(s, d, "docline"))), S.head("docline", S.DEGREE, *_DENSE) + "SELECT CAST(rank AS INTEGER) AS rank, u, v, t, round(density, 6) AS density FROM (SELECT row_number() OVER (ORDER BY t DESC, u, v) AS rank, * FROM td) WHERE rank <= 10000")
+add("m_tie_profile", lambda s, d: _round(measures.tie_profile(_true_density(s, d, "cosupp"), 100)), S.head("cosupp", S.DEGREE, *_DENSE, "c AS (SELECT t, count(*) AS n FROM td GROUP BY t)", "kth AS (SELECT min(t) AS kth FROM (SELECT t FROM td ORDER BY t DESC LIMIT 100))") + "SELECT kth, (SELECT n FROM c WHERE t = kth) AS ties, (SELECT t FROM c ORDER BY n DESC, t DESC LIMIT 1) AS modal, round((SELECT max(n) / sum(n) FROM c), 6) AS modal_share FROM kth")
+
+
+def _global_error(s, d, name="docline", spec=PORTABLE8):
+    edges, table = _vst(s, d, name, spec)
+    est = triangles.total(triangles.edge_triangles(edges, table, "ie"))
+    return est.crossJoin(exact.global_triangles(edges)).withColumn("error", F.abs(F.col("t_est") - F.col("t")) / F.col("t"))
+
+
+add("m_global_error", lambda s, d: _round(_global_error(s, d)), S.head("docline", *S.EDGE_T, S.TRI) + "SELECT t_est, t, round(abs(t_est - t) / t, 6) AS error FROM (SELECT round(CAST(sum(CAST(t_est AS DECIMAL(28,6))) AS DOUBLE) / 3, 4) AS t_est FROM per_edge), (SELECT count(*) AS t FROM tri)")
+_NZ = "nz AS MATERIALIZED (SELECT x, count(*) AS nz FROM reg GROUP BY x)"
+add("m_vst_bytes", lambda s, d: _round(measures.vst_bytes(_vst(s, d, "copart")[1], graph(s, d, "copart"))), S.head("copart", _NZ) + "SELECT count(*) AS vertices, round(avg(CASE WHEN nz > 64 THEN 1.0 ELSE 0.0 END), 6) AS dense_share, CAST(sum(nz * 4) AS BIGINT) AS sparse_bytes, CAST(count(*) * 256 AS BIGINT) AS dense_bytes, CAST(sum(CASE WHEN nz > 64 THEN 256 ELSE nz * 4 END) AS BIGINT) AS mixed_bytes, (SELECT count(*) * 16 FROM e) AS edge_bytes FROM nz")
+add("m_traffic", lambda s, d: measures.traffic(*_vst(s, d, "cust_supp")), S.head("cust_supp", _NZ) + "SELECT * FROM (SELECT count(*) AS ball_messages, CAST(sum(nz) AS BIGINT) AS ball_rows FROM arcs JOIN nz USING (x)), (SELECT count(*) AS edge_messages, CAST(sum(a.nz) AS BIGINT) AS edge_rows, CAST(sum(least(a.nz, b.nz)) AS BIGINT) AS smaller_rows FROM e JOIN nz a ON a.x = u JOIN nz b ON b.x = v)")
+add(
+    "m_reliability_flags", lambda s, d: _round(measures.reliability_flags(*_vst(s, d, "event_prox60"))),
+    S.head("event_prox60", "pairs AS (SELECT * FROM e)", S.SIDES, S.sizes(), "i AS (SELECT u, v, n_a, n_b, n_union, greatest(0.0, least(n_a + n_b - n_union, n_a, n_b)) AS inter FROM sized)", "j AS (SELECT u, v, greatest(inter + (n_a - inter), inter + (n_b - inter)) / greatest(least(inter + (n_a - inter), inter + (n_b - inter)), 1.0) AS size_ratio, inter / greatest(n_union, 1.0) AS density FROM i)")
+    + "SELECT u, v, round(size_ratio, 6) AS size_ratio, round(density, 6) AS density, size_ratio > 10 OR density < 0.1 AS shaky FROM j",
+)
+
+
+# workloads
+def _each(s, d, names, run):
+    out = None
+    for n in names:
+        got = run(n).select(F.lit(n).alias("graph"), "*")
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
+def w01(s, d, seeds: int = 2, k: int = 3, names=("event_prox60", "geo_tree", "docline")) -> DataFrame:
+    """Mean relative error of ball sizes by graph and hop, over seeds, with the standard error for comparison."""
+
+    def run(n):
+        got = _trials(s, d, n, seeds, k).join(exact.balls(graph(s, d, n), k), ["x", "t"])
+        err = got.groupBy("t", "seed").agg(F.avg(F.abs(F.col("n_est") - F.col("n")) / F.col("n")).alias("mre"))
+        return err.groupBy("t").agg(F.avg("mre").alias("mre")).withColumn("se_line", F.lit(std_error(8)))
+
+    return _round(_each(s, d, names, run))
+
+
+add("w01_ball_mre", w01)
+add("w02_theorem_check", _bias)
+add("w03_edge_precision", lambda s, d: _round(_each(s, d, ("docline", "event_prox300", "event_prox60"), lambda n: _pr(s, d, n, 100, spec=ML12, how="ie_packed", aware=True))))
+add("w04_vertex_precision", lambda s, d: _round(_each(s, d, ("docline", "event_prox300"), lambda n: _pr(s, d, n, 100, vertex=True, spec=ML12, how="ie_packed", aware=True))))
+add("w05_rank_profiles", lambda s, d: _round(_each(s, d, ("docline", "cosupp", "emb_sim"), lambda n: measures.rank_profile(_true_density(s, d, n), 1000))))
+
+
+def w09(s: SparkSession, d: str, trials: int = 40) -> DataFrame:
+    """Inclusion-exclusion against joint likelihood over size ratios, overlaps and register counts: error and negatives."""
+    grid = [(p, a, b, x) for p in (8, 12) for a, b, x in ((100, 100, 100), (100, 100, 20), (100, 100, 5), (5000, 5000, 500), (50000, 500, 100))]
+    cells = s.createDataFrame(grid, "p int, only_a int, only_b int, both int").withColumn("trial", F.explode(F.sequence(F.lit(0), F.lit(trials - 1))))
+
+    def run(pdf):
+        import numpy as np
+        import pandas as pd
+
+        from ..functions.estimate import estimate_array
+        from ..operators.joint import count_arrays, joint_ml
+
+        p, a, b, x = (int(pdf[c].iloc[0]) for c in ("p", "only_a", "only_b", "both"))
+        spec = SketchSpec(p=p)
+
+        def draw(rng, n):
+            out = np.zeros(spec.r, np.uint8)
+            np.maximum.at(out, rng.integers(0, spec.r, n), np.minimum(rng.geometric(0.5, n), spec.q + 1).astype(np.uint8))
+            return out
+
+        ra, rb = [], []
+        for t in pdf.trial:
+            rng = np.random.default_rng([p, a, b, x, int(t)])
+            shared = draw(rng, x)
+            ra.append(np.maximum(draw(rng, a), shared))
+            rb.append(np.maximum(draw(rng, b), shared))
+        ra, rb = np.array(ra), np.array(rb)
+        na, nb, nu = (estimate_array(m) for m in (ra, rb, np.maximum(ra, rb)))
+        naive = na + nb - nu
+        size, _ = joint_ml(count_arrays(ra, rb, spec.q + 1), np.stack([na - naive, nb - naive, naive], 1), spec)
+        return pd.DataFrame({"p": [p], "only_a": [a], "only_b": [b], "both": [x], "mre_naive": [np.abs(naive - x).mean() / x], "mre_ml": [np.abs(size[:, 2] - x).mean() / x], "negatives": [int((naive < 0).sum())]})
+
+    return cells.groupBy("p", "only_a", "only_b", "both").applyInPandas(run, "p int, only_a int, only_b int, both int, mre_naive double, mre_ml double, negatives long")
+
+
+add("w09_intersection_grid", w09)
+
+
+def w10(s, d):
+    """Triangles of a product graph, counted and in closed form (6 T_A T_B)."""
+    one = exact.global_triangles(graph(s, d, "emb_sim")).select((6 * F.col("t") * F.col("t")).alias("closed_form"))
+    return exact.global_triangles(graph(s, d, "kron:emb_sim*emb_sim")).crossJoin(one)
+
+
+add("w10_kron_truth", w10, S.head("emb_sim", S.TRI) + "SELECT 6 * count(*) * count(*) AS t, 6 * count(*) * count(*) AS closed_form FROM tri")
+
+
+def w11(s, d):
+    """Dirty stream (loops, repeats, both directions) against the clean graph: same table, different sums of edges."""
+    rows = s.read.parquet(f"{d}/lineitem.parquet")
+    a = rows.select(F.col("l_orderkey").alias("g"), F.col("l_suppkey").alias("u"))
+    dirty = a.join(a.withColumnRenamed("u", "v"), "g").select("u", "v")
+    raw, clean = vst.accumulate(dirty, PORTABLE8).regs, vst.accumulate(canonical(dirty), PORTABLE8).regs
+    differ = raw.exceptAll(clean).agg(F.count("*").alias("extra")).crossJoin(clean.exceptAll(raw).agg(F.count("*").alias("missing")))
+    return differ.crossJoin(dirty.agg(F.count("*").alias("raw_edges"))).crossJoin(canonical(dirty).agg(F.count("*").alias("edges")))
+
+
+add("w11_idempotence", w11, "SELECT CAST(0 AS BIGINT) AS extra, CAST(0 AS BIGINT) AS missing, (SELECT count(*) FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey) AS raw_edges, (SELECT count(*) FROM (" + S.graph_sql("cosupp") + ")) AS edges")
+add("w13_global_error", lambda s, d: _round(_each(s, d, ("docline", "event_prox300", "event_prox60"), lambda n: _global_error(s, d, n, SketchSpec(p=10)))))
+
+
+def w14(s, d, size: int = 3000):
+    """Total triangles by samplers with as many bytes as the sketch table, and by the table."""
+    e = graph(s, d, "docline")
+    truth = exact.global_triangles(e).first()[0]
+    share = size / max(1, e.count())
+    runs = {
+        "sketch table": triangles.total(triangles.edge_triangles(e, vst.accumulate(e, SketchSpec(p=8)), "ie_packed")), "minwise": baselines.minwise_triangles(e, 16).agg((F.sum("t_est") / 3).alias("t_est")),
+        "edges, final": baselines.sampled_triangles(e, min(1.0, share)), "edges, arrival": baselines.sampled_triangles(e, min(1.0, share), mode="arrival"), "reservoir": baselines.reservoir_base(e, size),
+        "reservoir, improved": baselines.reservoir_triangles(e, size, 1).select("t_est"), "weighted": baselines.weighted_sample_triangles(e, share / 2, share, 1).select("t_est"), "wedges": baselines.wedge_triangles(e, size),
+    }
+    out = None
+    for name, got in runs.items():
+        row = got.select(F.lit(name).alias("method"), F.col("t_est").cast("double").alias("t_est"))
+        out = row if out is None else out.unionByName(row)
+    return _round(out.withColumn("error", F.abs(F.col("t_est") - truth) / truth))
+
+
+add("w14_sampling_equal_bytes", w14)
