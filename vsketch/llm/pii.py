@@ -163,8 +163,8 @@ def expectation_maximisation(patterns: np.ndarray, weight: np.ndarray, rounds: i
     for _ in range(rounds):
         for c, p in ((0, 1 - truth), (1, truth)):
             mass = (weight * p)[:, None]
-            lean = (1.0, 4.0) if c else (4.0, 1.0)  # a weak belief that labelers beat chance
-            right[c] = ((mass * yes).sum(0) + lean[0]) / ((mass * said).sum(0) + 5.0)
+            lean = 4.0 if c else 1.0  # a weak belief that labelers beat chance: four yes of five, or one
+            right[c] = ((mass * yes).sum(0) + lean) / ((mass * said).sum(0) + 5.0)
         prior = ((weight * truth).sum() + 1) / (weight.sum() + 2)
         odds = np.log(prior / (1 - prior)) + (np.where(yes, np.log(right[1] / right[0]), np.log((1 - right[1]) / (1 - right[0]))) * said).sum(1)
         truth = 1 / (1 + np.exp(-np.clip(odds, -30, 30)))
