@@ -98,10 +98,13 @@ def estimate_geo(rank_sum: Column, spec: SketchSpec) -> Column:
     return F.lit(GEO * spec.r) * F.pow(F.lit(2.0), rank_sum / F.lit(float(spec.r)))
 
 
+_POWERS = np.exp2(-np.arange(256.0))
+
+
 def estimate_array(regs: np.ndarray, how: str = "beta") -> np.ndarray:
     """The same for dense registers in NumPy, one row a sketch."""
     r = regs.shape[1]
-    zeros, total = (regs == 0).sum(1).astype(float), np.exp2(-regs.astype(float)).sum(1)
+    zeros, total = (regs == 0).sum(1).astype(float), _POWERS[regs].sum(1)
     if how == "beta":
         return alpha(r) * r * (r - zeros) / (beta_polynomial(zeros, BETA[r.bit_length() - 1]) + total)
     raw = alpha(r) * r * r / total

@@ -31,12 +31,16 @@ def to_bytes(j: np.ndarray, rho: np.ndarray, spec: SketchSpec, dense_only: bool
 def to_dense(modes, data, spec: SketchSpec) -> np.ndarray:
     """Registers of sketches, one row each."""
     out = np.zeros((len(data), spec.r), np.uint8)
-    for i, (mode, raw) in enumerate(zip(modes, data, strict=True)):
-        if mode == DENSE:
-            out[i] = np.frombuffer(raw, np.uint8)
-        elif raw:
-            entries = np.frombuffer(raw, np.uint32)
-            out[i, entries >> np.uint32(8)] = (entries & np.uint32(255)).astype(np.uint8)
+    mode = np.fromiter(modes, np.int8, len(data))
+    full = np.flatnonzero(mode == DENSE)
+    if len(full):
+        out[full] = np.frombuffer(b"".join([data[i] for i in full]), np.uint8).reshape(len(full), spec.r)
+    part = np.flatnonzero(mode == SPARSE)
+    if len(part):
+        raw = [data[i] or b"" for i in part]
+        entries = np.frombuffer(b"".join(raw), np.uint32)
+        row = np.repeat(part, [len(x) // 4 for x in raw])
+        out[row, entries >> np.uint32(8)] = (entries & np.uint32(255)).astype(np.uint8)
     return out
 
 
