@@ -69,7 +69,7 @@ class Units:
 
 
 def pair_counts(docs: DataFrame, units, size: int) -> DataFrame:
-    """a, b, n: how often unit b follows unit a; a text starts and ends at unit 0."""
+    """key, n: how often unit b follows unit a, key = a * size + b; a text starts and ends at unit 0."""
 
     def make():
         own = units.value
@@ -80,12 +80,11 @@ def pair_counts(docs: DataFrame, units, size: int) -> DataFrame:
                 unit = own.read(tokens(text))[1]
                 keys.append(np.r_[0, unit] * size + np.r_[unit, 0])
             key, n = np.unique(np.concatenate(keys), return_counts=True)
-            return {"key": pa.array(key), "n": pa.array(n.astype(np.int64))}
+            return {"key": pa.array(key.astype(np.int32)), "n": pa.array(n.astype(np.int64))}
 
         return step
 
-    got = arrow_map(docs.select("text"), make, "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
-    return got.select((F.col("key") / size).cast("int").alias("a"), (F.col("key") % size).cast("int").alias("b"), "n")
+    return arrow_map(docs.select("text"), make, "key int, n long").groupBy("key").agg(F.sum("n").alias("n"))
 
 
 def _f(x: np.ndarray) -> np.ndarray:
@@ -103,12 +102,12 @@ def exchange(pairs: np.ndarray, classes: int, sweeps: int = 5) -> np.ndarray:
     home[order] = 1 + np.arange(len(order)) % (classes - 1)
     onehot = np.zeros((n_units, classes))
     onehot[np.arange(n_units), home] = 1
-    right, left = pairs @ onehot, pairs.T @ onehot  # counts of each unit before and after each class
+    right, left = (m.astype(np.float64) for m in (pairs @ onehot.astype(np.float32), pairs.T @ onehot.astype(np.float32)))  # counts of each unit before and after each class
     both = onehot.T @ right
     for _ in range(sweeps):
         moved = 0
         for u in order[weight[order] > 0]:
-            a, self_pair = home[u], pairs[u, u]
+            a, self_pair = home[u], float(pairs[u, u])
             r, s = right[u].copy(), left[u].copy()
             r[a] -= self_pair
             s[a] -= self_pair
@@ -140,12 +139,11 @@ def exchange(pairs: np.ndarray, classes: int, sweeps: int = 5) -> np.ndarray:
     return home
 
 
-def score(docs: DataFrame, classes: int = 48, words: int = 2048, groups: int = 512, table_words: int = 200_000, pull: float = 5.0, blend: float = 0.03) -> DataFrame:
+def score(docs: DataFrame, classes: int = 48, words: int = 1500, groups: int = 300, table_words: int = 100_000, pull: float = 5.0, blend: float = 0.03) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of docs.
 
     Null texts count as empty (one token, the end).  A null doc_id counts as the empty string and is trained
-    on.  Rows that share a doc_id are scored each; equal rows are trained on each as often as they stand in
-    docs, unless doc_id repeats, where equal rows count once.  Without training texts all counts are zero.
+    on.  Rows that share a doc_id are scored each, and every row counts in training.  Without training texts all counts are zero.
     ``pull`` smooths transitions towards the unigram share of a class, ``blend`` mixes in the unigram model."""
     base, back = unique_ids(docs)
     original = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
@@ -155,22 +153,24 @@ def score(docs: DataFrame, classes: int = 48, words: int = 2048, groups: int = 5
     total, types = (x or 0 for x in counts.agg(F.sum("n"), F.count("*")).first())
     norm = total + 0.5 * (types + 1)
     real = counts.filter(F.col("word") != END_WORD)
-    known = real.orderBy(F.desc("n"), "word").limit(table_words).collect()  # a fixed bound
+    known = real.orderBy(F.desc("n"), "word").limit(table_words).toArrow()  # a fixed bound
     ends = counts.filter(F.col("word") == END_WORD).select("n").first()
     n_end = ends[0] if ends else 0
-    names, n_known = [r[0].encode() for r in known], np.array([r[1] for r in known], np.float64)
+    names, n_known = known.column("word").cast(pa.binary()).to_pylist(), np.asarray(known.column("n")).astype(np.float64)
     shared = spark.sparkContext.broadcast(units := Units(names, words, groups))
     size = units.size
 
-    got = pair_counts(train, shared, size).toPandas()  # at most size * size rows
-    pairs = np.zeros((size, size))
-    pairs[got["a"], got["b"]] = got["n"]
+    got = pair_counts(train, shared, size).toArrow()  # at most size * size rows of 12 bytes
+    pairs = np.zeros(size * size, np.float32)
+    pairs[np.asarray(got.column("key"))] = np.asarray(got.column("n"))
+    del got
+    pairs = pairs.reshape(size, size)
     home = exchange(pairs, classes)
 
     # unigram mass of each unit: counts and types of all words, those beyond the table by spelling group
     mass = np.bincount(units.unit_of, n_known + 0.5, size) if len(names) else np.zeros(size)
     mass[0] = n_end + 0.5
-    floor = (known[-1][1], known[-1][0]) if len(known) == table_words else None
+    floor = (int(n_known[-1]), names[-1].decode()) if len(names) == table_words else None
 
     def spelling():
         own = shared.value
@@ -188,7 +188,8 @@ def score(docs: DataFrame, classes: int = 48, words: int = 2048, groups: int = 5
             mass[r[0]] += r[1]
     share = np.maximum(np.bincount(home, mass, classes) / norm, 1e-12)
     moves = np.zeros((classes, classes))
-    np.add.at(moves, (home[:, None], home[None, :]), pairs)
+    onehot = (home[:, None] == np.arange(classes)[None, :]).astype(np.float64)
+    moves += onehot.T @ (pairs.astype(np.float64) @ onehot)
     step_p = (moves + pull * share[None, :]) / (moves.sum(1, keepdims=True) + pull)
     gain = np.log10((1 - blend) * step_p / share[None, :] + blend)
     model = spark.sparkContext.broadcast((home, gain, np.log10((n_known + 0.5) / norm), float(np.log10((n_end + 0.5) / norm))))
