@@ -1,22 +1,22 @@
 """Near-duplicate documents: banded MinHash candidates, sequential Bayesian verification, exact check.
 
 Documents with equal shingle sets are one representative.  In each band bucket members are first paired with
-the smallest one only; verified pairs are joined into components, and only members of a bucket that still
-lie in different components are paired further, those outside the bucket's commonest component with the
-rest, until no undecided pair is left.  So no link between different texts is lost to the pairing, and a
-bucket of near copies costs a pair a member.  A candidate is dropped as soon as, after a batch of signature
-values, its chance of reaching the threshold falls under the miss probability; the others are checked on
-their full sets."""
+the bucket's center only, the member that shares most buckets with most others; verified pairs are joined into
+components.  What is left undecided are pairs of a bucket that lie in different components.  For each bucket
+the members outside its commonest component are compared with that component and with one another, in blocks
+of a few hundred whose pairs never become rows: a block yields only links that join components.  So no link
+between different texts is lost, and rows grow with members.  A candidate is dropped as soon as, after a batch
+of signature values, its chance of reaching the threshold falls under the miss probability; the others are
+checked on their full sets."""
 
 from __future__ import annotations
 
-from collections import OrderedDict
 from collections.abc import Callable
 from math import comb
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import arrow_map, column, table, texts, unique_ids, without
@@ -25,6 +25,7 @@ from .substring import rolling, word_hashes
 HASHES = 160
 BATCH = 32
 MISS = 1e-9
+ONE_TASK = 500_000  # links (8 MB) that one task joins into components; more are joined by all tasks
 _RNG = np.random.Generator(np.random.PCG64(20240229))
 _A = (_RNG.integers(0, 1 << 32, HASHES, np.uint64) | np.uint64(1)).astype(np.uint32)[:, None]
 _C = _RNG.integers(0, 1 << 32, HASHES, np.uint64).astype(np.uint32)[:, None]
@@ -96,15 +97,16 @@ def _scan(docs: DataFrame, size: int, rows: int) -> DataFrame:
 
 
 def _signed(docs: DataFrame, size: int) -> DataFrame:
+    """id, sig, items (sorted 64-bit shingle hashes)."""
+
     def make():
         def step(batch):
-            raw = texts(batch)
-            sigs = [signature(shingles(t, size)).tobytes() for t in raw]
-            return {"id": column(batch, "doc_id"), "sig": pa.array(sigs, pa.binary()), "text": pa.array(raw, pa.binary())}
+            found = [shingles(t, size) for t in texts(batch)]
+            return {"id": column(batch, "doc_id"), "sig": pa.array([signature(x).tobytes() for x in found], pa.binary()), "items": pa.array([x.tobytes() for x in found], pa.binary())}
 
         return step
 
-    return arrow_map(docs, make, "id long, sig binary, text binary")
+    return arrow_map(docs, make, "id long, sig binary, items binary")
 
 
 def _likely(pairs: DataFrame, signed: DataFrame, percent: int, miss: float) -> DataFrame:
@@ -129,54 +131,171 @@ def _likely(pairs: DataFrame, signed: DataFrame, percent: int, miss: float) -> D
     return arrow_map(both.select("a", "b", "sig_a", "sig_b"), make, "a long, b long, agree int")
 
 
-def _linked(pairs: DataFrame, signed: DataFrame, size: int, percent: int) -> DataFrame:
-    """Pairs whose full shingle sets reach the threshold."""
-    text = signed.select("id", "text")
-    both = pairs.select("a", "b").join(text.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b").join(text.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a")
+def _linked(pairs: DataFrame, signed: DataFrame, percent: int) -> DataFrame:
+    """Pairs whose full sets reach the threshold."""
+    items = signed.select("id", "items")
+    both = pairs.select("a", "b").join(items.select(F.col("id").alias("b"), F.col("items").alias("items_b")), "b").join(items.select(F.col("id").alias("a"), F.col("items").alias("items_a")), "a")
 
     def make():
-        memory: OrderedDict[int, np.ndarray] = OrderedDict()
-
-        def of(key: int, text: bytes) -> np.ndarray:
-            if (found := memory.get(key)) is None:
-                found = memory[key] = shingles(text, size)
-                if len(memory) > 64:
-                    memory.popitem(last=False)
-            return found
-
         def step(batch):
-            cols = [column(batch, c).to_pylist() for c in ("a", "text_a", "b", "text_b")]
-            keep = []
-            for a, ta, b, tb in zip(*cols, strict=True):
-                one, two = of(a, ta), of(b, tb)
-                both = len(np.intersect1d(one, two, assume_unique=True))
-                keep.append(100 * both >= percent * (len(one) + len(two) - both))
+            keep = [_alike(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), percent) for x, y in zip(column(batch, "items_a").to_pylist(), column(batch, "items_b").to_pylist(), strict=True)]
             kept = pa.array(np.flatnonzero(keep))
             return {"a": column(batch, "a").take(kept), "b": column(batch, "b").take(kept)}
 
         return step
 
-    return arrow_map(both.select("a", "text_a", "b", "text_b"), make, "a long, b long")
+    return arrow_map(both.select("a", "b", "items_a", "items_b"), make, "a long, b long")
+
+
+def _alike(a: np.ndarray, b: np.ndarray, percent: int) -> bool:
+    if 100 * min(len(a), len(b)) < percent * max(len(a), len(b)):
+        return False
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return 100 * both >= percent * (len(a) + len(b) - both)
+
+
+def _shared(one: list[np.ndarray], two: list[np.ndarray], width: int = 4096) -> np.ndarray:
+    """Sizes of all intersections of two lists of sets, by matrix products over stretches of the items."""
+    every = np.unique(np.concatenate(one))
+    out = np.zeros((len(one), len(two)), np.float32)
+
+    def places(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        flat, row = np.concatenate(sets), np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+        at = np.minimum(np.searchsorted(every, flat), len(every) - 1)
+        ok = every[at] == flat
+        at, row = at[ok], row[ok]
+        order = np.argsort(at, kind="stable")
+        return at[order], row[order]
+
+    (at_1, row_1), (at_2, row_2) = places(one), places(two)
+    for lo in range(0, len(every), width):
+        parts = []
+        for at, row, n in ((at_1, row_1, len(one)), (at_2, row_2, len(two))):
+            span = slice(np.searchsorted(at, lo), np.searchsorted(at, lo + width))
+            m = np.zeros((n, width), np.float32)
+            m[row[span], at[span] - lo] = 1
+            parts.append(m)
+        out += parts[0] @ parts[1].T
+    return out
+
+
+def _block_links(one: list[dict], two: list[dict], percent: int, need: list[int] | None) -> list[tuple[int, int]]:
+    """Links between two blocks that join different labels; at most one less than there are labels."""
+    id_1, id_2 = (np.array([r["id"] for r in x], np.int64) for x in (one, two))
+    label_1, label_2 = (np.array([r["label"] for r in x], np.int64) for x in (one, two))
+    both_ways = np.array([r["odd"] for r in two])
+    alive = (label_1[:, None] != label_2[None, :]) & ~(both_ways[None, :] & (id_2[None, :] <= id_1[:, None]))
+    if need is not None and alive.any():
+        sig_1, sig_2 = (np.frombuffer(b"".join(r["sig"] for r in x), np.uint32).reshape(-1, HASHES) for x in (one, two))
+        agree = np.zeros(alive.shape, np.int32)
+        for k, least in enumerate(need):
+            span = slice(k * BATCH, (k + 1) * BATCH)
+            rows = np.flatnonzero(alive.any(1))
+            for i in rows:
+                agree[i] += (sig_2[:, span] == sig_1[i, span]).sum(1)
+            alive &= agree >= least
+            if not alive.any():
+                return []
+    if not alive.any():
+        return []
+    set_1, set_2 = ([np.frombuffer(r["items"], np.uint64) for r in x] for x in (one, two))
+    n_1, n_2 = np.array([len(x) for x in set_1]), np.array([len(x) for x in set_2])
+    rows, cols = np.flatnonzero(alive.any(1)), np.flatnonzero(alive.any(0))
+    if alive.sum() <= 64:
+        hit = [(i, j) for i, j in np.argwhere(alive) if _alike(set_1[i], set_2[j], percent)]
+    else:
+        both = np.rint(_shared([set_1[i] for i in rows], [set_2[j] for j in cols])).astype(np.int64)
+        ok = (100 * both >= percent * (n_1[rows][:, None] + n_2[cols][None, :] - both)) & alive[np.ix_(rows, cols)]
+        hit = [(rows[i], cols[j]) for i, j in np.argwhere(ok)]
+    root: dict[int, int] = {}
+
+    def top(x: int) -> int:
+        while root.get(x, x) != x:
+            x = root[x] = root.get(root[x], root[x])
+        return x
+
+    out = []
+    for i, j in hit:
+        p, q = top(int(label_1[i])), top(int(label_2[j]))
+        if p != q:
+            root[max(p, q)] = min(p, q)
+            out.append((int(id_1[i]), int(id_2[j])))
+    return out
+
+
+def _rest_links(members: DataFrame, labels: DataFrame, signed: DataFrame, percent: int, need: list[int] | None, block: int = 192) -> DataFrame:
+    """Links among members of a bucket (key, id) that lie in different components."""
+    named = members.join(labels, "id", "left").select("key", "id", F.coalesce("label", "id").alias("label"))
+    counts = named.groupBy("key", "label").agg(F.count("*").alias("n"))
+    mixed = counts.groupBy("key").agg(F.max_by("label", F.struct("n", "label")).alias("main"), F.count("*").alias("labels")).filter("labels > 1").select("key", "main")
+    odd = table(named.join(mixed, "key").filter("label <> main").select("main", "id", "label").distinct(), "near-odd")
+    mains = odd.select("main").distinct()
+    ids = members.select("id").distinct().join(labels, "id", "left").select("id", F.coalesce("label", "id").alias("main"))
+    home = ids.join(mains, "main").select("main", "id", F.col("main").alias("label"), F.lit(False).alias("odd"))
+    group = home.unionByName(odd.withColumn("odd", F.lit(True)))
+    sizes = group.groupBy("main").agg(F.ceil(F.count("*") / block).cast("long").alias("blocks"))
+    placed = group.join(sizes, "main").withColumn("part", F.pmod(F.xxhash64("id"), F.col("blocks"))).join(signed, "id")
+    content = F.collect_list(F.struct("id", "label", "odd", "sig", "items"))
+    every = placed.groupBy("main", "part").agg(content.alias("two"))
+    some = placed.filter("odd").select("main", "part", "blocks", "id", "label", "odd", "sig", "items").groupBy("main", "part", "blocks").agg(content.alias("one"))
+    some = some.select("main", "one", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("part"))  # blocks: a 192nd of the members
+    both = some.join(every, ["main", "part"]).select("one", "two")
+
+    def make():
+        def step(batch):
+            links = [x for one, two in zip(column(batch, "one").to_pylist(), column(batch, "two").to_pylist(), strict=True) for x in _block_links(one, two, percent, need)]
+            return {"a": pa.array([x[0] for x in links], pa.int64()), "b": pa.array([x[1] for x in links], pa.int64())}
+
+        return step
+
+    return arrow_map(both, make, "a long, b long")
+
+
+def _roots_at_once(edges: DataFrame) -> DataFrame:
+    """a, root for labels that are not their component's smallest; for up to ONE_TASK edges, in one task."""
+
+    def run(batches):
+        up: dict[int, int] = {}
+
+        def top(x: int) -> int:
+            while (above := up.get(x, x)) != x:
+                up[x] = up.get(above, above)
+                x = above
+            return x
+
+        for batch in batches:
+            for a, b in zip(column(batch, "a").to_pylist(), column(batch, "b").to_pylist(), strict=True):
+                a, b = top(a), top(b)
+                if a != b:
+                    up[max(a, b)] = min(a, b)
+        low = list(up)
+        if low:
+            yield pa.RecordBatch.from_arrays([pa.array(low, pa.int64()), pa.array([top(x) for x in low], pa.int64())], names=["a", "root"])
+
+    return edges.select("a", "b").coalesce(1).mapInArrow(run, "a long, root long")
 
 
 def components(links: DataFrame, labels: DataFrame | None = None) -> DataFrame:
     """id, label (smallest id reachable) of all ends of links and ids of labels; links join whole labels.
 
-    Each label hooks to its smallest neighbour, chains are shortened by pointer jumping, until no link crosses."""
+    Up to ONE_TASK links between labels are joined in one task.  Beyond that each label hooks to its smallest
+    neighbour and chains are shortened by pointer jumping, until so few links cross or none does."""
     edges = links
     if labels is None:
-        labels = table(links.select(F.explode(F.array("a", "b")).alias("id")).distinct().select("id", F.col("id").alias("label")), "labels")
+        labels = links.select(F.explode(F.array("a", "b")).alias("id")).distinct().select("id", F.col("id").alias("label"))
     else:
         one, two = (labels.select(F.col("id").alias(c), F.col("label").alias(f"l{c}")) for c in "ab")
         edges = links.join(one, "a", "left").join(two, "b", "left").select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b"))
         fresh = links.select(F.explode(F.array("a", "b")).alias("id")).distinct().join(labels, "id", "left_anti").select("id", F.col("id").alias("label"))
-        labels = table(labels.unionByName(fresh), "labels")
+        labels = labels.unionByName(fresh)
+    labels = table(labels, "labels")
     while True:
-        edges = table(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), "edges")
-        roots = table(edges.groupBy("a").agg(F.min("b").alias("root")), "roots")
+        edges = table(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b"), "edges")
+        few = edges.count() <= ONE_TASK
+        roots = table(_roots_at_once(edges) if few else edges.groupBy("a").agg(F.min("b").alias("root")), "roots")
         if roots.isEmpty():
             return labels
-        while True:
+        while not few:
             up = roots.select(F.col("a").alias("root"), F.col("root").alias("above"))
             jumped = table(roots.join(up, "root", "left").select("a", F.coalesce("above", "root").alias("root"), F.col("above").isNotNull().alias("moved")), "roots")
             roots = jumped.select("a", "root")
@@ -184,8 +303,10 @@ def components(links: DataFrame, labels: DataFrame | None = None) -> DataFrame:
                 break
         by = roots.select(F.col("a").alias("label"), "root")
         labels = table(labels.join(by, "label", "left").select("id", F.coalesce("root", "label").alias("label")), "labels")
+        if few:
+            return labels
         one, two = (roots.select(F.col("a").alias(c), F.col("root").alias(f"r{c}")) for c in "ab")
-        edges = edges.join(one, "a", "left").join(two, "b", "left").select(F.coalesce("ra", "a").alias("a"), F.coalesce("rb", "b").alias("b"))
+        edges = edges.join(one, "a", "left").join(two, "b", "left").select(F.coalesce("ra", "a").alias("a"), F.coalesce("rb", "b").alias("b")).distinct()
 
 
 def _crossing(pairs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -193,42 +314,24 @@ def _crossing(pairs: DataFrame, labels: DataFrame) -> DataFrame:
     return pairs.join(one, "a", "left").join(two, "b", "left").filter(F.coalesce("la", "a") != F.coalesce("lb", "b")).select(*pairs.columns)
 
 
-def resolve(members: DataFrame, likely_of: Callable[[DataFrame], DataFrame], linked_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+def resolve(members: DataFrame, signed: DataFrame, percent: int, likely_of: Callable[[DataFrame], DataFrame], need: list[int] | None) -> DataFrame:
     """id, label for members of buckets that are joined by links between members of one bucket.
 
-    members: key, id, center (the bucket's smallest id).  likely_of keeps pairs a, b that may be linked and
-    adds agree (a number that is larger for likelier pairs); linked_of keeps those that are."""
-    pairs = members.filter("id <> center").select(F.col("center").alias("a"), F.col("id").alias("b")).distinct()
-    tried = table(pairs, "near-pairs")
-    likely = table(likely_of(tried), "near-likely")
+    members: key, id, n (members of the bucket).  signed: id, sig, items.  likely_of keeps pairs a, b that may be
+    linked and adds agree (larger for likelier pairs); need: least agreement of signatures after each batch."""
+    scores = members.groupBy("id").agg(F.sum("n").alias("score"))
+    centers = members.join(scores, "id").groupBy("key").agg(F.max_by("id", F.struct("score", -F.col("id"))).alias("center"))
+    members = table(members.select("key", "id").join(centers, "key"), "near-members").filter("id <> center")
+    pairs = members.select(F.col("center").alias("a"), F.col("id").alias("b")).distinct()
+    likely = table(likely_of(pairs), "near-likely")
     best = likely.groupBy("b").agg(F.max_by("a", F.struct("agree", -F.col("a"))).alias("a"))
-    labels = components(table(linked_of(best), "near-links"))
-    rest = _crossing(likely.select("a", "b").join(best.select("a", "b"), ["a", "b"], "left_anti"), labels)
-    links = table(linked_of(rest), "near-links")
+    labels = components(table(_linked(best, signed, percent), "near-links"))
+    rest = _crossing(likely.select("a", "b"), labels)
+    links = table(_linked(rest, signed, percent), "near-links")
     if not links.isEmpty():
         labels = components(links, labels)
-
-    members, deal = members.filter("id <> center").select("key", "id"), 16  # pairs with the center are decided
-    while True:
-        named = members.join(labels, "id", "left").select("key", "id", F.coalesce("label", "id").alias("label"))
-        counts = named.groupBy("key", "label").agg(F.count("*").alias("n"))
-        mixed = counts.groupBy("key").agg(F.max_by("label", F.struct("n", "label")).alias("main"), F.count("*").alias("labels")).filter("labels > 1").select("key", "main")
-        named = table(named.join(mixed, "key"), "near-mixed")
-        if named.isEmpty():
-            break
-        nth = F.row_number().over(Window.partitionBy("key").orderBy("id"))
-        next_ = table(named.filter("label <> main").withColumn("nth", nth).filter(F.col("nth") <= deal).select("key", F.col("id").alias("one"), F.col("label").alias("own")), "near-next")
-        pairs = named.join(next_, "key").filter("label <> own").select(F.least("id", "one").alias("a"), F.greatest("id", "one").alias("b")).distinct()
-        pairs = table(pairs.join(tried, ["a", "b"], "left_anti"), "near-pairs")
-        tried = tried.unionByName(pairs)
-        likely = table(likely_of(pairs), "near-likely")
-        links = table(linked_of(likely), "near-links")
-        if not links.isEmpty():
-            labels = components(links, labels)
-        members = named.select("key", "id").join(next_.select("key", F.col("one").alias("id")), ["key", "id"], "left_anti")
-        deal *= 4
-
-    return labels
+    links = table(_rest_links(members.select("key", "id"), labels, signed, percent, need), "near-links")
+    return labels if links.isEmpty() else components(links, labels)
 
 
 def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85, miss: float = MISS) -> DataFrame:
@@ -245,16 +348,11 @@ def near_duplicates(docs: DataFrame, size: int = 3, percent: int = 85, miss: flo
     placed = table(some.select("doc_id", "digest").join(groups, "digest").select("doc_id", "rep"), "minhash-placed")
     reps = placed.filter("doc_id = rep").select("doc_id")
     rows_of = some.select("doc_id", "bands").join(reps, "doc_id").select(F.explode("bands").alias("key"), F.col("doc_id").alias("id"))
-    buckets = rows_of.groupBy("key").agg(F.min("id").alias("center"), F.count("*").alias("n")).filter("n > 1")
-    members = table(rows_of.join(buckets, "key").select("key", "id", "center"), "minhash-members")
+    buckets = rows_of.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
+    members = table(rows_of.join(buckets, "key").select("key", "id", "n"), "minhash-members")
     involved = members.select(F.col("id").alias("doc_id")).distinct()
     signed = table(_signed(base.join(involved, "doc_id"), size), "minhash-signed")
-
-    labels = resolve(
-        members,
-        lambda pairs: _likely(pairs, signed, percent, miss),
-        lambda pairs: _linked(pairs, signed, size, percent),
-    )
+    labels = resolve(members, signed, percent, lambda pairs: _likely(pairs, signed, percent, miss), least_matches(percent, miss))
     out = scan.select("doc_id", "n_shingles").join(placed, "doc_id", "left").join(labels.select(F.col("id").alias("rep"), "label"), "rep", "left")
     out = out.select("doc_id", "n_shingles", F.coalesce("label", "rep", "doc_id").alias("component_id"))
     return back(out).select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))

@@ -128,8 +128,8 @@ def neighbours(docs: DataFrame, part_bytes: int = 16 << 20) -> DataFrame:
     return back(rows.mapInArrow(run, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"))
 
 
-def near_classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
-    """doc_id, class_id: the smallest doc_id reachable over pairs with a likeness of ``threshold`` or more.
+def near_classes(docs: DataFrame, percent: int = 80) -> DataFrame:
+    """doc_id, class_id: the smallest doc_id reachable over pairs with a likeness of ``percent`` hundredths or more.
 
     Equal fingerprints are one representative.  Candidates share one of their rarest signatures within one
     or two neighbouring partitions of set length; a pair is compared only if the lengths allow the threshold."""
@@ -162,32 +162,27 @@ def near_classes(docs: DataFrame, threshold: float = 0.8) -> DataFrame:
     from pyspark.sql import Window
 
     rare = Window.partitionBy("doc_id").orderBy("often", "sig")
-    need = F.col("n") - F.ceil(F.col("n") * threshold - 1e-9) + 1
+    need = F.col("n") - F.ceil(F.col("n") * percent / 100 - 1e-9) + 1
     first = spots.join(often, "sig").withColumn("nth", F.row_number().over(rare)).filter((F.col("nth") <= need) & (F.col("often") > 1))
-    step = -log(threshold) if 0 < threshold < 1 else log(2)
+    step = -log(percent / 100) if percent < 100 else log(2)
     band = F.floor(F.log("n") / F.lit(step)).cast("int")
     keyed = first.select(F.explode(F.array(band, band + 1)).alias("band"), "sig", F.col("doc_id").alias("id")).select(F.xxhash64("band", "sig").alias("key"), "id").distinct()
-    buckets = keyed.groupBy("key").agg(F.min("id").alias("center"), F.count("*").alias("n")).filter("n > 1")
-    members = table(keyed.join(buckets, "key").select("key", "id", "center"), "spots-members")
-    one, two = (reps.select(F.col("doc_id").alias(c), F.col("n").alias(f"n{c}"), F.col("print").alias(f"p{c}")) for c in "ab")
+    buckets = keyed.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
+    members = table(keyed.join(buckets, "key").select("key", "id", "n"), "spots-members")
+    one, two = (reps.select(F.col("doc_id").alias(c), F.col("n").alias(f"n{c}")) for c in "ab")
 
     def likely(pairs: DataFrame) -> DataFrame:
-        fits = F.least("na", "nb") >= F.ceil(F.greatest("na", "nb") * threshold - 1e-9)
-        return pairs.join(one.drop("pa"), "a").join(two.drop("pb"), "b").filter(fits).select("a", "b", F.least("na", "nb").cast("int").alias("agree"))
+        fits = 100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")
+        return pairs.join(one, "a").join(two, "b").filter(fits).select("a", "b", F.least("na", "nb").cast("int").alias("agree"))
 
-    def linked(pairs: DataFrame) -> DataFrame:
-        both = pairs.select("a", "b").join(one, "a").join(two, "b").select("a", "b", "pa", "pb")
-
-        def make():
-            def step(batch):
-                keep = [likeness(parse(x), parse(y)) >= threshold for x, y in zip(column(batch, "pa").to_pylist(), column(batch, "pb").to_pylist(), strict=True)]
-                take = pa.array(np.flatnonzero(keep))
-                return {"a": column(batch, "a").take(take), "b": column(batch, "b").take(take)}
-
-            return step
+    def items():
+        def step(batch):
+            data = [np.sort(_numbered(parse(p))).tobytes() for p in column(batch, "print").to_pylist()]
+            return {"id": column(batch, "doc_id"), "sig": pa.array([b""] * len(data), pa.binary()), "items": pa.array(data, pa.binary())}
 
-        return arrow_map(both, make, "a long, b long")
+        return step
 
-    labels = resolve(members, likely, linked).select(F.col("id").alias("rep"), "label")
+    signed = table(arrow_map(reps, items, "id long, sig binary, items binary"), "spots-items")
+    labels = resolve(members, signed, percent, likely, None).select(F.col("id").alias("rep"), "label")
     out = placed.join(labels, "rep", "left").select("doc_id", F.coalesce("label", "rep").alias("component_id"))
     return back(out).select("doc_id", F.col("component_id").alias("class_id"))
