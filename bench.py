@@ -54,8 +54,8 @@ def headline(spark: SparkSession, root: str) -> dict[str, float]:
         "accumulate_copart": timed(lambda: vst.accumulate(copart, p8).regs),
         "accumulate_builtin_hll_copart": timed(lambda: vst.accumulate_builtin(copart, "hll", 8)),
         "degree_copart": timed(lambda: ready.degree("beta")),
-        "balls_k2_docline": timed(lambda: balls.ball_sizes(docline, doc, 2).total),
-        "balls_k3_event_prox60": timed(lambda: balls.ball_sizes(near, vst.accumulate(near, p8), 3).total),
+        "balls_k2_docline": timed(lambda: balls.ball_sizes(docline, doc, 2, form="auto").total),
+        "balls_k3_event_prox60": timed(lambda: balls.ball_sizes(near, vst.accumulate(near, p8), 3, form="auto").total),
         "edge_triangles_packed_copart": timed(lambda: triangles.total(triangles.edge_triangles(copart, ready, "ie_packed"))),
         "edge_top100_packed_docline": timed(lambda: triangles.top_edges(triangles.edge_triangles(docline, doc, "ie_packed"), 100)),
         "vertex_top100_packed_docline": timed(lambda: triangles.top_vertices(triangles.vertex_triangles(triangles.edge_triangles(docline, doc, "ie_packed")), 100)),

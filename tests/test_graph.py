@@ -49,6 +49,12 @@ def test_ball_sketch_is_the_sketch_of_the_ball(spark):
         assert sorted(map(tuple, want.collect())) == sorted(map(tuple, got.layers[t].collect()))
     same = balls.ball_sizes(edges, table, 3, active="changed")
     assert sorted(map(tuple, same.layers[3].collect())) == sorted(map(tuple, got.layers[3].collect()))
+    for form in ("packed", "auto"):
+        for until_stable in (False, True):
+            other = balls.ball_sizes(edges, table, 3, form=form, until_stable=until_stable)
+            assert sorted(map(tuple, other.layers[3].collect())) == sorted(map(tuple, got.layers[3].collect()))
+            want = {(r["x"], r["t"]): r["n_est"] for r in got.local.collect()}
+            assert {(r["x"], r["t"]): pytest.approx(r["n_est"]) for r in other.local.collect()} == want
     stop = balls.ball_sizes(frame(spark, GRAPHS["triangle"][0]), vst.accumulate(frame(spark, GRAPHS["triangle"][0]), PORTABLE8), 9, until_stable=True)
     assert stop.hops < 3
 

@@ -67,6 +67,8 @@ def test_merge_laws_and_packed_forms(spark):
     assert sorted(map(tuple, packed.unpack(form, spec).collect())) == want
     mixed = packed.pack(parts[0].regs, spec, dense_only=True).unionByName(packed.pack(parts[1].regs, spec)).unionByName(packed.pack(parts[2].regs, spec))
     assert sorted(map(tuple, packed.unpack(packed.merge_packed(mixed, spec), spec).collect())) == want
+    small = packed.merge_packed(mixed, spec, held=3 * spec.r)  # a table of three sketches: ids go on after it is emptied
+    assert sorted(map(tuple, packed.unpack(small, spec).collect())) == want
     a = {r[0]: r[1] for r in packed.measure_packed(form, spec, "beta").collect()}
     b = {r[0]: r[1] for r in whole.degree("beta").collect()}
     assert a.keys() == b.keys() and all(abs(a[x] - b[x]) < 1e-6 for x in a)

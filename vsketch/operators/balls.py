@@ -10,8 +10,11 @@ from pyspark.sql import functions as F
 
 from ..functions.spec import SketchSpec
 from ..sources.build import arcs as both_ways
+from .packed import ball_step_packed, measure_packed, pack, unpack
 from .vst import Vst, measure, merge, registers
 
+PACK_AT = 24  # registers a vertex, about where rows outweigh a binary several times
+
 
 def shared_table(frame: DataFrame, tag: str) -> DataFrame:
     """Write to the folder that driver and executors share and read back: no lineage over hops."""
@@ -52,9 +55,28 @@ def step(layer: DataFrame, arcs: DataFrame, source: DataFrame | None = None, exc
     return merge(sent if exclusive else layer.unionByName(sent), ["x"])
 
 
-def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: str = "linear", active: str = "all", until_stable: bool = False, keep_layers: bool = True, cut_every: int = 1) -> Balls:
+def _filled(layer: DataFrame) -> float:
+    """Registers a vertex has on average."""
+    return layer.groupBy("x").count().agg(F.avg("count")).first()[0] or 0.0
+
+
+def _packed_hops(layer: DataFrame, arcs: DataFrame, spec: SketchSpec, first: int, k: int, how: str, until_stable: bool) -> dict[int, tuple[DataFrame, DataFrame]]:
+    """t -> (x, n_est; registers) of hops first..k, one binary a vertex; every layer is written."""
+    now, out = shared_table(pack(layer, spec), "packed"), {}
+    for t in range(first, k + 1):
+        fresh = shared_table(ball_step_packed(now, arcs, spec, dense_only=False), "packed")
+        if until_stable and fresh.join(now, ["x", "regs"], "left_anti").isEmpty():
+            break
+        out[t] = measure_packed(fresh, spec, how), unpack(fresh, spec)
+        now = fresh
+    return out
+
+
+def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: str = "linear", active: str = "all", until_stable: bool = False, keep_layers: bool = True, cut_every: int = 1, form: str = "rows") -> Balls:
     """Sizes for t = 1..k.
 
+    form: ``rows`` keeps a row a register throughout; ``packed`` goes over to a binary a vertex after the first
+    hop; ``auto`` does so once vertices have PACK_AT registers or more on average.  Registers are the same.
     ball: ``closed`` counts a vertex in its own ball from t = 1; ``as_printed`` starts from open sketches.
     active: ``changed`` lets only registers that grew in the last hop travel (the result is the same).
     until_stable: stop when no register grows.  cut_every: hops between written layers (lineage is cut there)."""
@@ -69,9 +91,17 @@ def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: st
         raise ValueError(f"unknown ball {ball}")
     if k > 1:
         layer, arcs = shared_table(layer, "layer"), shared_table(arcs, "arcs")
+    if form not in ("rows", "packed", "auto") or form == "packed" and (active == "changed" or how == "geo"):
+        raise ValueError(f"form {form} is unknown, or has no {active}, {how}")
     local, layers, delta = measure(layer, ["x"], spec, how).withColumn("t", F.lit(1)), {1: layer}, layer
-    hops = 1
+    hops, may_pack = 1, form == "auto" and active == "all" and how != "geo"
     for t in range(2, k + 1):
+        if form == "packed" or may_pack and _filled(layer) >= PACK_AT:
+            found = _packed_hops(layer, arcs, spec, t, k, how, until_stable)
+            for at, (sizes, regs) in found.items():
+                local = local.unionByName(sizes.withColumn("t", F.lit(at)))
+                layers, hops = {**layers, at: regs} if keep_layers else {at: regs}, at
+            break
         fresh = step(layer, arcs, delta if active == "changed" else None)
         if t < k and t % cut_every == 0 or until_stable or active == "changed":
             fresh = shared_table(fresh, "layer")

@@ -136,9 +136,10 @@ def joint_ml(counts: np.ndarray, start: np.ndarray, spec: SketchSpec, rounds: in
     return size, np.minimum(size * spread, 1e18)
 
 
-def estimate_pairs(a: np.ndarray, b: np.ndarray, spec: SketchSpec, how: str) -> dict[str, np.ndarray]:
-    """inter, a_only, b_only, n_union, se for rows of dense registers."""
-    n_a, n_b, n_u = (estimate_array(x, "beta") for x in (a, b, np.maximum(a, b)))
+def estimate_pairs(a: np.ndarray, b: np.ndarray, spec: SketchSpec, how: str, sizes: tuple[np.ndarray, np.ndarray] | None = None) -> dict[str, np.ndarray]:
+    """inter, a_only, b_only, n_union, se for rows of dense registers; sizes: known estimates of both sets."""
+    n_a, n_b = sizes if sizes is not None else (estimate_array(a, "beta"), estimate_array(b, "beta"))
+    n_u = estimate_array(np.maximum(a, b), "beta")
     naive = n_a + n_b - n_u
     if how == "ie":
         inter = np.clip(naive, 0, np.minimum(n_a, n_b))
@@ -153,17 +154,22 @@ def intersect_packed(pairs: DataFrame, vst: Vst, how: str = "ml", rows: int = 10
     """u, v, inter, a_only, b_only, n_union, se from packed sketches, a batch of pairs at a time.
 
     Vertices without a sketch count as empty sets (the pair is left out)."""
-    spec, packed = vst.spec, pack(vst.regs, vst.spec)
-    one = packed.select(F.col("x").alias("u"), F.col("mode").alias("ma"), F.col("regs").alias("ra"))
-    two = packed.select(F.col("x").alias("v"), F.col("mode").alias("mb"), F.col("regs").alias("rb"))
-    both = pairs.select("u", "v").join(one, "u").join(two, "v").select("u", "v", "ma", "ra", "mb", "rb")
+    spec = vst.spec
+
+    def sized(batches):
+        for batch in batches:
+            yield batch.append_column("n", pa.array(estimate_array(to_dense(batch.column(1), batch.column(2), spec), "beta")))
+
+    packed = pack(vst.regs, spec).select("x", "mode", "regs").mapInArrow(sized, "x long, mode tinyint, regs binary, n double")
+    one, two = (packed.select(F.col("x").alias(c), *(F.col(k).alias(f"{k}_{c}") for k in ("mode", "regs", "n"))) for c in "uv")
+    both = pairs.select("u", "v").join(one, "u").join(two, "v").select("u", "v", "mode_u", "regs_u", "n_u", "mode_v", "regs_v", "n_v")
 
     def run(batches):
         for batch in batches:
             for i in range(0, batch.num_rows, rows):
                 part = batch.slice(i, rows)
-                a, b = (to_dense(part.column(k).to_pylist(), part.column(k + 1).to_pylist(), spec) for k in (2, 4))
-                got = estimate_pairs(a, b, spec, how)
+                a, b = (to_dense(part.column(k), part.column(k + 1), spec) for k in (2, 5))
+                got = estimate_pairs(a, b, spec, how, (np.asarray(part.column(4)), np.asarray(part.column(7))))
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), *(pa.array(x) for x in got.values())], names=["u", "v", *got])
 
     return both.mapInArrow(run, "u long, v long, inter double, a_only double, b_only double, n_union double, se double")

@@ -29,27 +29,35 @@ def to_bytes(j: np.ndarray, rho: np.ndarray, spec: SketchSpec, dense_only: bool
 
 
 def to_dense(modes, data, spec: SketchSpec) -> np.ndarray:
-    """Registers of sketches, one row each."""
-    out = np.zeros((len(data), spec.r), np.uint8)
-    mode = np.fromiter(modes, np.int8, len(data))
-    full = np.flatnonzero(mode == DENSE)
-    if len(full):
-        out[full] = np.frombuffer(b"".join([data[i] for i in full]), np.uint8).reshape(len(full), spec.r)
-    part = np.flatnonzero(mode == SPARSE)
-    if len(part):
-        raw = [data[i] or b"" for i in part]
-        entries = np.frombuffer(b"".join(raw), np.uint32)
-        row = np.repeat(part, [len(x) // 4 for x in raw])
-        out[row, entries >> np.uint32(8)] = (entries & np.uint32(255)).astype(np.uint8)
+    """Registers of sketches, one row each (may be a read-only view)."""
+    n, data = len(data), data.cast(pa.binary()) if isinstance(data, pa.Array) else pa.array(data, pa.binary())
+    if not n:
+        return np.zeros((0, spec.r), np.uint8)
+    offsets, content = data.buffers()[1:]
+    ends = np.frombuffer(offsets, np.int32)[data.offset : data.offset + n + 1]
+    flat = np.frombuffer(content or b"", np.uint8)[ends[0] : ends[-1]]
+    sizes, full = np.diff(ends), np.asarray(modes) == DENSE
+    if full.all():
+        return flat.reshape(n, spec.r)
+    out = np.zeros((n, spec.r), np.uint8)
+    of_full = np.repeat(full, sizes)
+    out[full] = flat[of_full].reshape(-1, spec.r)
+    entries = flat[~of_full].view(np.uint32)
+    row = np.repeat(np.flatnonzero(~full), sizes[~full] // 4)
+    out[row, entries >> np.uint32(8)] = (entries & np.uint32(255)).astype(np.uint8)
     return out
 
 
 def _pack_rows(ids: np.ndarray, regs: np.ndarray, spec: SketchSpec, dense_only: bool) -> pa.RecordBatch:
-    packed = []
-    for row in regs:
-        j = np.flatnonzero(row)
-        packed.append((*to_bytes(j, row[j], spec, dense_only), len(j)))
-    return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([p[0] for p in packed], pa.int8()), pa.array([p[1] for p in packed], pa.binary()), pa.array([p[2] for p in packed], pa.int32())], names=["x", "mode", "regs", "nz"])
+    n, nz = len(ids), np.count_nonzero(regs, axis=1).astype(np.int32)
+    if dense_only or (nz > spec.dense_at * spec.r).all():
+        ends = np.arange(n + 1, dtype=np.int32) * np.int32(spec.r)
+        data = pa.Array.from_buffers(pa.binary(), n, [None, pa.py_buffer(ends), pa.py_buffer(np.ascontiguousarray(regs))])
+        modes = np.full(n, DENSE, np.int8)
+    else:
+        packed = [to_bytes(j := np.flatnonzero(row), row[j], spec) for row in regs]
+        modes, data = np.array([m for m, _ in packed], np.int8), pa.array([d for _, d in packed], pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(modes), data, pa.array(nz)], names=["x", "mode", "regs", "nz"])
 
 
 def pack(regs: DataFrame, spec: SketchSpec, dense_only: bool = False) -> DataFrame:
@@ -75,53 +83,73 @@ def unpack(packed: DataFrame, spec: SketchSpec) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            dense = to_dense(batch.column(1).to_pylist(), batch.column(2).to_pylist(), spec)
+            dense = to_dense(batch.column(1), batch.column(2), spec)
             row, j = np.nonzero(dense)
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row)), pa.array(j.astype(np.int32)), pa.array(dense[row, j].astype(np.int32))], names=["x", "j", "rho"])
 
     return packed.select("x", "mode", "regs").mapInArrow(run, "x long, j int, rho int")
 
 
-def merge_packed(packed: DataFrame, spec: SketchSpec, dense_only: bool = False, salts: int = 8) -> DataFrame:
+def merge_packed(packed: DataFrame, spec: SketchSpec, dense_only: bool = False, salts: int = 8, held: int = 1 << 26) -> DataFrame:
     """One sketch for each x, the register-wise maximum of its rows, sparse and dense mixed.
 
-    Batches merge before the shuffle, then each x in ``salts`` parts, then the parts: a hub's sketches
-    never meet in one task unmerged."""
+    Each task merges before the shuffle in a table of at most ``held`` bytes, then each x in ``salts`` parts,
+    then the parts: a hub's sketches never meet in one task unmerged, and no task holds more than the table."""
+    most = max(2, held // spec.r)
+
+    def combine(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Merges rows with equal x; where the input is sorted by x, every x comes out once."""
+        keys, regs, used, last = np.zeros(0, np.int64), np.zeros((0, spec.r), np.uint8), 0, 0
+        place: dict[int, int] = {}
+
+        def rows(keys: np.ndarray, regs: np.ndarray) -> Iterator[pa.RecordBatch]:
+            for lo in range(0, len(keys), 4096):
+                yield _pack_rows(keys[lo : lo + 4096], regs[lo : lo + 4096], spec, dense_only)
 
-    def reduce(batches):
         for batch in batches:
             if not batch.num_rows:
                 continue
             names = batch.schema.names
-            ids = np.asarray(batch.column(names.index("x")))
-            order = np.argsort(ids, kind="stable")
-            ids = ids[order]
+            order = np.argsort(np.asarray(batch.column(names.index("x"))), kind="stable")
+            batch = batch.take(pa.array(order))
+            ids, modes, data = (batch.column(names.index(c)) for c in ("x", "mode", "regs"))
+            ids = np.asarray(ids)
             at = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]])
-            modes, data = batch.column(names.index("mode")).take(pa.array(order)).to_pylist(), batch.column(names.index("regs")).take(pa.array(order)).to_pylist()
             ends = np.r_[at[1:], len(ids)]
             for lo in range(0, len(at), 512):
-                span = slice(at[lo], ends[min(lo + 511, len(at) - 1)])
-                dense = to_dense(modes[span], data[span], spec)
-                yield _pack_rows(ids[at[lo : lo + 512]], np.maximum.reduceat(dense, at[lo : lo + 512] - at[lo], axis=0), spec, dense_only)
-
-    def once(frame: DataFrame, *keys) -> DataFrame:
-        # sorted by x within a task, so equal ids meet in few batches; the last round is exact by group
-        return frame.repartition(*keys).sortWithinPartitions("x").select("x", "mode", "regs").mapInArrow(reduce, SCHEMA)
-
-    part = packed.select("x", "mode", "regs").mapInArrow(reduce, SCHEMA)
-    part = once(part, F.col("x"), F.pmod(F.xxhash64("regs"), F.lit(salts)))
-
-    def group(table: pa.Table) -> pa.Table:
-        dense = to_dense(table.column("mode").to_pylist(), table.column("regs").to_pylist(), spec)
-        return pa.Table.from_batches([_pack_rows(np.asarray(table.column("x"))[:1], dense.max(0, keepdims=True), spec, dense_only)])
-
-    return part.groupBy("x").applyInArrow(group, SCHEMA)
+                one = at[lo : lo + 512]
+                span = slice(one[0], ends[min(lo + 511, len(at) - 1)])
+                n = int(span.stop - span.start)
+                fresh = np.maximum.reduceat(to_dense(modes.slice(one[0], n), data.slice(one[0], n), spec), one - one[0], axis=0)
+                if used and used + len(one) > most:
+                    # the last id may go on in the next rows: it stays
+                    order = np.r_[0 : place[last], place[last] + 1 : used, place[last]]
+                    keys, regs = keys[order], regs[order]
+                    yield from rows(keys[:-1], regs[:-1])
+                    keys, regs, place, used = keys[-1:], regs[-1:], {last: 0}, 1
+                where = np.empty(len(one), np.int64)
+                for i, x in enumerate(ids[one].tolist()):
+                    where[i] = place.setdefault(x, len(place))
+                if len(place) > len(keys):
+                    grown = max(len(place), 2 * len(keys), 1024)
+                    keys = np.r_[keys, np.zeros(grown - len(keys), np.int64)]
+                    regs = np.vstack([regs, np.zeros((grown - len(regs), spec.r), np.uint8)])
+                used = len(place)
+                keys[where] = ids[one]
+                regs[where] = np.maximum(regs[where], fresh)
+                last = int(ids[one[-1]])
+        yield from rows(keys[:used], regs[:used])
+
+    part = packed.select("x", "mode", "regs").mapInArrow(combine, SCHEMA)
+    if salts > 1:
+        part = part.repartition(F.col("x"), F.pmod(F.xxhash64("regs"), F.lit(salts))).mapInArrow(combine, SCHEMA)
+    return part.repartition("x").sortWithinPartitions("x").mapInArrow(combine, SCHEMA)
 
 
 def measure_packed(packed: DataFrame, spec: SketchSpec, how: str = "beta", name: str = "n_est") -> DataFrame:
     def run(batches):
         for batch in batches:
-            dense = to_dense(batch.column(1).to_pylist(), batch.column(2).to_pylist(), spec)
+            dense = to_dense(batch.column(1), batch.column(2), spec)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(estimate_array(dense, how))], names=["x", name])
 
     return packed.select("x", "mode", "regs").mapInArrow(run, f"x long, {name} double")
