@@ -13,7 +13,7 @@ from ..sources.build import arcs as both_ways
 from .packed import ball_step_packed, measure_packed, pack, unpack
 from .vst import Vst, measure, merge, registers
 
-PACK_AT = 24  # registers a vertex, about where rows outweigh a binary several times
+PACK_AT = 24  # registers, about where rows outweigh a binary several times
 
 
 def shared_table(frame: DataFrame, tag: str) -> DataFrame:
@@ -55,9 +55,10 @@ def step(layer: DataFrame, arcs: DataFrame, source: DataFrame | None = None, exc
     return merge(sent if exclusive else layer.unionByName(sent), ["x"])
 
 
-def _filled(layer: DataFrame) -> float:
-    """Registers a vertex has on average."""
-    return layer.groupBy("x").count().agg(F.avg("count")).first()[0] or 0.0
+def _sent(layer: DataFrame, arcs: DataFrame) -> float:
+    """Registers that an arc carries on average."""
+    nz, d = layer.groupBy("x").agg(F.count("*").alias("nz")), arcs.groupBy("x").agg(F.count("*").alias("d"))
+    return nz.join(d, "x").agg(F.sum(F.col("nz").cast("double") * F.col("d")) / F.sum("d")).first()[0] or 0.0
 
 
 def _packed_hops(layer: DataFrame, arcs: DataFrame, spec: SketchSpec, first: int, k: int, how: str, until_stable: bool) -> dict[int, tuple[DataFrame, DataFrame]]:
@@ -76,7 +77,7 @@ def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: st
     """Sizes for t = 1..k.
 
     form: ``rows`` keeps a row a register throughout; ``packed`` goes over to a binary a vertex after the first
-    hop; ``auto`` does so once vertices have PACK_AT registers or more on average.  Registers are the same.
+    hop; ``auto`` does so once an arc carries PACK_AT registers or more on average.  Registers are the same.
     ball: ``closed`` counts a vertex in its own ball from t = 1; ``as_printed`` starts from open sketches.
     active: ``changed`` lets only registers that grew in the last hop travel (the result is the same).
     until_stable: stop when no register grows.  cut_every: hops between written layers (lineage is cut there)."""
@@ -96,7 +97,7 @@ def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: st
     local, layers, delta = measure(layer, ["x"], spec, how).withColumn("t", F.lit(1)), {1: layer}, layer
     hops, may_pack = 1, form == "auto" and active == "all" and how != "geo"
     for t in range(2, k + 1):
-        if form == "packed" or may_pack and _filled(layer) >= PACK_AT:
+        if form == "packed" or may_pack and _sent(layer, arcs) >= PACK_AT:
             found = _packed_hops(layer, arcs, spec, t, k, how, until_stable)
             for at, (sizes, regs) in found.items():
                 local = local.unionByName(sizes.withColumn("t", F.lit(at)))
