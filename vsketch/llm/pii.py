@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections import Counter
 from math import log2
 
@@ -95,12 +96,18 @@ def candidates(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, i
     low = None if signs else text.lower()
     if not signs and " dot " not in low and "dot)" not in low and "dot]" not in low:
         return list(base)
-    taken = [(a, b) for _, a, b in base]
+    taken: list[list[int]] = []  # base spans, joined where they overlap
+    for a, b in sorted((a, b) for _, a, b in base):
+        if taken and a < taken[-1][1]:
+            taken[-1][1] = max(taken[-1][1], b)
+        else:
+            taken.append([a, b])
     out = list(base)
 
     def add(kind: int, span: tuple[int, int]) -> None:
-        if all(span[1] <= a or span[0] >= b for a, b in taken):
-            taken.append(span)
+        at = bisect_left(taken, [span[1], 0])  # the first taken span that starts at the end of this one or later
+        if not at or taken[at - 1][1] <= span[0]:
+            taken.insert(at, list(span))
             out.append((kind, *span))
 
     if "@" in text or re.search(r"\bdot\b", text, re.I):
