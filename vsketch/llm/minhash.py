@@ -26,6 +26,7 @@ HASHES = 160
 BATCH = 32
 MISS = 1e-9
 ONE_TASK = 500_000  # links (8 MB) that one task joins into components; more are joined by all tasks
+BLOCK_BYTES = 32 << 20  # of items in a block of members, on average
 _RNG = np.random.Generator(np.random.PCG64(20240229))
 _A = (_RNG.integers(0, 1 << 32, HASHES, np.uint64) | np.uint64(1)).astype(np.uint32)[:, None]
 _C = _RNG.integers(0, 1 << 32, HASHES, np.uint64).astype(np.uint32)[:, None]
@@ -233,12 +234,14 @@ def _rest_links(members: DataFrame, labels: DataFrame, signed: DataFrame, percen
     ids = members.select("id").distinct().join(labels, "id", "left").select("id", F.coalesce("label", "id").alias("main"))
     home = ids.join(mains, "main").select("main", "id", F.col("main").alias("label"), F.lit(False).alias("odd"))
     group = home.unionByName(odd.withColumn("odd", F.lit(True)))
-    sizes = group.groupBy("main").agg(F.ceil(F.count("*") / block).cast("long").alias("blocks"))
+    weights = signed.select("id", F.length("items").alias("width"))
+    by_count, by_bytes = F.ceil(F.count("*") / block), F.ceil(F.sum(F.coalesce("width", F.lit(0))) / BLOCK_BYTES)
+    sizes = group.join(weights, "id", "left").groupBy("main").agg(F.greatest(by_count, by_bytes).cast("long").alias("blocks"))
     placed = group.join(sizes, "main").withColumn("part", F.pmod(F.xxhash64("id"), F.col("blocks"))).join(signed, "id")
     content = F.collect_list(F.struct("id", "label", "odd", "sig", "items"))
     every = placed.groupBy("main", "part").agg(content.alias("two"))
     some = placed.filter("odd").select("main", "part", "blocks", "id", "label", "odd", "sig", "items").groupBy("main", "part", "blocks").agg(content.alias("one"))
-    some = some.select("main", "one", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("part"))  # blocks: a 192nd of the members
+    some = some.select("main", "one", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("part"))  # blocks: a 192nd of the members, more for very long texts
     both = some.join(every, ["main", "part"]).select("one", "two")
 
     def make():
