@@ -7,7 +7,9 @@ import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -58,6 +60,17 @@ def texts(batch: pa.RecordBatch, name: str = "text") -> list[bytes]:
     return [x or b"" for x in batch.column(batch.schema.get_field_index(name)).cast(pa.binary()).to_pylist()]
 
 
+def slices(batch: pa.RecordBatch, at: int, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """The batch in order, in slices of at most ``most`` bytes in column ``at`` (a longer text is one alone), so
+    that what a task holds beside the batch doesn't grow with the rows of a batch."""
+    ends = np.cumsum(np.asarray(pc.binary_length(batch.column(at)).fill_null(0)), dtype=np.int64)
+    lo = 0
+    while lo < len(ends):
+        hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + most, "right")))
+        yield batch.slice(lo, hi - lo)
+        lo = hi
+
+
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:
     return batch.column(batch.schema.get_field_index(name))
 
@@ -91,8 +104,6 @@ def without(docs: DataFrame, gone: DataFrame, key: str = "doc_id", most: int = 4
     gone = table(gone.select(key).distinct(), "gone")
     if gone.count() > most:
         return docs.join(gone, key, "left_anti").select(*docs.columns)
-    import numpy as np
-
     shared = docs.sparkSession.sparkContext.broadcast(np.sort(np.asarray(gone.toArrow().column(0))))
     at = docs.columns.index(key)
 

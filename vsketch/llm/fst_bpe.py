@@ -11,10 +11,11 @@ import base64
 import hashlib
 from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import arrow_map, column, texts
+from .common import arrow_map, column, slices, texts
 
 START = -1
 
@@ -255,18 +256,12 @@ def encode(docs: DataFrame, path: str, pattern: str) -> DataFrame:
 
     def run(batches):
         own = codec()
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            ids, ends = [], [0]
-            parts = []
-            for text in batch.column(at).to_pylist():
-                ids = own.encode(text or "")
-                parts.append(pa.array(ids, pa.int32()))
-                ends.append(ends[-1] + len(ids))
-            flat = pa.concat_arrays(parts)
+        for batch in (part for whole in batches for part in slices(whole, at)):
+            parts = [pa.array(own.encode(text or ""), pa.int32()) for text in batch.column(at).to_pylist()]
+            ends = pa.array(np.cumsum([0, *map(len, parts)]), pa.int32())
             kept = [i for i, n in enumerate(batch.schema.names) if n != "tokens"]
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in kept), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), flat)], names=[*(batch.schema.names[i] for i in kept), "tokens"])
+            tokens = pa.ListArray.from_arrays(ends, pa.concat_arrays(parts))
+            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in kept), tokens], names=[*(batch.schema.names[i] for i in kept), "tokens"])
 
     return docs.mapInArrow(run, schema)
 

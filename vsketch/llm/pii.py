@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, column, texts
+from .common import arrow_map, column, slices, texts
 
 KINDS = ("email", "ip", "card", "phone", "secret")
 BASE_KINDS = 4
@@ -302,7 +302,7 @@ def redact(docs: DataFrame) -> DataFrame:
 
     def run(batches):
         find = Finder(shared.value)
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, at)):
             old = batch.column(at).to_pylist()
             new = [x if x is None else masked(x, s) if (s := find(x)[1]) else x for x in old]
             cols = list(batch.columns)

@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import ordinal
+from .common import slices
 
 LEAST_TAIL = 0.1  # rows are rejected only where the model is sure: grades weigh alike in the fit
 
@@ -38,10 +39,9 @@ def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
         import numpy as np
 
         own = shared.value
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, at)):
             latent = np.array([own.latent(x or b"") for x in batch.column(at).cast(pa.binary()).to_pylist()])
-            if len(latent):
-                yield batch.filter(pa.array(own.tails(latent)[:, 0] >= LEAST_TAIL))
+            yield batch.filter(pa.array(own.tails(latent)[:, 0] >= LEAST_TAIL))
 
     return docs.mapInArrow(run, docs.schema)
 
