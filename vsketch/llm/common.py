@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
@@ -43,16 +44,35 @@ def table(frame: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(frame.schema).parquet(path)
 
 
-def arrow_map(frame: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], dict | None]], schema: str) -> DataFrame:
-    """``make()`` runs once a task and returns a function from a batch to columns by name."""
+def tidy(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """The same function, which returns freed memory to the system at its end: a Python worker outlives its
+    task and would keep it beside the next stage's own."""
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+            if trim is not None:
+                trim(0)
+
+    return wrapped
+
+
+def arrow_map(frame: DataFrame, make: Callable[[], Callable[[pa.RecordBatch], dict | None]], schema: str, slice_by: str | None = None) -> DataFrame:
+    """``make()`` runs once a task and returns a function from a batch to columns by name.
+
+    slice_by: a text column; the function gets slices of bounded bytes of it instead of whole batches."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         step = make()
-        for batch in batches:
-            if batch.num_rows and (out := step(batch)) is not None:
-                yield pa.RecordBatch.from_arrays(list(out.values()), names=list(out))
+        for whole in batches:
+            for batch in [whole] if slice_by is None else slices(whole, whole.schema.get_field_index(slice_by)):
+                if batch.num_rows and (out := step(batch)) is not None:
+                    yield pa.RecordBatch.from_arrays(list(out.values()), names=list(out))
 
-    return frame.mapInArrow(run, schema)
+    return frame.mapInArrow(tidy(run), schema)
 
 
 def texts(batch: pa.RecordBatch, name: str = "text") -> list[bytes]:
@@ -114,4 +134,4 @@ def without(docs: DataFrame, gone: DataFrame, key: str = "doc_id", most: int = 4
             found = keys[np.minimum(np.searchsorted(keys, own), len(keys) - 1)] == own if len(keys) else np.zeros(len(own), bool)
             yield batch.filter(pa.array(~found))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)

@@ -15,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import arrow_map, column, slices, texts
+from .common import arrow_map, column, slices, texts, tidy
 
 START = -1
 
@@ -263,7 +263,7 @@ def encode(docs: DataFrame, path: str, pattern: str) -> DataFrame:
             tokens = pa.ListArray.from_arrays(ends, pa.concat_arrays(parts))
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in kept), tokens], names=[*(batch.schema.names[i] for i in kept), "tokens"])
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(tidy(run), schema)
 
 
 def decode(frame: DataFrame, path: str, pattern: str) -> DataFrame:

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, column, table, texts, unique_ids, without
+from .common import arrow_map, column, table, texts, tidy, unique_ids, without
 from .substring import rolling, word_hashes
 
 HASHES = 160
@@ -94,7 +94,7 @@ def _scan(docs: DataFrame, size: int, rows: int) -> DataFrame:
 
         return step
 
-    return arrow_map(docs, make, "doc_id long, n_shingles long, digest binary, bands array<long>")
+    return arrow_map(docs, make, "doc_id long, n_shingles long, digest binary, bands array<long>", "text")
 
 
 def _signed(docs: DataFrame, size: int) -> DataFrame:
@@ -107,7 +107,7 @@ def _signed(docs: DataFrame, size: int) -> DataFrame:
 
         return step
 
-    return arrow_map(docs, make, "id long, sig binary, items binary")
+    return arrow_map(docs, make, "id long, sig binary, items binary", "text")
 
 
 def _likely(pairs: DataFrame, signed: DataFrame, percent: int, miss: float) -> DataFrame:
@@ -275,7 +275,7 @@ def _roots_at_once(edges: DataFrame) -> DataFrame:
         if low:
             yield pa.RecordBatch.from_arrays([pa.array(low, pa.int64()), pa.array([top(x) for x in low], pa.int64())], names=["a", "root"])
 
-    return edges.select("a", "b").coalesce(1).mapInArrow(run, "a long, root long")
+    return edges.select("a", "b").coalesce(1).mapInArrow(tidy(run), "a long, root long")
 
 
 def components(links: DataFrame, labels: DataFrame | None = None) -> DataFrame:

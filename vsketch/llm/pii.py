@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, column, slices, texts
+from .common import arrow_map, column, slices, texts, tidy
 
 KINDS = ("email", "ip", "card", "phone", "secret")
 BASE_KINDS = 4
@@ -312,4 +312,4 @@ def redact(docs: DataFrame) -> DataFrame:
                 cols[chars] = pa.array(n, batch.schema.types[chars])
             yield pa.RecordBatch.from_arrays(cols, names=batch.schema.names)
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)

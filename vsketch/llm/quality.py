@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import ordinal
-from .common import slices
+from .common import slices, tidy
 
 LEAST_TAIL = 0.1  # rows are rejected only where the model is sure: grades weigh alike in the fit
 
@@ -43,7 +43,7 @@ def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
             latent = np.array([own.latent(x or b"") for x in batch.column(at).cast(pa.binary()).to_pylist()])
             yield batch.filter(pa.array(own.tails(latent)[:, 0] >= LEAST_TAIL))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, bound: int = 4000) -> DataFrame:
