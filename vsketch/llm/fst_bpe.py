@@ -202,10 +202,10 @@ class Utf8Stream:
 class Codec:
     """Splits a text by the pattern, encodes each match and decodes ids; remembers up to ``memory`` pieces."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, memory: int = 400_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, memory: int = 400_000, most_states: int = 150_000):
         import regex
 
-        self.fst, self.memory = Transducer(ranks), memory
+        self.fst, self.memory = Transducer(ranks, most_states), memory
         self.pieces = regex.compile(pattern).findall
         self.known: dict[str, tuple[int, ...]] = {}
         self.bytes_of = [b""] * (max(ranks.values(), default=-1) + 1)
@@ -240,16 +240,18 @@ class Codec:
             yield b"", utf8.feed(b"", end=True)
 
 
-def _codec(docs: DataFrame, path: str, pattern: str):
+def _codec(docs: DataFrame, path: str, pattern: str, **bounds: int):
     """The rank file has a fixed size (under 1 MB), so it is broadcast; each task compiles what it meets."""
     with open(path, "rb") as f:
         shared = docs.sparkSession.sparkContext.broadcast(f.read())
-    return lambda: Codec(load_ranks(shared.value), pattern)
+    return lambda: Codec(load_ranks(shared.value), pattern, **bounds)
 
 
-def encode(docs: DataFrame, path: str, pattern: str) -> DataFrame:
-    """All columns of docs and ``tokens`` (array of ids).  A null or empty text has no tokens."""
-    codec, at = _codec(docs, path, pattern), docs.columns.index("text")
+def encode(docs: DataFrame, path: str, pattern: str, memory: int = 50_000, most_states: int = 40_000) -> DataFrame:
+    """All columns of docs and ``tokens`` (array of ids).  A null or empty text has no tokens.
+
+    memory, most_states: pieces and states that a task remembers; they bound its memory and change no result."""
+    codec, at = _codec(docs, path, pattern, memory=memory, most_states=most_states), docs.columns.index("text")
     from pyspark.sql import types as T
 
     schema = T.StructType([f for f in docs.schema if f.name != "tokens"] + [T.StructField("tokens", T.ArrayType(T.IntegerType()))])
