@@ -247,7 +247,7 @@ def _codec(docs: DataFrame, path: str, pattern: str, **bounds: int):
     return lambda: Codec(load_ranks(shared.value), pattern, **bounds)
 
 
-def encode(docs: DataFrame, path: str, pattern: str, memory: int = 50_000, most_states: int = 40_000) -> DataFrame:
+def encode(docs: DataFrame, path: str, pattern: str, memory: int = 150_000, most_states: int = 40_000) -> DataFrame:
     """All columns of docs and ``tokens`` (array of ids).  A null or empty text has no tokens.
 
     memory, most_states: pieces and states that a task remembers; they bound its memory and change no result."""
