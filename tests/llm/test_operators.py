@@ -127,6 +127,33 @@ def test_exchange_finds_alternating_classes():
     assert len({home[i] for i in (1, 3, 5, 7)}) == 1 and len({home[i] for i in (2, 4, 6, 8)}) == 1 and home[1] != home[2]
 
 
+def test_words_beyond_the_head_get_the_class_of_their_contexts(make):
+    # red and sky words alternate; in every spelling group (last three bytes) both kinds stand, so spelling says nothing
+    rng = random.Random(3)
+    a, b = ([f"{k}{i}end" for i in range(30)] for k in "rs")
+    texts = [" ".join(rng.choice(("R1", "R2", *a) if i % 2 else ("S1", "S2", *b)) for i in range(40)) for _ in range(200)]
+    ask = [(10_000 + i, t) for i, t in enumerate(["r3end s4end r5end s6end", "r3end r4end r5end r6end"])]
+    for table_words in (4, 1000):  # words beyond the head in the table, and joined by word
+        got = {r["doc_id"]: r["score"] - r["base_score"] for r in classlm.score(make([*enumerate(texts), *ask]), classes=4, words=4, groups=2, table_words=table_words).collect()}
+        assert got[10_000] > got[10_001] + 1
+
+
+def test_exchange_ends_where_no_unit_moves():
+    rng = np.random.default_rng(5)
+    pairs = rng.poisson(rng.gamma(0.3, 4, (60, 60))).astype(float)
+    home = classlm.exchange(pairs, 6)
+
+    def likelihood(h):
+        hot = (h[:, None] == np.arange(6)).astype(float)
+        both = hot.T @ pairs @ hot
+        return classlm._f(both).sum() - classlm._f(both.sum(0)).sum() - classlm._f(both.sum(1)).sum()
+
+    best = likelihood(home)
+    for u in range(1, 60):
+        for c in range(1, 6):
+            assert likelihood(np.where(np.arange(60) == u, c, home)) <= best + 1e-6
+
+
 def near_truth(texts, size, percent, fold=True):
     sets = []
     for t in texts:

@@ -1,10 +1,12 @@
 """Class-based bigram language model: exchange clustering of words, class transitions, word emissions.
 
-Units to cluster are the commonest words, each on its own, and groups of all other words by spelling, so
-every word has a class and the clustering has a fixed size (``words`` + ``groups`` units) at any input.  The
-emission of a word in its class is its smoothed unigram share of the class, so a text's score is its unigram
-score plus a sum over class transitions.  Counts cover every training text.  The ``table_words`` commonest
-words and their counts are broadcast (a fixed bound); counts of all others are joined by word."""
+The commonest words are units on their own and all others are first pooled in groups by spelling; exchange clustering
+of these ``words`` + ``groups`` units runs until no unit moves.  Then every other word that training holds twice or
+more gets the class of the highest likelihood of its own contexts, counted for each word in Spark; only words seen
+once, or never, keep the class of their spelling group.  Class transitions are counted again with these classes, over
+every training text.  The emission of a word in its class is its smoothed unigram share of the class, so a text's
+score is its unigram score plus a sum over class transitions.  The ``table_words`` commonest words, their counts and
+classes are broadcast (a fixed bound); counts and classes of all others are joined by word."""
 
 from __future__ import annotations
 
@@ -17,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, column, table, texts, unique_ids
+from .common import arrow_map, column, table, texts
 
 END_WORD = ""  # no word is empty
 
@@ -68,30 +70,138 @@ class Units:
         return at, unit, rest
 
 
-def pair_counts(docs: DataFrame, units, size: int) -> DataFrame:
-    """key, n: how often unit b follows unit a, key = a * size + b; a text starts and ends at unit 0."""
+END = np.iinfo(np.int32).min
+
+
+def encode(docs: DataFrame, units) -> DataFrame:
+    """row, doc_id, train, ids, rest for each row of docs: the place of each word in the table, or -1 - g for a word
+    of spelling group g that is not there; these words stand in rest, in order.  row is unique."""
 
     def make():
         own = units.value
 
         def step(batch):
-            keys = []
+            ids, ends, rest, rest_ends = [], [0], [], [0]
             for text in texts(batch):
-                unit = own.read(tokens(text))[1]
-                keys.append(np.r_[0, unit] * size + np.r_[unit, 0])
-            key, n = np.unique(np.concatenate(keys), return_counts=True)
+                at, unit, more = own.read(tokens(text))
+                ids.append(np.where(at < 0, own.words - unit, at).astype(np.int32))
+                ends.append(ends[-1] + len(at))
+                rest += more
+                rest_ends.append(len(rest))
+            flat = pa.array(np.concatenate(ids) if ids else np.zeros(0, np.int32))
+            return {
+                "row": column(batch, "row"), "doc_id": column(batch, "doc_id"), "train": column(batch, "train"), "ids": pa.ListArray.from_arrays(pa.array(ends, pa.int32()), flat),
+                "rest": pa.ListArray.from_arrays(pa.array(rest_ends, pa.int32()), pa.array(rest, pa.binary()).cast(pa.string())),
+            }
+
+        return step
+
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", (~held_out(F.col("doc_id"))).alias("train"))
+    return table(arrow_map(rows, make, "row long, doc_id long, train boolean, ids array<int>, rest array<string>", slice_by="text"), "lm-ids")
+
+
+def chain(batch) -> tuple[np.ndarray, np.ndarray]:
+    """Ids of the batch's texts in one row, END before, between and after them, and the index of each text's END."""
+    ids = column(batch, "ids")
+    ends = np.cumsum(np.diff(np.asarray(ids.offsets)) + 1)
+    flat = np.full(ends[-1] + 1, END, np.int64)
+    inside = np.ones(len(flat), bool)
+    inside[0] = inside[ends] = False
+    flat[inside] = np.asarray(ids.flatten())
+    return flat, ends
+
+
+def looked_up(flat: np.ndarray, of_table: np.ndarray, of_group: np.ndarray, end: int) -> np.ndarray:
+    """A value of each id: by place in the table, by spelling group, or end."""
+    out = np.full(len(flat), end, np.int64)
+    known, rare = flat >= 0, (flat < 0) & (flat != END)
+    out[known] = of_table[flat[known]]
+    out[rare] = of_group[-1 - flat[rare]]
+    return out
+
+
+def pair_counts(encoded: DataFrame, model) -> DataFrame:
+    """key, n: how often value b follows value a, key = a * size + b; a text starts and ends at value 0.
+
+    model: broadcast size, values of the table's words and of the groups; pairs with a negative value are left out."""
+
+    def make():
+        size, of_table, of_group = model.value
+
+        def step(batch):
+            flat, _ = chain(batch)
+            value = looked_up(flat, of_table, of_group, 0)
+            before, after = value[:-1], value[1:]
+            held = (before >= 0) & (after >= 0)
+            key, n = np.unique(before[held] * size + after[held], return_counts=True)
             return {"key": pa.array(key.astype(np.int32)), "n": pa.array(n.astype(np.int64))}
 
         return step
 
-    return arrow_map(docs.select("text"), make, "key int, n long").groupBy("key").agg(F.sum("n").alias("n"))
+    return arrow_map(encoded.select("ids"), make, "key int, n long").groupBy("key").agg(F.sum("n").alias("n"))
+
+
+def contexts(encoded: DataFrame, model, head: int) -> tuple[DataFrame, DataFrame]:
+    """(word, near) of the table's words after the first ``head``, by place, and of all words beyond the table:
+    how often each class stands before the word (key = class) and after it (key = classes + class)."""
+
+    size = 2 * model.value[0]
+
+    def packed(word, key):
+        """Word number and its contexts (count * size + key), one row a word."""
+        found, n = np.unique(word * size + key, return_counts=True)
+        word, first = np.unique(found // size, return_index=True)
+        return word, pa.ListArray.from_arrays(pa.array(np.r_[first, len(found)].astype(np.int32)), pa.array(n * size + found % size))
+
+    def around(home, at):
+        return np.concatenate([home[at - 1], size // 2 + home[at + 1]])
+
+    def of_table():
+        _, own, groups = model.value
+
+        def step(batch):
+            flat, _ = chain(batch)
+            at = np.flatnonzero(flat >= head)
+            word, near = packed(np.tile(flat[at], 2), around(looked_up(flat, own, groups, 0), at))
+            return {"word": pa.array(word), "near": near}
+
+        return step
+
+    def beyond():
+        _, own, groups = model.value
+
+        def step(batch):
+            flat, _ = chain(batch)
+            at = np.flatnonzero((flat < 0) & (flat != END))
+            words = column(batch, "rest").flatten().dictionary_encode()
+            word, near = packed(np.tile(np.asarray(words.indices).astype(np.int64), 2), around(looked_up(flat, own, groups, 0), at))
+            return {"word": words.dictionary.take(pa.array(word)), "near": near}
+
+        return step
+
+    def near(make, kind, *cols):
+        rows = arrow_map(encoded.select(*cols), make, f"word {kind}, near array<long>").repartition("word").select("word", F.explode("near").alias("code"))
+        rows = rows.select("word", F.pmod("code", F.lit(size)).cast("int").alias("key"), F.expr(f"code div {size}").alias("n"))
+        return rows.groupBy("word", "key").agg(F.sum("n").alias("n")).groupBy("word").agg(F.collect_list(F.struct("key", "n")).alias("near"))
+
+    return near(of_table, "long", "ids"), near(beyond, "string", "ids", "rest")
+
+
+def likeliest(near: pa.Array, gain: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Count of each word and the class of the highest likelihood of what stands around it; class 0 is the end's."""
+    classes = len(gain)
+    flat = near.flatten()
+    held = np.zeros((len(near), 2 * classes))
+    np.add.at(held, (np.repeat(np.arange(len(near)), np.diff(np.asarray(near.offsets))), np.asarray(flat.field("key"))), np.asarray(flat.field("n")))
+    value = held[:, :classes] @ gain + held[:, classes:] @ gain.T
+    return held[:, :classes].sum(1).astype(np.int64), 1 + value[:, 1:].argmax(1)
 
 
 def _f(x: np.ndarray) -> np.ndarray:
     return x * np.log(np.maximum(x, 1.0))
 
 
-def exchange(pairs: np.ndarray, classes: int, sweeps: int = 5) -> np.ndarray:
+def exchange(pairs: np.ndarray, classes: int) -> np.ndarray:
     """Class of each unit: moves one unit at a time to the class of the highest likelihood, until none moves.
 
     pairs: units x units counts.  Unit 0, the end of a text, keeps class 0 to itself."""
@@ -102,9 +212,11 @@ def exchange(pairs: np.ndarray, classes: int, sweeps: int = 5) -> np.ndarray:
     home[order] = 1 + np.arange(len(order)) % (classes - 1)
     onehot = np.zeros((n_units, classes))
     onehot[np.arange(n_units), home] = 1
-    right, left = (m.astype(np.float64) for m in (pairs @ onehot.astype(np.float32), pairs.T @ onehot.astype(np.float32)))  # counts of each unit before and after each class
+    right, left = (pairs @ onehot, pairs.T @ onehot)  # counts of each unit before and after each class
     both = onehot.T @ right
-    for _ in range(sweeps):
+    least = 1e-9 + 1e-12 * float(_f(pairs.sum()))  # beyond rounding
+    moved = 1
+    while moved:  # each move raises the likelihood, so it ends
         moved = 0
         for u in order[weight[order] > 0]:
             a, self_pair = home[u], float(pairs[u, u])
@@ -119,11 +231,11 @@ def exchange(pairs: np.ndarray, classes: int, sweeps: int = 5) -> np.ndarray:
             grown_r, grown_s = _f(rest + r[None, :]) - flat, _f(rest + s[:, None]) - flat
             diag = np.diagonal(rest)
             gain = grown_r.sum(1) - np.diagonal(grown_r) + grown_s.sum(0) - np.diagonal(grown_s) + _f(diag + r + s + self_pair) - _f(diag)
-            before, after = rest.sum(1), rest.sum(0)
+            before, after = rest.sum(1) + s, rest.sum(0) + r  # what stands before or after u counts wherever u goes
             gain -= _f(before + r.sum() + self_pair) - _f(before) + _f(after + s.sum() + self_pair) - _f(after)
             gain[0] = -np.inf
             b = int(np.argmax(gain))
-            if b == a or gain[b] <= gain[a] + 1e-9:
+            if b == a or gain[b] <= gain[a] + least:
                 continue
             moved += 1
             rest[b] += r
@@ -134,93 +246,169 @@ def exchange(pairs: np.ndarray, classes: int, sweeps: int = 5) -> np.ndarray:
             right[:, b] += pairs[:, u]
             left[:, a] -= pairs[u]
             left[:, b] += pairs[u]
-        if not moved:
-            break
     return home
 
 
+def counted(pairs: DataFrame, size: int) -> np.ndarray:
+    got = pairs.toArrow()
+    out = np.zeros(size * size)
+    out[np.asarray(got.column("key"))] = np.asarray(got.column("n"))
+    return out.reshape(size, size)
+
+
+def gains(moves: np.ndarray, share: np.ndarray, pull: float, blend: float) -> np.ndarray:
+    """Log of how much likelier a class is after a class than by itself."""
+    step_p = (moves + pull * share[None, :]) / (moves.sum(1, keepdims=True) + pull)
+    return np.log10((1 - blend) * step_p / share[None, :] + blend)
+
+
+def rare_links(encoded: DataFrame, rare: DataFrame, model, norm: float) -> DataFrame:
+    """row, train, keys, rest, rest_known of each text with words beyond the table: its class transitions into and
+    out of them (class * classes + next class), their base score, and how many training holds."""
+
+    base = model.value[0] + 1
+
+    def make():
+        _, own, groups = model.value
+
+        def step(batch):
+            flat, ends = chain(batch)
+            home = looked_up(flat, own, np.full(len(groups), -1), 0)
+            at = np.flatnonzero((flat < 0) & (flat != END))
+            doc = 2 * np.asarray(column(batch, "row")) + np.asarray(column(batch, "train")).astype(np.int64)
+            mark = ((at * base + groups[-1 - flat[at]]) * base + home[at - 1] + 1) * base + home[at + 1] + 1  # place, own group's class, classes before and after
+            return {"doc": pa.array(doc[np.searchsorted(ends, at)]), "word": column(batch, "rest").flatten(), "mark": pa.array(mark)}
+
+        return step
+
+    def link():
+        def step(batch):
+            marks = column(batch, "marks")
+            flat = marks.flatten()
+            mark, own, n = (np.asarray(flat.field(k)).astype(np.int64) for k in ("mark", "class", "n"))
+            text = np.repeat(np.arange(len(marks)), np.diff(np.asarray(marks.offsets)))
+            order = np.lexsort((mark, text))
+            text, mark, own, n = text[order], mark[order], own[order], n[order]
+            own = np.where(own < 0, mark // base**2 % base, own)  # not in training
+            before, after = mark // base % base - 1, mark % base - 1
+            before = np.where(before < 0, np.r_[0, own[:-1]], before)  # the word before is also beyond the table
+            out = after >= 0
+            key, of = np.r_[before * (base - 1) + own, (own * (base - 1) + after)[out]], np.r_[text, text[out]]
+            ends = np.r_[0, np.cumsum(np.bincount(of, minlength=len(marks)))].astype(np.int32)
+            keys = pa.ListArray.from_arrays(pa.array(ends), pa.array(key[np.argsort(of, kind="stable")].astype(np.int32)))
+            doc = np.asarray(column(batch, "doc"))
+            rest = np.bincount(text, np.log10((n + 0.5) / norm), len(marks))
+            return {"row": pa.array(doc // 2), "train": pa.array(doc % 2 == 1), "keys": keys, "rest": pa.array(rest), "rest_known": pa.array(np.bincount(text[n > 0], minlength=len(marks)))}
+
+        return step
+
+    rows = arrow_map(encoded.select("row", "train", "ids", "rest"), make, "doc long, word string, mark long")
+    rows = rows.join(rare, "word", "left").select("doc", F.struct("mark", F.coalesce("class", F.lit(-1)).alias("class"), F.coalesce("n", F.lit(0)).alias("n")).alias("mark"))
+    return arrow_map(rows.repartition("doc").groupBy("doc").agg(F.collect_list("mark").alias("marks")), link, "row long, train boolean, keys array<int>, rest double, rest_known long")
+
+
 def score(docs: DataFrame, classes: int = 48, words: int = 1500, groups: int = 300, table_words: int = 100_000, pull: float = 5.0, blend: float = 0.03) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of docs.
 
     Null texts count as empty (one token, the end).  A null doc_id counts as the empty string and is trained
     on.  Rows that share a doc_id are scored each, and every row counts in training.  Without training texts all counts are zero.
     ``pull`` smooths transitions towards the unigram share of a class, ``blend`` mixes in the unigram model."""
-    base, back = unique_ids(docs)
     original = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     spark = docs.sparkSession
-    train = original.filter(~held_out(F.col("doc_id")))
-    counts = table(word_counts(train), "lm-words")
+    counts = table(word_counts(original.filter(~held_out(F.col("doc_id")))), "lm-words")
     total, types = (x or 0 for x in counts.agg(F.sum("n"), F.count("*")).first())
     norm = total + 0.5 * (types + 1)
-    real = counts.filter(F.col("word") != END_WORD)
-    known = real.orderBy(F.desc("n"), "word").limit(table_words).toArrow()  # a fixed bound
+    known = counts.filter(F.col("word") != END_WORD).orderBy(F.desc("n"), "word").limit(table_words).toArrow()  # a fixed bound
     ends = counts.filter(F.col("word") == END_WORD).select("n").first()
     n_end = ends[0] if ends else 0
-    names, n_known = known.column("word").cast(pa.binary()).to_pylist(), np.asarray(known.column("n")).astype(np.float64)
-    shared = spark.sparkContext.broadcast(units := Units(names, words, groups))
-    size = units.size
+    names, n_known = known.column("word").cast(pa.binary()).to_pylist(), np.asarray(known.column("n")).astype(np.int64)
+    units = Units(names, words, groups)
+    encoded = encode(original, spark.sparkContext.broadcast(units))
+    train = encoded.filter("train")
 
-    got = pair_counts(train, shared, size).toArrow()  # at most size * size rows of 12 bytes
-    pairs = np.zeros(size * size, np.float32)
-    pairs[np.asarray(got.column("key"))] = np.asarray(got.column("n"))
-    del got
-    pairs = pairs.reshape(size, size)
+    size = units.size
+    by_unit = spark.sparkContext.broadcast((size, units.unit_of, 1 + units.words + np.arange(groups)))
+    pairs = counted(pair_counts(train, by_unit), size)  # at most size * size rows of 12 bytes, at any input
     home = exchange(pairs, classes)
+    of_group = home[1 + units.words :]
+    of_table = home[units.unit_of]
+    onehot = (home[:, None] == np.arange(classes)[None, :]).astype(np.float64)
+    mass = pairs.sum(1)
+    share = np.maximum(np.bincount(home, mass, classes) / max(mass.sum(), 1.0), 1e-12)
+    gain = gains(onehot.T @ (pairs @ onehot), share, pull, blend)
+    del pairs
+
+    near_table, near_rest = contexts(train, spark.sparkContext.broadcast((classes, of_table, of_group)), units.words)
+    shared = spark.sparkContext.broadcast((gain, units.groups, of_group))
+
+    def choose(beyond: bool):
+        def make():
+            gain, groups, of_group = shared.value
+
+            def step(batch):
+                n, best = likeliest(column(batch, "near"), gain)
+                word = column(batch, "word")
+                if beyond:  # in the table a word's count is known beforehand
+                    once = np.flatnonzero(n == 1)
+                    best[once] = [of_group[crc32(w[-3:]) % groups] for w in word.take(pa.array(once)).cast(pa.binary()).to_pylist()]
+                return {"word": word, "n": pa.array(n), "class": pa.array(best.astype(np.int32))}
+
+            return step
+
+        return make
+
+    chosen = arrow_map(near_table, choose(False), "word long, n long, class int").filter("n > 1").select("word", "class").toArrow()  # at most table_words
+    of_table[np.asarray(chosen.column("word"))] = np.asarray(chosen.column("class"))
+    rare = table(arrow_map(near_rest, choose(True), "word string, n long, class int"), "lm-rare")
+
+    mass = np.bincount(of_table, n_known + 0.5, classes).astype(np.float64)
+    mass[0] += n_end + 0.5
+    for c, m in rare.groupBy("class").agg(F.sum(F.col("n") + 0.5)).collect():
+        mass[c] += m
+    share = np.maximum(mass / norm, 1e-12)
+    final = spark.sparkContext.broadcast((classes, of_table, of_group))
+    links = table(rare_links(encoded, rare, final, norm), "lm-links")
+    moves = counted(pair_counts(train, spark.sparkContext.broadcast((classes, of_table, np.full(groups, -1)))), classes).astype(np.float64)
+    for key, n in links.filter("train").select(F.explode("keys").alias("key")).groupBy("key").count().collect():
+        moves[key // classes, key % classes] += n
+    gain = gains(moves, share, pull, blend)
+    model = spark.sparkContext.broadcast((of_table, gain, np.log10((n_known + 0.5) / norm), float(np.log10((n_end + 0.5) / norm))))
 
-    # unigram mass of each unit: counts and types of all words, those beyond the table by spelling group
-    mass = np.bincount(units.unit_of, n_known + 0.5, size) if len(names) else np.zeros(size)
-    mass[0] = n_end + 0.5
-    floor = (int(n_known[-1]), names[-1].decode()) if len(names) == table_words else None
-
-    def spelling():
-        own = shared.value
+    def read():
+        of_table, gain, logs, end = model.value
+        flat_gain, classes = gain.ravel(), len(gain)
 
         def step(batch):
-            rest = column(batch, "word").cast(pa.binary()).to_pylist()
-            unit = np.fromiter(map(own.spelled, rest), np.int64, len(rest))
-            return {"unit": pa.array(np.arange(size)), "mass": pa.array(np.bincount(unit, np.asarray(column(batch, "n")) + 0.5, size))}
+            flat, ends = chain(batch)
+            here = looked_up(flat, of_table, np.full(groups, -1), 0)
+            held = (here[:-1] >= 0) & (here[1:] >= 0)
+            more = np.where(held, flat_gain[np.where(held, here[:-1] * classes + here[1:], 0)], 0.0)
+            known = flat >= 0
+            base = np.zeros(len(flat))
+            base[known] = logs[flat[known]]
+            begin = np.r_[0, ends[:-1]]
+            per = lambda x: np.add.reduceat(x, begin)
+            n_tokens = ends - begin
+            out = {"row": column(batch, "row"), "doc_id": column(batch, "doc_id"), "n_tokens": pa.array(n_tokens)}
+            return out | {"n_known": pa.array(per(known[:-1].astype(np.int64)) + (n_end > 0)), "base": pa.array(per(base[:-1]) + end), "more": pa.array(per(more))}
 
         return step
 
-    if floor is not None:
-        tail = real.filter((F.col("n") < floor[0]) | ((F.col("n") == floor[0]) & (F.col("word") > F.lit(floor[1]))))
-        for r in arrow_map(tail, spelling, "unit long, mass double").groupBy("unit").agg(F.sum("mass")).collect():
-            mass[r[0]] += r[1]
-    share = np.maximum(np.bincount(home, mass, classes) / norm, 1e-12)
-    moves = np.zeros((classes, classes))
-    onehot = (home[:, None] == np.arange(classes)[None, :]).astype(np.float64)
-    moves += onehot.T @ (pairs.astype(np.float64) @ onehot)
-    step_p = (moves + pull * share[None, :]) / (moves.sum(1, keepdims=True) + pull)
-    gain = np.log10((1 - blend) * step_p / share[None, :] + blend)
-    model = spark.sparkContext.broadcast((home, gain, np.log10((n_known + 0.5) / norm), float(np.log10((n_end + 0.5) / norm))))
-
-    def read():
-        own, (home, gain, logs, end) = shared.value, model.value
+    def linked():
+        flat_gain = model.value[1].ravel()
 
         def step(batch):
-            out = {k: [] for k in ("n_tokens", "n_known", "base", "more", "words", "times")}
-            for text in texts(batch):
-                at, unit, rest = own.read(tokens(text))
-                path = home[np.r_[0, unit, 0]]
-                seen = Counter(rest)
-                out["n_tokens"].append(len(at) + 1)
-                out["n_known"].append(len(at) - len(rest) + (n_end > 0))
-                out["base"].append(float(logs[at[at >= 0]].sum()) + end)
-                out["more"].append(float(gain[path[:-1], path[1:]].sum()))
-                out["words"].append(list(seen))
-                out["times"].append(list(seen.values()))
-            kinds = {"n_tokens": pa.int64(), "n_known": pa.int64(), "base": pa.float64(), "more": pa.float64(), "words": pa.list_(pa.binary()), "times": pa.list_(pa.int64())}
-            cols = {k: pa.array(v, kinds[k]) for k, v in out.items()}
-            return {"doc_id": column(batch, "doc_id")} | cols | {"words": cols["words"].cast(pa.list_(pa.string()))}
+            keys = column(batch, "keys")
+            of = np.repeat(np.arange(len(keys)), np.diff(np.asarray(keys.offsets)))
+            more = np.bincount(of, flat_gain[np.asarray(keys.flatten())], len(keys))
+            return {"row": column(batch, "row"), "rest": column(batch, "rest"), "rest_known": column(batch, "rest_known"), "rest_more": pa.array(more)}
 
         return step
 
-    kept = table(arrow_map(base, read, "doc_id long, n_tokens long, n_known long, base double, more double, words array<string>, times array<long>"), "lm-texts")
-    rest = kept.select("doc_id", F.explode(F.arrays_zip("words", "times")).alias("w")).select("doc_id", F.col("w.words").alias("word"), F.col("w.times").alias("times"))
-    n = F.coalesce(F.col("n"), F.lit(0))
-    rest = rest.join(real, "word", "left").groupBy("doc_id").agg(F.sum(F.col("times") * F.log10((n + 0.5) / F.lit(float(norm)))).alias("rest"), F.sum(F.when(n > 0, F.col("times")).otherwise(0)).alias("rest_known"))
-    rest, kept = rest.select("doc_id", "rest", "rest_known"), kept.select("doc_id", "n_tokens", "n_known", "base", "more")
-    out = kept.join(rest, "doc_id", "left")
-    base_score = F.col("base") + F.coalesce("rest", F.lit(0.0))
-    out = out.select("doc_id", "n_tokens", (F.col("n_known") + F.coalesce("rest_known", F.lit(0))).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"), base_score.alias("base_score"), (base_score + F.col("more")).alias("score"))
-    return back(out).select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+    kept = arrow_map(encoded.select("row", "doc_id", "ids"), read, "row long, doc_id long, n_tokens long, n_known long, base double, more double")
+    out = kept.join(arrow_map(links.drop("train"), linked, "row long, rest double, rest_known long, rest_more double"), "row", "left").na.fill(0, ["rest", "rest_known", "rest_more"])
+    base_score = F.col("base") + F.col("rest")
+    return out.select(
+        "doc_id", held_out(F.col("doc_id")).alias("held_out"), "n_tokens", (F.col("n_known") + F.col("rest_known")).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"),
+        base_score.alias("base_score"), (base_score + F.col("more") + F.col("rest_more")).alias("score"),
+    )
