@@ -4,6 +4,7 @@ from pyspark.sql import functions as F
 from vsketch.functions.spec import PORTABLE8, SketchSpec
 from vsketch.operators import balls, baselines, exact, measures, triangles, vst
 from vsketch.sources import build
+from vsketch.sources.graphs import graph
 
 GRAPHS = {
     "triangle": ([(1, 2), (2, 3), (1, 3)], (9, 9, 9), 1),
@@ -124,3 +125,11 @@ def test_relative_error_of_zero_truth(spark):
     true = spark.createDataFrame([(1, 4), (2, 0), (3, 2)], "x long, t long")
     row = measures.mre(measures.relative_errors(est, true, ["x"], "e", "t")).first()
     assert row["mre"] == 0.75 and row["n"] == 2 and row["undefined"] == 1
+
+
+def test_lines_of_many_documents_keep_their_pairs(spark, tmp_path):
+    # one line in 450 documents, beyond two blocks of 200, and one in three of them
+    rows = [(i, "a licence line of all" + ("\nanother shared line" if i < 3 else "")) for i in range(450)]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = [tuple(r) for r in graph(spark, str(tmp_path), "docline").collect()]
+    assert sorted(got) == [(u, v) for u in range(450) for v in range(u + 1, 450)]

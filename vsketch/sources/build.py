@@ -19,14 +19,21 @@ def arcs(edges: DataFrame) -> DataFrame:
     return edges.filter("u <> v").select(F.inline(both))
 
 
-def co_occurrence(rows: DataFrame, group: str, member: str, most: int | None = None) -> DataFrame:
-    """Pairs of distinct members of a group; groups of over ``most`` members are left out (a hub says little)."""
+def co_occurrence(rows: DataFrame, group: str, member: str, block: int | None = None) -> DataFrame:
+    """Pairs of distinct members of a group.
+
+    block: groups may be large; each is dealt into blocks of about so many members, and every pair of blocks is
+    joined on its own, so that no task holds all pairs of a group.  The pairs are the same."""
     rows = rows.select(F.col(group).alias("g"), F.col(member).cast("long").alias("m")).filter("g is not null and m is not null").distinct()
-    if most is not None:
-        sizes = rows.groupBy("g").agg(F.count("*").alias("n")).filter(F.col("n").between(2, most))
-        rows = rows.join(sizes, "g", "left_semi")
-    a, b = rows.select("g", F.col("m").alias("u")), rows.select("g", F.col("m").alias("v"))
-    return a.join(b, "g").filter("u < v").select("u", "v").distinct()
+    if block is None:
+        a, b = rows.select("g", F.col("m").alias("u")), rows.select("g", F.col("m").alias("v"))
+        return a.join(b, "g").filter("u < v").select("u", "v").distinct()
+    sizes = rows.groupBy("g").agg(F.count("*").alias("n")).filter("n > 1").select("g", F.ceil(F.col("n") / block).cast("int").alias("k"))
+    rows = rows.join(sizes, "g").select("g", "m", "k", F.pmod(F.xxhash64("m"), F.col("k")).cast("int").alias("s"))
+    a = rows.select("g", F.col("m").alias("a"), F.col("s").alias("i"), F.explode(F.sequence("s", F.col("k") - 1)).alias("j"))
+    b = rows.select("g", F.col("m").alias("b"), F.col("s").alias("j"), F.explode(F.sequence(F.lit(0), "s")).alias("i"))
+    both = a.join(b, ["g", "i", "j"]).filter("i < j or a < b")
+    return both.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v")).distinct()
 
 
 def bipartite(rows: DataFrame, left: Column, right: Column, kinds: int = 2, kind: tuple[int, int] = (0, 1)) -> DataFrame:
