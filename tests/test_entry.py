@@ -27,3 +27,14 @@ def test_against_sql(spark, name):
     assert sorted(names) == sorted(got.columns)
     key = lambda rows, cols: sorted(tuple(str(round(float(r[c]), 5)) if isinstance(r[c], float) else str(r[c]) for c in sorted(names)) for r in rows)
     assert key([r.asDict() for r in got.collect()], names) == key([dict(zip(names, r, strict=True)) for r in want.fetchall()], names)
+
+
+def test_intersections_of_all_parts(spark):
+    sf = SF.replace("0.001", "0.01")
+    con = duckdb.connect()
+    for t in ("part", "lineitem"):
+        con.execute(f"create view {t} as select * from '{sf}/{t}.parquet'")
+    got = entry.queries()["vst_intersect_all_parts"](spark, sf)
+    want = con.execute(f"select {', '.join(got.columns)} from ({entry.oracle_sql()['vst_intersect_all_parts']})").fetchall()
+    near = lambda rows: sorted(tuple(round(x, 5) for x in r) for r in rows)
+    assert near(map(tuple, got.collect())) == near(want) and len(want) == spark.read.parquet(f"{sf}/part.parquet").count() > 200

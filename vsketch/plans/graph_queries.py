@@ -91,14 +91,19 @@ def _by_brand(s, d):
 add("vst_union_by_brand", _by_brand, S.head("copart", "m AS (SELECT p_brand AS gid, j, max(rho) AS rho FROM part JOIN reg ON reg.x = p_partkey GROUP BY 1, 2)") + S.measured("m", "gid"))
 
 
-def _next_parts(s, d):
-    pairs = s.range(0, 200).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v"))
+def _next_parts(s, d, pairs=None):
+    pairs = s.range(0, 200).select(F.col("id").alias("u"), (F.col("id") + 1).alias("v")) if pairs is None else pairs
     got = joint.inclusion_exclusion(pairs, _vst(s, d, "copart")[1])
     return _rounded(got, "inter", "a_only", "b_only", "n_union")
 
 
+def _all_next_parts(s, d):
+    return _next_parts(s, d, s.read.parquet(f"{d}/part.parquet").select(F.col("p_partkey").alias("u"), (F.col("p_partkey") + 1).alias("v")))
+
+
 _CLAMPED = "greatest(0.0, least(n_a + n_b - n_union, n_a, n_b))"
 add("vst_intersect_pairs", _next_parts, S.head("copart", "pairs AS (SELECT p AS u, p + 1 AS v FROM range(0, 200) t(p))", S.SIDES, S.sizes()) + f"SELECT u, v, round({_CLAMPED}, 6) AS inter, round(n_a - {_CLAMPED}, 6) AS a_only, round(n_b - {_CLAMPED}, 6) AS b_only, round(n_union, 6) AS n_union FROM sized")
+add("vst_intersect_all_parts", _all_next_parts, S.head("copart", "pairs AS (SELECT p_partkey AS u, p_partkey + 1 AS v FROM part)", S.SIDES, S.sizes()) + f"SELECT u, v, round({_CLAMPED}, 6) AS inter, round(n_a - {_CLAMPED}, 6) AS a_only, round(n_b - {_CLAMPED}, 6) AS b_only, round(n_union, 6) AS n_union FROM sized")
 
 
 def _absorbed(s, d):
