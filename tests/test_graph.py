@@ -133,3 +133,18 @@ def test_lines_of_many_documents_keep_their_pairs(spark, tmp_path):
     spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = [tuple(r) for r in graph(spark, str(tmp_path), "docline").collect()]
     assert sorted(got) == [(u, v) for u in range(450) for v in range(u + 1, 450)]
+
+
+def test_precision_has_every_k(spark):
+    from vsketch.plans.measure_queries import precision
+
+    got = precision(spark, "/root/testdata/sf0.001", False, ("docline", "copart")).collect()
+    m = {n: graph(spark, "/root/testdata/sf0.001", n).count() for n in ("docline", "copart")}
+    assert {(r["graph"], r["k"]) for r in got} == {(n, k) for n in m for k in (10, 100, 1000) if k <= m[n]} and max(m.values()) >= 1000
+
+
+def test_rank_profile_goes_beyond_a_thousand(spark):
+    from vsketch.plans.measure_queries import QUERIES
+
+    got = QUERIES["w05_rank_profiles"](spark, "/root/testdata/sf0.01").groupBy("graph").agg(F.max("rank").alias("r"))
+    assert {r["graph"]: r["r"] for r in got.collect()}["docline"] == 10_000

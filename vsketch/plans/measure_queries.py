@@ -179,9 +179,31 @@ def w01(s, d, seeds: int = 2, k: int = 3, names=("event_prox60", "geo_tree", "do
 
 add("w01_ball_mre", w01)
 add("w02_theorem_check", _bias)
-add("w03_edge_precision", lambda s, d: _round(_each(s, d, ("docline", "event_prox300", "event_prox60"), lambda n: _pr(s, d, n, 100, spec=ML12, how="ie_packed", aware=True))))
-add("w04_vertex_precision", lambda s, d: _round(_each(s, d, ("docline", "event_prox300"), lambda n: _pr(s, d, n, 100, vertex=True, spec=ML12, how="ie_packed", aware=True))))
-add("w05_rank_profiles", lambda s, d: _round(_each(s, d, ("docline", "cosupp", "emb_sim"), lambda n: measures.rank_profile(_true_density(s, d, n), 1000))))
+_REAL = ("copart", "cosupp", "docline", "event_prox60", "event_prox300", "user_next", "emb_sim")
+
+
+def precision(s, d, vertex: bool, names=_REAL, ks=(10, 100, 1000)) -> DataFrame:
+    """Tie-aware precision and recall of the top k' by graph and k; a k over the number of edges or vertices has no rows."""
+
+    def run(n):
+        edges, table = _vst(s, d, n, ML12)
+        per, true, keys = triangles.edge_triangles(edges, table, "ie_packed"), exact.edge_triangles(edges), ["u", "v"]
+        if vertex:
+            per, true, keys = triangles.vertex_triangles(per), exact.vertex_triangles(edges), ["x"]
+        per, true = balls.shared_table(per, "estimated"), balls.shared_table(true, "exact")
+        m, out = true.count(), None
+        for k in ks:
+            if k <= m or out is None:
+                got = measures.pr_curve(per, true, keys, k, tie_aware=True).filter(F.lit(k <= m))
+                out = got if out is None else out.unionByName(got)
+        return out
+
+    return _round(_each(s, d, names, run))
+
+
+add("w03_edge_precision", lambda s, d: precision(s, d, False))
+add("w04_vertex_precision", lambda s, d: precision(s, d, True))
+add("w05_rank_profiles", lambda s, d: _round(_each(s, d, ("docline", "cosupp", "emb_sim"), lambda n: measures.rank_profile(_true_density(s, d, n)))))
 
 
 def w09(s: SparkSession, d: str, trials: int = 40) -> DataFrame:
