@@ -148,3 +148,14 @@ def test_rank_profile_goes_beyond_a_thousand(spark):
 
     got = QUERIES["w05_rank_profiles"](spark, "/root/testdata/sf0.01").groupBy("graph").agg(F.max("rank").alias("r"))
     assert {r["graph"]: r["r"] for r in got.collect()}["docline"] == 10_000
+
+
+def test_similar_vectors_are_found_across_blocks(spark):
+    rows = [(i, [float(i * i % 7) - 3, float(i * 5 % 11) - 5, float(i % 3) - 1]) for i in range(70)]
+    frame = spark.createDataFrame(rows, "id long, x array<double>")
+    got = {tuple(r) for r in build.similarity(frame, "id", "x", 0.3, block=9).collect()}
+    dot = lambda p, q: sum(a * b for a, b in zip(p, q, strict=True))
+    kept = [(i, x) for i, x in rows if dot(x, x) > 0]
+    assert got == {(i, j) for i, x in kept for j, y in kept if i < j and dot(x, y) >= 0.3 * dot(x, x) ** 0.5 * dot(y, y) ** 0.5}
+    many = spark.range(20_500).select("id", F.array((F.col("id") == 7).cast("double"), F.lit(1.0)).alias("x"))  # was refused
+    assert "join" in build.similarity(many, "id", "x", 0.3)._jdf.queryExecution().toString().lower()

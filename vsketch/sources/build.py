@@ -60,23 +60,21 @@ def successive(rows: DataFrame, who: Column, order: list[str], by: list[str] | N
     return canonical(rows.select(who.alias("u"), F.lead(who).over(window).alias("v")))
 
 
-def similarity(rows: DataFrame, key: str, vector: str, least: float, block: str | None = None, broadcast_rows: int = 20_000) -> DataFrame:
-    """Pairs with a cosine of at least ``least``.  Up to ``broadcast_rows`` vectors all pairs are compared against
-    a broadcast side; beyond that ``block`` is needed and only pairs of one block are."""
+def similarity(rows: DataFrame, key: str, vector: str, least: float, block: int = 500) -> DataFrame:
+    """Pairs with a cosine of at least ``least``.  All pairs are compared: vectors are dealt into blocks of about
+    ``block`` and every pair of blocks is joined on its own."""
     unit = F.transform(vector, lambda x: x.cast("double"))
-    rows = rows.select(F.col(key).cast("long").alias("id"), unit.alias("x"), *([F.col(block).alias("block")] if block else []))
+    rows = rows.select(F.col(key).cast("long").alias("id"), unit.alias("x"))
     norm = F.sqrt(F.aggregate("x", F.lit(0.0), lambda s, x: s + x * x))
     rows = rows.withColumn("norm", norm).filter("norm > 0")
-    names = ["id", "x", "norm"]
-    a, b = (rows.select(*[F.col(c).alias(f"{c}_{s}") for c in names], *(["block"] if block else [])) for s in "ab")
-    if block:
-        both = a.join(b, "block").filter("id_a < id_b")
-    elif rows.count() <= broadcast_rows:
-        both = a.join(F.broadcast(b), F.col("id_a") < F.col("id_b"))
-    else:
-        raise ValueError("so many vectors need a block column")
+    k = max(1, -(-rows.count() // block))
+    rows = rows.withColumn("s", F.pmod(F.xxhash64("id"), F.lit(k)).cast("int"))
+    side = lambda n, own: [*(F.col(c).alias(f"{c}_{n}") for c in ("id", "x", "norm")), F.col("s").alias(own)]
+    a = rows.select(*side("a", "i"), F.explode(F.sequence("s", F.lit(k - 1))).alias("j"))
+    b = rows.select(*side("b", "j"), F.explode(F.sequence(F.lit(0), "s")).alias("i"))
+    both = a.join(b, ["i", "j"]).filter("(i < j and id_a != id_b) or id_a < id_b")
     dot = F.aggregate(F.zip_with("x_a", "x_b", lambda p, q: p * q), F.lit(0.0), lambda s, x: s + x)
-    return both.filter(dot >= least * F.col("norm_a") * F.col("norm_b")).select(F.col("id_a").alias("u"), F.col("id_b").alias("v")).distinct()
+    return both.filter(dot >= least * F.col("norm_a") * F.col("norm_b")).select(F.least("id_a", "id_b").alias("u"), F.greatest("id_a", "id_b").alias("v")).distinct()
 
 
 def stable_id(text: Column) -> Column:
