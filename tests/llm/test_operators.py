@@ -305,6 +305,21 @@ def test_bpe_equals_the_library(bpe):
     assert [small.encode(b"a" * n) for n in (5, 40, 1000)] == [tuple(library.encode_ordinary("a" * n)) for n in (5, 40, 1000)]
 
 
+def test_bpe_with_small_memories_gives_the_same_ids(bpe):
+    """States beyond the bound pass, the automaton starts afresh, and pieces change generations."""
+    _, pattern, library, codec = bpe
+    rng = random.Random(9)
+    text = " ".join("".join(rng.choice("abcdeé漢") for _ in range(rng.randint(1, 9))) for _ in range(3000))
+    small = fst_bpe.Codec(codec.fst.ranks, pattern, memory=64, most_states=40)
+    small.fst.renew = 3
+    assert small.encode(text * 2) == library.encode_ordinary(text * 2)
+    assert len(small.known) <= 64 and len(small.fst.states) <= 40
+    ids = small.numbers(text)
+    assert b"".join(small.checked(text, ids)) == text.encode()
+    with pytest.raises(ValueError):
+        list(small.checked(text + "x", ids))
+
+
 def test_utf8_stream_holds_back_open_characters():
     data, out, s = "aé漢\U0001f600z".encode(), "", fst_bpe.Utf8Stream()
     for b in data:
