@@ -401,6 +401,63 @@ def test_quality_and_toxicity(spark, make):
     assert quality.quality(make([]), half).count() == 0 == quality.toxicity(make([]), half).count()
 
 
+def test_grades_by_brute_force(spark, make):
+    """Sample, screening, expected grade and tails against plain formulas, with hot, tied and null labels."""
+    from math import exp, log
+
+    rng = random.Random(12)
+    pairs = [(i, " ".join([f"n{rng.randrange(40)}" for _ in range(20)] + ["low"] * (i % 3 == 0) + ["high"] * (i % 3 == 2) + ["x" * 300] * (i % 2))) for i in range(240)]
+    labels = spark.createDataFrame([(i, i % 3, None) for i, _ in pairs] + [(i, i % 3, None) for i, _ in pairs[:50]] + [(None, 1, 1), (7, None, 0)], LABELS)
+    rows = ordinal.sample(make(pairs), labels, "quality", 30).collect()
+    assert Counter(r["grade"] for r in rows) == {0: 30, 1: 30, 2: 30} and len({r["doc_id"] for r in rows}) == 90
+    model = ordinal.train(make(pairs), labels, "quality", 30)
+    rows.sort(key=lambda r: r["doc_id"])
+    found, grade = [ordinal.features(r["text"].encode()) for r in rows], [r["grade"] for r in rows]
+    again = ordinal.fit(found, grade)
+    assert np.allclose(model.weights, again.weights) and np.allclose(model.thresholds, again.thresholds) and model.grades == [0, 1, 2]
+
+    def g2(f):  # presence against grade, from the four counts of each grade
+        p, out = sum(f in x for x in found) / 90, 0.0
+        for g in range(3):
+            o = sum(f in x for x, y in zip(found, grade, strict=True) if y == g)
+            out += sum(a * log(a / b) for a, b in ((o, 30 * p), (30 - o, 30 * (1 - p))) if a)
+        return 2 * out
+
+    assert set(np.flatnonzero(model.weights)) <= {f for f in set(np.concatenate(found).tolist()) if g2(f) >= 12}
+
+    def penalised(weights, thresholds):
+        out = -0.25 * float((weights**2).sum())
+        for x, g in zip(found, grade, strict=True):
+            over = [1.0, *(1 / (1 + exp(t - float(weights[x].sum()))) for t in thresholds), 0.0]
+            out += log(over[g] - over[g + 1])
+        return out
+
+    best = penalised(model.weights.astype(float), model.thresholds)
+    for f in np.flatnonzero(model.weights).tolist():
+        for d in (-0.3, 0.3):
+            moved = model.weights.astype(float)
+            moved[f] += d
+            assert penalised(moved, model.thresholds) < best + 0.02
+    for d in (-0.3, 0.3):
+        assert penalised(model.weights.astype(float), model.thresholds + d) < best + 0.02
+    texts = {**dict(pairs), 900: None, 901: "", 902: "low low high"}
+    got = {r[0]: r for r in ordinal.grade(make(list(texts.items())), model, at=1).collect()}
+    for i, t in texts.items():
+        score = sum(float(model.weights[f]) for f in set(ordinal.features((t or "").encode()).tolist()))
+        over = [1 / (1 + exp(t_k - score)) for t_k in model.thresholds]
+        assert abs(got[i]["expected"] - sum(over)) < 1e-5 and abs(got[i]["tail"] - over[1]) < 1e-5
+    lone = ordinal.train(make(pairs), labels.filter("quality = 1"), "quality")
+    assert lone.grades == [1] and ordinal.grade(make(pairs), lone).filter("expected <> 1 or tail <> 0").count() == 0
+
+
+def test_long_words_and_shapes_count_whole():
+    """No prefix decides: words of over 64 and shapes of over 256 bytes differ by their last byte."""
+    a, b = b"x" * 5000 + b"1", b"x" * 5000 + b"2"
+    assert set(ordinal.features(a)) != set(ordinal.features(b))
+    a, b = b"aA0" * 200 + b"a", b"aA0" * 200 + b"Z"
+    assert set(ordinal.features(a, with_words=False)) != set(ordinal.features(b, with_words=False))
+
+
 def test_personal_data(spark, make):
     import re
 

@@ -15,7 +15,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, column, texts
+from .common import arrow_map, column, table, texts
 
 BITS = 20
 _SHAPE = bytes(97 if 97 <= c <= 122 else 65 if 65 <= c <= 90 else 48 if 48 <= c <= 57 else 122 if c >= 128 else c for c in range(256))
@@ -33,14 +33,14 @@ def features(text: bytes, with_words: bool = True) -> np.ndarray:
     names = set()
     if with_words:
         low = {w.strip(_EDGE) for w in text.lower().split()}
-        names.update(b"w" + w for w in low if w and len(w) <= 64)
+        names.update(b"w" + w for w in low if w)
     shapes: dict[bytes, int] = {}
     for w in words:
-        s = w[:256].translate(_SHAPE)
+        s = w.translate(_SHAPE)
         shapes[s] = shapes.get(s, 0) + 1
     folded: dict[bytes, int] = {}
     for s, n in shapes.items():
-        s = _RUN.sub(rb"\1", s)[:12]
+        s = _RUN.sub(rb"\1", s)
         folded[s] = folded.get(s, 0) + n
     total = max(1, len(words))
     names.update(b"s" + s + b"%d" % _bin(n / total, (0.02, 0.1, 0.3)) for s, n in folded.items() if n / total >= 0.005 or n == total)
@@ -80,8 +80,8 @@ class Ordinal:
         return self.grades[0] + self.tails(latent) @ steps if len(steps) else np.full(len(latent), float(self.grades[0]))
 
 
-def screen(rows: list[np.ndarray], grade: np.ndarray, least: float, keep: int) -> np.ndarray:
-    """Features by likelihood-ratio statistic of presence against grade, those of at least ``least``, at most ``keep``."""
+def screen(rows: list[np.ndarray], grade: np.ndarray, least: float) -> np.ndarray:
+    """Features whose likelihood-ratio statistic of presence against grade is at least ``least``."""
     n, kinds = len(rows), int(grade.max()) + 1 if len(grade) else 1
     flat = np.concatenate(rows)
     which, at = np.unique(flat, return_inverse=True)
@@ -91,17 +91,29 @@ def screen(rows: list[np.ndarray], grade: np.ndarray, least: float, keep: int) -
     part = lambda o, e: np.where(o > 0, o * np.log(np.maximum(o, 1e-9) / np.maximum(e, 1e-9)), 0)
     p = there.sum(0) / n
     g = 2 * (part(there, size * p) + part(size - there, size * (1 - p))).sum(0)
-    best = np.argsort(-g, kind="stable")[:keep]
-    return np.sort(which[best[g[best] >= least]])
+    return which[g >= least]
 
 
-def fit(rows: list[np.ndarray], grades_of: list[int], least: float = 12.0, keep: int = 20_000, ridge: float = 0.5, steps: int = 400, with_words: bool = True) -> Ordinal:
+def screened(rows: DataFrame, sizes: dict[int, int], least: float) -> np.ndarray:
+    """The same over a table (grade, found) in Spark; only features that pass reach the driver (2**BITS at most)."""
+    total = sum(sizes.values())
+    there = {g: F.sum(F.when(F.col("grade") == g, 1.0).otherwise(0.0)) for g in sizes}
+    counts = rows.select("grade", F.explode("found").alias("f")).groupBy("f").agg(*[c.alias(f"n{g}") for g, c in there.items()])
+    part = lambda o, e: F.when(o > 0, o * F.log(o / e)).otherwise(0.0)
+    p = sum((F.col(f"n{g}") for g in sizes), F.lit(0.0)) / total
+    g2 = F.lit(0.0)
+    for g, n in sizes.items():
+        g2 += part(F.col(f"n{g}"), p * n) + part(n - F.col(f"n{g}"), n * (1 - p))
+    return np.sort(np.asarray(counts.filter(2 * g2 >= least * (1 - 1e-9)).select("f").toArrow().column(0)).astype(np.int64))
+
+
+def fit(rows: list[np.ndarray], grades_of: list[int], least: float = 12.0, ridge: float = 0.5, steps: int = 400, with_words: bool = True) -> Ordinal:
     """Maximum likelihood with a ridge, by Adam on all rows; grades weigh alike."""
     grades = sorted(set(grades_of))
     if len(grades) < 2:
         return Ordinal(grades or [0], np.zeros(0), with_words=with_words)
     grade = np.searchsorted(grades, grades_of)
-    chosen = screen(rows, grade, least, keep)
+    chosen = screen(rows, grade, least)
     own = [np.searchsorted(chosen, r[np.isin(r, chosen)]) for r in rows]
     flat, row = np.concatenate(own).astype(np.int64), np.repeat(np.arange(len(rows)), [len(r) for r in own])
     k = len(grades) - 1
@@ -139,34 +151,64 @@ def fit(rows: list[np.ndarray], grades_of: list[int], least: float = 12.0, keep:
     return out
 
 
-def sample(docs: DataFrame, labels: DataFrame, grade: str, bound: int) -> list[tuple[bytes, int]]:
-    """Texts and grades of at most ``bound`` labelled rows of each grade, the lowest by a hash of doc_id."""
+CELLS = 4096
+
+
+def sample(docs: DataFrame, labels: DataFrame, grade: str, bound: int) -> DataFrame:
+    """doc_id, text, grade of at most ``bound`` labelled rows of each grade, the lowest by a hash of doc_id.
+
+    A count by grade and hash cell tells up to which cell a grade's rows are needed; only those are put in
+    order, so a grade that holds nearly all rows doesn't land in one task.  Null ids, grades and texts are left out,
+    repeated labels count once; there should be few grades (each is a row of the count)."""
     from pyspark.sql import Window
 
-    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(grade).cast("int").alias("grade")).filter("doc_id is not null and grade is not null")
-    nth = F.row_number().over(Window.partitionBy("grade").orderBy(F.xxhash64("doc_id"), "doc_id"))
-    marks = marks.withColumn("nth", nth).filter(F.col("nth") <= bound).select("doc_id", "grade").distinct()
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(marks), "doc_id").filter("text is not null")
-    return rows
+    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(grade).cast("int").alias("grade")).filter("doc_id is not null and grade is not null").distinct()
+    marks = marks.withColumn("cell", F.pmod(F.xxhash64("doc_id"), F.lit(CELLS)).cast("int"))
+    upto: dict[int, int] = {}
+    seen: dict[int, int] = {}
+    for r in sorted(marks.groupBy("grade", "cell").count().collect()):
+        if seen.get(r["grade"], 0) < bound:
+            seen[r["grade"]], upto[r["grade"]] = seen.get(r["grade"], 0) + r["count"], r["cell"]
+    if not upto:
+        marks = marks.limit(0)
+    else:
+        marks = marks.filter(F.create_map(*[F.lit(x) for g, c in upto.items() for x in (g, c)])[F.col("grade")] >= F.col("cell"))
+    nth = F.row_number().over(Window.partitionBy("grade").orderBy("cell", F.xxhash64("doc_id"), "doc_id"))
+    marks = marks.withColumn("nth", nth).filter(F.col("nth") <= bound).select("doc_id", "grade")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(marks), "doc_id").filter("text is not null")
+
 
+def train(docs: DataFrame, labels: DataFrame, grade: str, bound: int = 1500, least: float = 12.0, with_words: bool = True, **how) -> Ordinal:
+    """``bound``: the most labelled rows of each grade that are used (all where there are fewer); ``least``: see screen.
 
-def train(docs: DataFrame, labels: DataFrame, grade: str, bound: int = 1500, with_words: bool = True, **how) -> Ordinal:
-    """``bound``: the most labelled rows of each grade that are used (all where there are fewer)."""
+    Rows go to the driver with the features that pass the screening only."""
 
     def make():
         def step(batch):
-            found = [features(t, with_words) for t in texts(batch)]
-            return {"doc_id": column(batch, "doc_id"), "grade": column(batch, "grade"), "found": pa.array(found, pa.list_(pa.int64()))}
+            found = [features(t, with_words).astype(np.int32) for t in texts(batch)]
+            return {"doc_id": column(batch, "doc_id"), "grade": column(batch, "grade"), "found": pa.array(found, pa.list_(pa.int32()))}
 
         return step
 
-    rows = arrow_map(sample(docs, labels, grade, bound), make, "doc_id long, grade int, found array<long>").toArrow().to_pylist()
+    rows = table(arrow_map(sample(docs, labels, grade, bound), make, "doc_id long, grade int, found array<int>", slice_by="text"), "graded")
+    sizes = {r["grade"]: r["count"] for r in sorted(rows.groupBy("grade").count().collect())}
+    if len(sizes) < 2:
+        return fit([], list(sizes), with_words=with_words)
+    chosen = screened(rows, sizes, least)
+
+    def kept(batches):
+        for batch in batches:
+            found = [x[np.isin(x, chosen)] for x in (np.array(x, np.int32) for x in column(batch, "found").to_pylist())]
+            yield pa.RecordBatch.from_arrays([column(batch, "doc_id"), column(batch, "grade"), pa.array(found, pa.list_(pa.int32()))], names=["doc_id", "grade", "found"])
+
+    rows = rows.mapInArrow(kept, rows.schema).toArrow().to_pylist()
     rows.sort(key=lambda r: (r["doc_id"], r["grade"], r["found"]))  # the same model whatever the order of tasks
-    return fit([np.array(r["found"], np.int64) for r in rows], [r["grade"] for r in rows], with_words=with_words, **how)
+    return fit([np.array(r["found"], np.int64) for r in rows], [r["grade"] for r in rows], least=least, with_words=with_words, **how)
 
 
 def grade(docs: DataFrame, model: Ordinal, at: int | None = None) -> DataFrame:
-    """doc_id, expected, tail (P of a grade over ``at``, by default the lowest) for every row; null texts count as empty."""
+    """doc_id, expected, tail (P of a grade over ``at``, by default the lowest) for every row; null texts count as empty.
+    Repeated rows and null ids stay; other columns are ignored; an empty table gives an empty one."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     k = 0 if at is None else int(np.searchsorted(model.grades, at))
 
@@ -182,4 +224,4 @@ def grade(docs: DataFrame, model: Ordinal, at: int | None = None) -> DataFrame:
         return step
 
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    return arrow_map(base, make, "doc_id long, expected double, tail double")
+    return arrow_map(base, make, "doc_id long, expected double, tail double", slice_by="text")

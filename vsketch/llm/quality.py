@@ -13,8 +13,8 @@ LEAST_TAIL = 0.1  # rows are rejected only where the model is sure: grades weigh
 
 
 def quality_model(docs: DataFrame, labels: DataFrame, bound: int = 1500) -> ordinal.Ordinal:
-    """Form matters, not topic: shapes and statistics of the text only."""
-    return ordinal.train(docs, labels, "quality", bound, with_words=False)
+    """Hashed words, word shapes and statistics; the screening leaves words out that don't depend on the grade."""
+    return ordinal.train(docs, labels, "quality", bound)
 
 
 def quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -29,7 +29,8 @@ def quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Rows of docs, all columns, that the model does not reject."""
+    """Rows of docs, all columns, that the model does not reject: null and empty texts are judged by their
+    statistics, equal texts alike; without labels, or with one grade, all rows stay; see quality."""
     model = quality_model(docs, labels)
     if len(model.grades) < 2:
         return docs
