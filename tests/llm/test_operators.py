@@ -263,6 +263,37 @@ def test_fingerprints(spark, make):
     assert same == {1: 1, 2: 1, 3: 3, 4: 4}
 
 
+def test_near_classes_equal_all_pairs(spark, make):
+    """Length partitions and pruning lose no link: hot groups of near copies, chains of lengths, hot signatures."""
+    rng = random.Random(5)
+    anchors = ("the", "a", "of", "to", "in")
+    said = lambda k, n: " ".join(f"{rng.choice(anchors)} c{rng.randrange(k)} d{rng.randrange(k)}" for _ in range(n))
+    pairs = []
+    for i in range(12):  # families whose lengths differ by a few signatures
+        own = [f"the f{i} g{j}" for j in range(rng.randint(8, 60))]
+        for _ in range(9):
+            cut = own[: len(own) - rng.randint(0, max(1, len(own) // 4))]
+            pairs.append(" ".join(cut + [said(40, rng.randint(0, 3))]))
+    hot = said(30, 60)
+    pairs += [hot + f" the x{i} y{i}" for i in range(150)] + [hot] * 40
+    pairs += [said(2, rng.randint(3, 9)) for _ in range(80)]  # few signatures, often repeated
+    rng.shuffle(pairs)
+    docs = [(i * 3, t) for i, t in enumerate(pairs)] + [(9000, None), (9001, ""), (9002, "!"), (9003, "!")]
+    prints = [spotsigs.signatures(t or "") for _, t in docs]
+    for percent in (80, 50, 100):
+        label = list(range(len(docs)))
+        top = lambda x: x if label[x] == x else top(label[x])  # noqa: B023,E731
+        for i in range(len(docs)):
+            for j in range(i):
+                if (len(prints[i]) and len(prints[j]) or docs[i][1] == docs[j][1]) and 100 * spotsigs.likeness(prints[i], prints[j]) >= percent - 1e-9:
+                    label[max(top(i), top(j))] = min(top(i), top(j))
+        # texts without signatures are one class only where they are equal fingerprints
+        got = dict(map(tuple, spotsigs.near_classes(make(docs), percent).collect()))
+        want = {d: docs[top(i)][0] for i, (d, _) in enumerate(docs)}
+        want[9001] = want[9000] = 9000
+        assert got == want, percent
+
+
 def test_substring_removal(spark, make):
     own = unique(AWKWARD)
     seen, want = set(), Counter()

@@ -31,6 +31,11 @@ def op5_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spotsigs.neighbours(documents(spark, sf_dir))
 
 
+def spotsigs_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicate classes over fingerprints: partitions of set length, pruned Jaccard."""
+    return spotsigs.near_classes(documents(spark, sf_dir))
+
+
 def _labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/labels.parquet")
 
@@ -58,7 +63,7 @@ def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_sharding, op2_decontamination, op3_classlm, op4_minhash, op5_spotsigs, op6_quality, op7_substring, op8_bpe, op9_toxicity, op10_pii)}
+    return {f.__name__: f for f in (op1_sharding, op2_decontamination, op3_classlm, op4_minhash, op5_spotsigs, spotsigs_classes, op6_quality, op7_substring, op8_bpe, op9_toxicity, op10_pii)}
 
 
 WORDS_SQL = r"""regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"""

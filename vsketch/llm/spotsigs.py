@@ -11,13 +11,12 @@ import hashlib
 from math import log
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import arrow_map, column, table, texts, unique_ids
+from .common import arrow_map, column, slices, table, texts, tidy, unique_ids
 from .decontam import words_of
 from .minhash import resolve
 from .substring import word_hashes
@@ -81,51 +80,71 @@ def _edited(text: str, after: str) -> str:
     return text[: len(text) - n] + after[:n]
 
 
+def _cuts(base: DataFrame, part_bytes: int) -> np.ndarray:
+    """The first doc_id of each range of about ``part_bytes`` of text, ascending (a longer text is a range with others).
+
+    Ids and sizes alone are sorted; sums of the sorted partitions place each row in the whole.  A number for each
+    range comes to the driver, and at most a million: ranges grow beyond a million times ``part_bytes``."""
+    spark = base.sparkSession
+    sizes = base.select("doc_id", (F.coalesce(F.octet_length("text"), F.lit(0)) + 1).cast("long").alias("size"))
+    placed = table(sizes.repartitionByRange("doc_id").withColumn("pid", F.spark_partition_id()), "spots-sizes")
+    sums = sorted((r["low"], r["pid"], r["size"]) for r in placed.groupBy("pid").agg(F.min("doc_id").alias("low"), F.sum("size").alias("size")).collect())
+    if not sums:
+        return np.zeros(0, np.int64)
+    total = sum(x[2] for x in sums)
+    least = max(1 << 18, total // int(spark.conf.get("spark.sql.shuffle.partitions")))  # enough ranges for all cores
+    part_bytes = max(min(part_bytes, least), total // 1_000_000)
+    before = np.cumsum([0, *(x[2] for x in sums)])
+    offsets = spark.createDataFrame([(pid, int(o)) for (_, pid, _), o in zip(sums, before, strict=False)], "pid int, before long")
+    rows = Window.partitionBy("pid").orderBy("doc_id")
+    part = F.floor((F.col("before") + F.sum("size").over(rows) - F.col("size")) / part_bytes)
+    firsts = placed.join(F.broadcast(offsets), "pid").withColumn("part", part).groupBy("part").agg(F.min("doc_id").alias("doc_id"))
+    return np.sort(np.asarray(firsts.select("doc_id").toArrow().column(0)).astype(np.int64))
+
+
 def neighbours(docs: DataFrame, part_bytes: int = 16 << 20) -> DataFrame:
     """doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next for every row.
 
-    Documents are dealt by ranges of doc_id, once; each range also gets the first document of the range after
-    it.  Null texts count as empty.  Rows that share a doc_id are ordered by text, equal rows count as one; a
-    null doc_id orders first.  An empty table gives no rows; other columns are ignored."""
+    Documents are dealt by ranges of doc_id of about equal bytes, once; each range also gets the first document of
+    the range after it.  Null texts count as empty.  Rows that share a doc_id are ordered by text, equal rows count
+    as one; a null doc_id orders first.  An empty table gives no rows; other columns are ignored."""
     base, back = unique_ids(docs)
-    size, low = base.agg(F.sum(F.octet_length("text")), F.min("doc_id")).first()
-    parts = max(1, -(-(size or 0) // part_bytes))
-    shares = [i / parts for i in range(1, parts)]
-    bounds = sorted(set(base.agg(F.percentile_approx("doc_id", shares, 20 * parts)).first()[0] or [])) if shares else []
-    shared = docs.sparkSession.sparkContext.broadcast(np.array(bounds, np.int64))  # one number for 16 MB of text
-
-    @F.pandas_udf("int")
-    def part_of(ids: pd.Series) -> pd.Series:
-        return pd.Series(np.searchsorted(shared.value, ids.to_numpy(), "right").astype(np.int32))
-
-    placed = base.withColumn("part", part_of("doc_id"))
-    heads = base.select("doc_id").withColumn("part", part_of("doc_id")).groupBy("part").agg(F.min("doc_id").alias("doc_id")).collect()
-    order = sorted((r["part"], r["doc_id"]) for r in heads)
-    before = {head: order[i - 1][0] for i, (_, head) in enumerate(order)}  # the first follows the last
-    if not before:
-        before = {-1: 0}
-    extra = docs.sparkSession.createDataFrame(list(before.items()), "doc_id long, part int")
-    extra = base.join(F.broadcast(extra), "doc_id").select("doc_id", "text", "part", F.lit(True).alias("head"))
-    rows = placed.withColumn("head", F.lit(False)).unionByName(extra).repartition(parts, "part").sortWithinPartitions("part", "head", "doc_id")
+    cuts = _cuts(base, part_bytes)
+    parts = max(1, len(cuts))
+    shared = docs.sparkSession.sparkContext.broadcast(cuts)
+
+    def deal(batches):
+        """Each row with its range, and the first row of a range also, as head, for the range before."""
+        for batch in batches:
+            ids = np.asarray(column(batch, "doc_id"))
+            at = np.searchsorted(shared.value, ids, "right") - 1
+            firsts = np.flatnonzero(shared.value[at] == ids)
+            rows = np.concatenate([np.arange(len(ids)), firsts])
+            own = batch.take(pa.array(rows))
+            part = np.concatenate([at, (at[firsts] - 1) % parts]).astype(np.int32)
+            head = np.arange(len(rows)) >= len(ids)
+            yield pa.RecordBatch.from_arrays([*own.columns, pa.array(part), pa.array(head)], names=[*own.schema.names, "part", "head"])
+
+    rows = base.mapInArrow(tidy(deal), "doc_id long, text string, part int, head boolean").repartitionById(parts, F.col("part")).sortWithinPartitions("head", "doc_id")
     fields = [("doc_id", pa.int64()), ("n_chars", pa.int64()), ("edited_sha256", pa.string()), ("fingerprint", pa.string()), ("edited_fingerprint", pa.string()), ("near_edited", pa.float64()), ("near_next", pa.float64())]
 
     def run(batches):
-        held, at = None, None  # the document before, and its range
-        for batch in batches:
+        held = None  # the document before
+        for batch in (part for whole in batches for part in slices(whole, whole.schema.get_field_index("text"))):
             out = []
-            for d, raw, part, head in zip(column(batch, "doc_id").to_pylist(), texts(batch), column(batch, "part").to_pylist(), column(batch, "head").to_pylist(), strict=True):
+            for d, raw, head in zip(column(batch, "doc_id").to_pylist(), texts(batch), column(batch, "head").to_pylist(), strict=True):
                 text = raw.decode()
                 sigs = signatures(text)
-                if held is not None and at == part:
+                if held is not None:
                     own_id, own, own_sigs = held
                     changed = _edited(own, text)
                     other = signatures(changed) if changed != own else own_sigs
                     out.append((own_id, len(own), hashlib.sha256(changed.encode()).hexdigest(), fingerprint(own_sigs), fingerprint(other), likeness(own_sigs, other), likeness(own_sigs, sigs)))
-                held, at = None if head else (d, text, sigs), part
+                held = d, text, sigs
             cols = list(zip(*out, strict=True)) or [[] for _ in fields]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, fields, strict=True)], names=[n for n, _ in fields])
 
-    return back(rows.mapInArrow(run, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"))
+    return back(rows.mapInArrow(tidy(run), "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"))
 
 
 def near_classes(docs: DataFrame, percent: int = 80) -> DataFrame:
@@ -159,8 +178,6 @@ def near_classes(docs: DataFrame, percent: int = 80) -> DataFrame:
 
     spots = arrow_map(reps, split, "doc_id long, n long, sig long")
     often = spots.groupBy("sig").agg(F.count("*").alias("often"))
-    from pyspark.sql import Window
-
     rare = Window.partitionBy("doc_id").orderBy("often", "sig")
     need = F.col("n") - F.ceil(F.col("n") * percent / 100 - 1e-9) + 1
     first = spots.join(often, "sig").withColumn("nth", F.row_number().over(rare)).filter((F.col("nth") <= need) & (F.col("often") > 1))
