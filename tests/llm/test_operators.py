@@ -514,11 +514,23 @@ def test_personal_data(spark, make):
     )
     assert all(set(",".join(f"{k}:{a}:{b}" for k, a, b in brute(texts[0])).split(",")) <= set(r["spans"].split(",")) for r in got if r["doc_id"] == 0)
     assert any(r["spans"].startswith("secret:") for r in got)
+    assert all(r["n_spans"] == len([x for x in r["spans"].split(",") if x]) >= r["n_email"] + r["n_ip"] + r["n_card"] + r["n_phone"] for r in got)
+    key = texts[4].split('"')[1]
+    secret = texts[4].index(key)
+    found = {r["spans"] for r in got if (r["doc_id"] or 0) > 10 and r["doc_id"] % len(texts) == 4}  # ids up to 10 have other texts too
+    assert found == {f"secret:{secret}:{secret + len(key)}"}
     clean = pii.redact(make(pairs)).collect()
     assert not any(brute(r["text"] or "") for r in clean) and all(r["n_chars"] == len(r["text"]) for r in clean if r["text"])
     assert pii.report(make([])).count() == 0 and pii.redact(make([])).count() == 0
 
 
+def test_long_secrets_are_candidates():
+    """No cap on the length of a key."""
+    key = "a1b2c" * 1000  # no run of digits that could be a card
+    text = f'token = "{key}" end'
+    assert (pii.KINDS.index("secret"), 9, 5009) in pii.candidates(text, pii.base_spans(text))
+
+
 def test_expectation_maximisation_separates_labelers():
     rng = np.random.default_rng(0)
     truth = rng.random(4000) < 0.4

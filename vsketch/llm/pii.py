@@ -33,9 +33,10 @@ _IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _DIGIT = re.compile(r"[0-9]")
+# 64 and 63: the most that the standards allow for a mailbox name and a label of a domain
 _SPELLED = re.compile(r"\b[A-Za-z0-9._%+-]{1,64}\s?[\[(]?(?:\bat\b|@)[\])]?\s?[A-Za-z0-9-]{1,63}(?:\s?[\[(]?(?:\bdot\b|\.)[\])]?\s?[A-Za-z0-9-]{2,63}){1,4}", re.I)
 _LOOSE_PHONE = re.compile(r"(?<![\w+.-])\(?[0-9]{2,4}[)\x20./-]{1,2}[0-9]{2,4}[\x20./-][0-9]{2,5}(?:[\x20./-][0-9]{2,5})?(?![\w-])")
-_SECRET = re.compile(r"(?<![A-Za-z0-9_+/=-])[A-Za-z0-9_+/=-]{20,200}(?![A-Za-z0-9_+/=-])")
+_SECRET = re.compile(r"(?<![A-Za-z0-9_+/=-])[A-Za-z0-9_+/=-]{20,}+(?![A-Za-z0-9_+/=-])")
 
 # fixed values: ends of domains, issuer prefixes, calling codes, words that stand before personal data
 _ENDS = frozenset("com org net edu gov io de fr es uk it nl ch at be eu info co us ca au in jp cn br ru pl se no dk fi pt mx ar".split())
@@ -261,7 +262,10 @@ def _joined(spans: list[tuple[int, int, int]]) -> str:
 
 
 def report(docs: DataFrame) -> DataFrame:
-    """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans for every row; null texts count as empty."""
+    """doc_id, n_email, n_ip, n_card, n_phone, base_sha256, spans, n_spans (base and added) for every row.
+
+    Null texts count as empty and have no spans; equal texts get equal results, repeated rows and null ids stay;
+    other columns are ignored; an empty table gives an empty one."""
     base = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     shared = docs.sparkSession.sparkContext.broadcast(train_classifier(count_votes(base)))
 
@@ -269,19 +273,20 @@ def report(docs: DataFrame) -> DataFrame:
         find = Finder(shared.value)
 
         def step(batch):
-            counts, sha, spans = [[] for _ in range(BASE_KINDS)], [], []
+            counts, sha, spans, total = [[] for _ in range(BASE_KINDS)], [], [], []
             for raw in texts(batch):
                 strict, every = find(raw.decode())
                 for k, c in enumerate(counts):
                     c.append(sum(s[0] == k for s in strict))
                 sha.append(hashlib.sha256(_joined(strict).encode()).hexdigest())
                 spans.append(_joined(every))
+                total.append(len(every))
             named = {f"n_{KINDS[k]}": pa.array(c, pa.int64()) for k, c in enumerate(counts)}
-            return {"doc_id": column(batch, "doc_id")} | named | {"base_sha256": pa.array(sha, pa.string()), "spans": pa.array(spans, pa.string())}
+            return {"doc_id": column(batch, "doc_id")} | named | {"base_sha256": pa.array(sha, pa.string()), "spans": pa.array(spans, pa.string()), "n_spans": pa.array(total, pa.int64())}
 
         return step
 
-    return arrow_map(base, make, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string")
+    return arrow_map(base, make, "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_spans long", slice_by="text")
 
 
 def masked(text: str, spans: list[tuple[int, int, int]]) -> str:
@@ -295,7 +300,9 @@ def masked(text: str, spans: list[tuple[int, int, int]]) -> str:
 
 
 def redact(docs: DataFrame) -> DataFrame:
-    """Rows of docs, all columns; text with personal data masked, and n_chars (if there) of the new text."""
+    """Rows of docs, all columns; text with personal data masked, and n_chars (if there) of the new text.
+
+    Null texts stay null, texts without spans stay as they are, repeated rows stay; an empty table gives an empty one."""
     shared = docs.sparkSession.sparkContext.broadcast(train_classifier(count_votes(docs)))
     at = docs.columns.index("text")
     chars = docs.columns.index("n_chars") if "n_chars" in docs.columns else None
