@@ -131,6 +131,39 @@ def test_language_model(spark, make):
     assert classlm.score(make([]), classes=4, words=4, groups=2).count() == 0
 
 
+def test_class_model_scores_by_brute_force(make):
+    """The score of every text from word classes and counted transitions; probabilities sum to 1."""
+    rng = random.Random(21)
+    vocabulary = [f"w{i}" for i in range(40)]
+    pairs = [(i, " ".join(rng.choice(vocabulary[: 5 + i % 36]) for _ in range(rng.randint(0, 25)))) for i in range(150)] + [(500, "unseen w1 unseen2"), (501, None)]
+    how = dict(classes=5, words=6, groups=3, table_words=12, pull=2.0, blend=0.1)
+    model = classlm.fit(make(pairs), **how)
+    got = {r["doc_id"]: r["score"] for r in classlm.score(make(pairs), **how).collect()}
+    train = lambda i: crc32(str(i).encode()) % 5 != 1
+    texts = {i: (t or "").split() for i, t in pairs}
+    c = Counter(w for i, t in texts.items() if train(i) for w in [*t, None])
+    norm = sum(c.values()) + 0.5 * (len(c) + 1)
+    home = {w.decode(): int(model.of_table[k]) for w, k in model.units.place.items()} | {r["word"]: r["class"] for r in model.rare.collect()} | {None: 0}
+    assert set(home) == set(c)
+    class_of = lambda w: home[w] if w in home else int(model.of_group[crc32(w.encode()[-3:]) % 3])
+    moves, share = np.zeros((5, 5)), np.zeros(5)
+    for i, t in texts.items():
+        if train(i):
+            line = [0, *map(class_of, t), 0]
+            for a, b in zip(line, line[1:], strict=False):
+                moves[a, b] += 1
+    for w, n in c.items():
+        share[home[w]] += (n + 0.5) / norm
+    step = (moves + 2.0 * share) / (moves.sum(1, keepdims=True) + 2.0)
+    chance = lambda w, before: 0.9 * step[before, class_of(w)] * (c[w] + 0.5) / norm / share[class_of(w)] + 0.1 * (c[w] + 0.5) / norm
+    for i, t in texts.items():
+        line = [None, *t, None]
+        want = sum(log10(chance(b, class_of(a))) for a, b in zip(line, line[1:], strict=False))
+        assert abs(got[i] - want) < 1e-6, (i, got[i], want)
+    for before in range(5):  # what unseen words share is half a count
+        assert 1 - 0.5 / norm - 1e-9 <= sum(chance(w, before) for w in c) <= 1 + 1e-9
+
+
 def test_exchange_finds_alternating_classes():
     pairs = np.zeros((9, 9))
     for a in range(1, 9):

@@ -5,12 +5,13 @@ of these ``words`` + ``groups`` units runs until no unit moves.  Then every othe
 more gets the class of the highest likelihood of its own contexts, counted for each word in Spark; only words seen
 once, or never, keep the class of their spelling group.  Class transitions are counted again with these classes, over
 every training text.  The emission of a word in its class is its smoothed unigram share of the class, so a text's
-score is its unigram score plus a sum over class transitions.  The ``table_words`` commonest words, their counts and
-classes are broadcast (a fixed bound); counts and classes of all others are joined by word."""
+score is its unigram score plus a sum over class transitions.  The ``table_words`` commonest words of up to 64 bytes,
+their counts and classes are broadcast (a fixed bound); counts and classes of all others are joined by word."""
 
 from __future__ import annotations
 
 from collections import Counter
+from dataclasses import dataclass
 from itertools import repeat
 from zlib import crc32
 
@@ -22,6 +23,7 @@ from pyspark.sql import functions as F
 from .common import arrow_map, column, table, texts
 
 END_WORD = ""  # no word is empty
+WORD_BYTES = 64  # longer words are never in the broadcast table but joined by word, with the same counts and classes
 
 
 def tokens(text: bytes) -> list[bytes]:
@@ -307,18 +309,34 @@ def rare_links(encoded: DataFrame, rare: DataFrame, model, norm: float) -> DataF
     return arrow_map(rows.repartition("doc").groupBy("doc").agg(F.collect_list("mark").alias("marks")), link, "row long, train boolean, keys array<int>, rest double, rest_known long")
 
 
-def score(docs: DataFrame, classes: int = 48, words: int = 1500, groups: int = 300, table_words: int = 100_000, pull: float = 5.0, blend: float = 0.03) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of docs.
-
-    Null texts count as empty (one token, the end).  A null doc_id counts as the empty string and is trained
-    on.  Rows that share a doc_id are scored each, and every row counts in training.  Without training texts all counts are zero.
-    ``pull`` smooths transitions towards the unigram share of a class, ``blend`` mixes in the unigram model."""
+@dataclass
+class Fitted:
+    """A model and the encoded texts.  Words of the table by place: names, counts, classes; those beyond it in ``rare``
+    (word, n, class); unseen words have the class of their spelling group, class 0 is the end's.  ``gain``: log10 of how
+    much likelier a class is after a class than by itself, so that log10 P(word | class before) is the base score of the
+    word and the gain of its class."""
+
+    units: Units
+    n_known: np.ndarray
+    n_end: int
+    total: int
+    norm: float
+    of_table: np.ndarray
+    of_group: np.ndarray
+    rare: DataFrame
+    gain: np.ndarray
+    encoded: DataFrame
+    links: DataFrame
+
+
+def fit(docs: DataFrame, classes: int = 48, words: int = 1500, groups: int = 300, table_words: int = 100_000, pull: float = 5.0, blend: float = 0.03) -> Fitted:
+    """Learns from the rows of docs that are not held out; see score."""
     original = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     spark = docs.sparkSession
     counts = table(word_counts(original.filter(~held_out(F.col("doc_id")))), "lm-words")
     total, types = (x or 0 for x in counts.agg(F.sum("n"), F.count("*")).first())
     norm = total + 0.5 * (types + 1)
-    known = counts.filter(F.col("word") != END_WORD).orderBy(F.desc("n"), "word").limit(table_words).toArrow()  # a fixed bound
+    known = counts.filter((F.col("word") != END_WORD) & (F.octet_length("word") <= WORD_BYTES)).orderBy(F.desc("n"), "word").limit(table_words).toArrow()  # a fixed bound
     ends = counts.filter(F.col("word") == END_WORD).select("n").first()
     n_end = ends[0] if ends else 0
     names, n_known = known.column("word").cast(pa.binary()).to_pylist(), np.asarray(known.column("n")).astype(np.int64)
@@ -371,8 +389,18 @@ def score(docs: DataFrame, classes: int = 48, words: int = 1500, groups: int = 3
     moves = counted(pair_counts(train, spark.sparkContext.broadcast((classes, of_table, np.full(groups, -1)))), classes).astype(np.float64)
     for key, n in links.filter("train").select(F.explode("keys").alias("key")).groupBy("key").count().collect():
         moves[key // classes, key % classes] += n
-    gain = gains(moves, share, pull, blend)
-    model = spark.sparkContext.broadcast((of_table, gain, np.log10((n_known + 0.5) / norm), float(np.log10((n_end + 0.5) / norm))))
+    return Fitted(units, n_known, n_end, int(total), norm, of_table, of_group, rare, gains(moves, share, pull, blend), encoded, links)
+
+
+def score(docs: DataFrame, **how) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of docs; how: as for fit.
+
+    Null texts count as empty (one token, the end).  A null doc_id counts as the empty string and is trained
+    on.  Rows that share a doc_id are scored each, and every row counts in training.  Without training texts all counts are zero.
+    ``pull`` smooths transitions towards the unigram share of a class, ``blend`` mixes in the unigram model."""
+    fitted = fit(docs, **how)
+    norm, n_end, groups, encoded, links = fitted.norm, fitted.n_end, fitted.units.groups, fitted.encoded, fitted.links
+    model = docs.sparkSession.sparkContext.broadcast((fitted.of_table, fitted.gain, np.log10((fitted.n_known + 0.5) / norm), float(np.log10((n_end + 0.5) / norm))))
 
     def read():
         of_table, gain, logs, end = model.value
@@ -409,6 +437,6 @@ def score(docs: DataFrame, classes: int = 48, words: int = 1500, groups: int = 3
     out = kept.join(arrow_map(links.drop("train"), linked, "row long, rest double, rest_known long, rest_more double"), "row", "left").na.fill(0, ["rest", "rest_known", "rest_more"])
     base_score = F.col("base") + F.col("rest")
     return out.select(
-        "doc_id", held_out(F.col("doc_id")).alias("held_out"), "n_tokens", (F.col("n_known") + F.col("rest_known")).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"),
+        "doc_id", held_out(F.col("doc_id")).alias("held_out"), "n_tokens", (F.col("n_known") + F.col("rest_known")).alias("n_known"), F.lit(fitted.total).cast("long").alias("train_tokens"),
         base_score.alias("base_score"), (base_score + F.col("more") + F.col("rest_more")).alias("score"),
     )
