@@ -370,6 +370,7 @@ def keep_first(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
         return without(docs, near_duplicates(docs, size, percent).filter("not kept").select("doc_id"))
     columns = docs.columns
     rows = docs.dropDuplicates(["doc_id", "text"]).orderBy(F.col("doc_id").asc_nulls_first(), F.col("text").asc_nulls_first())
-    rows = table(rows.withColumn("_own_row", F.monotonically_increasing_id()), "rows")
-    found = near_duplicates(rows.select(F.col("_own_row").alias("doc_id"), "text"), size, percent)
-    return without(rows, found.filter("not kept").select(F.col("doc_id").alias("_own_row")), "_own_row").select(*columns)
+    own = next(c for k in range(len(columns) + 1) if (c := f"own_row_{k}") not in columns)
+    rows = table(rows.withColumn(own, F.monotonically_increasing_id()), "rows")
+    found = near_duplicates(rows.select(F.col(own).alias("doc_id"), "text"), size, percent)
+    return without(rows, found.filter("not kept").select(F.col("doc_id").alias(own)), own).select(*columns)
