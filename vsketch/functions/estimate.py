@@ -35,7 +35,10 @@ def std_error(p: int) -> float:
 
 def beta_polynomial(z: np.ndarray, weights) -> np.ndarray:
     log = np.log(np.asarray(z, float) + 1)
-    return weights[0] * np.asarray(z, float) + sum(w * log ** (i + 1) for i, w in enumerate(weights[1:]))
+    out = np.zeros_like(log)
+    for w in reversed(weights[1:]):
+        out = (out + w) * log
+    return out + weights[0] * np.asarray(z, float)
 
 
 def fit_beta(p: int, trials: int = 100, seed: int = 1, spread: float = 6.0) -> tuple[float, ...]:
@@ -65,7 +68,7 @@ def fit_beta(p: int, trials: int = 100, seed: int = 1, spread: float = 6.0) -> t
     return tuple(float(f"{v:.12g}") for v in sol)
 
 
-def estimate(total: Column, filled: Column, spec: SketchSpec, how: str = "linear") -> Column:
+def estimate(total: Column, filled: Column, spec: SketchSpec, how: str = "beta") -> Column:
     """total: sum of 2**-rank over nonzero registers, filled: their number (0 and 0: empty, estimate 0)."""
     r = float(spec.r)
     zeros = F.lit(r) - filled

@@ -73,7 +73,7 @@ def _packed_hops(layer: DataFrame, arcs: DataFrame, spec: SketchSpec, first: int
     return out
 
 
-def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: str = "linear", active: str = "all", until_stable: bool = False, keep_layers: bool = True, cut_every: int = 1, form: str = "rows") -> Balls:
+def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: str = "beta", active: str = "all", until_stable: bool = False, keep_layers: bool = True, cut_every: int = 1, form: str = "rows") -> Balls:
     """Sizes for t = 1..k.
 
     form: ``rows`` keeps a row a register throughout; ``packed`` goes over to a binary a vertex after the first
@@ -118,12 +118,12 @@ def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: st
     return Balls(local.select("x", "t", "n_est"), layers, spec, hops)
 
 
-def two_hop(edges: DataFrame, vst: Vst, how: str = "linear") -> DataFrame:
+def two_hop(edges: DataFrame, vst: Vst, how: str = "beta") -> DataFrame:
     """x, n2: union of the neighbours' sketches only (misses neighbours that lie in no triangle)."""
     return measure(step(vst.regs, both_ways(edges).distinct(), exclusive=True), ["x"], vst.spec, how, "n2")
 
 
-def coloured_ball_sizes(edges: DataFrame, colours: DataFrame, k: int, spec: SketchSpec, all_of: list[str] = (), none_of: list[str] = (), how: str = "linear") -> DataFrame:
+def coloured_ball_sizes(edges: DataFrame, colours: DataFrame, k: int, spec: SketchSpec, all_of: list[str] = (), none_of: list[str] = (), how: str = "beta") -> DataFrame:
     """x, t, n_est: vertices within t hops that have all of some colours and none of others.
 
     colours: x, colour (several rows a vertex).  A predicate gets its own layer 0, which holds matching vertices

@@ -34,7 +34,7 @@ def _sizes(rows: DataFrame, spec: SketchSpec, how: str) -> DataFrame:
     return got.select("u", "v", *(estimate(F.col(f"{c}_t"), F.col(f"{c}_f"), spec, how).alias(n) for c, n in (("a", "n_a"), ("b", "n_b"), ("o", "n_union"))))
 
 
-def inclusion_exclusion(pairs: DataFrame, vst: Vst, how: str = "linear", clamp: bool = True) -> DataFrame:
+def inclusion_exclusion(pairs: DataFrame, vst: Vst, how: str = "beta", clamp: bool = True) -> DataFrame:
     """u, v, inter, a_only, b_only, n_union.  clamp: into [0, smaller set]; without, it may be negative."""
     got = _sizes(side_by_side(pairs, vst), vst.spec, how)
     inter = F.col("n_a") + F.col("n_b") - F.col("n_union")
@@ -83,53 +83,82 @@ def log_likelihood(theta: np.ndarray, counts: np.ndarray, r: int, q: int) -> np.
     return out + (counts[:, 4] * np.where(k == 0, -(a + b + x), equal)).sum(1)
 
 
-def joint_ml(counts: np.ndarray, start: np.ndarray, spec: SketchSpec, rounds: int = 30, tol: float = 1e-4) -> tuple[np.ndarray, np.ndarray]:
+def _slopes(lam: np.ndarray, k: np.ndarray, r: int, q: int) -> tuple[np.ndarray, np.ndarray]:
+    """First and second derivative of _log_f by lam (rows x levels)."""
+    s = 1 / (r * np.exp2(np.minimum(k, q)))[None, :]
+    v = np.maximum(lam[:, None] * s, 1e-300)
+    grown = np.expm1(np.minimum(v, 700.0))
+    first = np.where(k == 0, 0.0, s / grown) - np.where(k <= q, s, 0.0)
+    return first, np.where(k == 0, 0.0, s * s / (grown * np.expm1(-np.minimum(v, 700.0))))
+
+
+def derivatives(theta: np.ndarray, counts: np.ndarray, r: int, q: int) -> tuple[np.ndarray, np.ndarray]:
+    """Gradient (rows x 3) and Hessian (rows x 3 x 3) of log_likelihood by theta, in closed form."""
+    k = np.arange(counts.shape[2])
+    size = np.exp(np.clip(theta, -30, 40))
+    la, lb, lx = size.T
+    g, h = np.zeros((len(theta), 3)), np.zeros((len(theta), 3, 3))
+    for kind, (lam, of) in enumerate((((la + lx), (0, 2)), (la, (0,)), ((lb + lx), (1, 2)), (lb, (1,)))):
+        first, second = _slopes(lam, k, r, q)
+        first, second = (counts[:, kind] * first).sum(1), (counts[:, kind] * second).sum(1)
+        for i in of:
+            g[:, i] += first
+            for j in of:
+                h[:, i, j] += second
+    s = 1 / (r * np.exp2(np.minimum(k, q)))
+    a, b, x = (l[:, None] * s for l in (la, lb, lx))
+    bracket = np.maximum(-np.expm1(-x) + np.exp(-x) * np.expm1(-a) * np.expm1(-b), 1e-300)
+    only_a, only_b, all_ = -np.exp(-a - x) * np.expm1(-b), -np.exp(-b - x) * np.expm1(-a), np.exp(-a - b - x)
+    by = [only_a / bracket, only_b / bracket, (only_a + only_b + all_) / bracket]
+    n = counts[:, 4] * (k > 0)
+    plain = (counts[:, 4] * np.where(k <= q, s, 0.0)).sum(1)
+    twice = {(0, 0): -by[0], (1, 1): -by[1], (2, 2): -by[2], (0, 1): all_ / bracket, (0, 2): -by[0], (1, 2): -by[1]}
+    for i in range(3):
+        g[:, i] += (n * s * by[i]).sum(1) - plain
+        for j in range(i, 3):
+            h[:, i, j] += (n * s * s * (twice[i, j] - by[i] * by[j])).sum(1)
+            h[:, j, i] = h[:, i, j]
+    grad = size * g
+    return grad, h * size[:, :, None] * size[:, None, :] + np.eye(3) * grad[:, :, None]
+
+
+LOW, HIGH = -9.0, 25.0  # logs of the smallest and largest size
+
+
+def joint_ml(counts: np.ndarray, start: np.ndarray, spec: SketchSpec, rounds: int = 60, tol: float = 1e-10) -> tuple[np.ndarray, np.ndarray]:
     """Sizes (A only, B only, both) that make the statistics likeliest, and their standard errors.
 
     Damped Newton over log sizes for all rows at once, with a floor on the curvature and halved steps."""
-    r, q, h = spec.r, spec.q, 1e-3
-    theta = np.log(np.maximum(start, 1.0))
+    r, q = spec.r, spec.q
+    theta = np.clip(np.log(np.maximum(start, 1.0)), LOW, HIGH)
     counts = counts[:, :, : max(2, int(np.flatnonzero(counts.sum((0, 1))).max(initial=0)) + 1)]
-    eye, low, high = np.eye(3) * h, -9.0, 25.0
-
-    def bend(t: np.ndarray, c: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        f = lambda d: log_likelihood(t + d, c, r, q)
-        up, down = [f(e) for e in eye], [f(-e) for e in eye]
-        grad = np.stack([(u - d) / (2 * h) for u, d in zip(up, down, strict=True)], 1)
-        hess = np.zeros((len(t), 3, 3))
-        for i in range(3):
-            hess[:, i, i] = (up[i] - 2 * at + down[i]) / h**2
-            for j in range(i):
-                both = (f(eye[i] + eye[j]) - up[i] - up[j] + 2 * at - down[i] - down[j] + f(-eye[i] - eye[j])) / (2 * h**2)
-                hess[:, i, j] = hess[:, j, i] = both
-        return grad, hess
-
     todo = np.arange(len(theta))
     for _ in range(rounds):
         if not len(todo):
             break
         t, c = theta[todo], counts[todo]
         at = log_likelihood(t, c, r, q)
-        grad, hess = bend(t, c, at)
+        grad, hess = derivatives(t, c, r, q)
         value, vector = np.linalg.eigh(-hess)
-        value = np.maximum(value, 1e-2)
+        value = np.maximum(value, 1e-6)
         move = np.einsum("nij,nj->ni", vector, np.einsum("nji,nj->ni", vector, grad) / value)
         move = np.clip(move, -3, 3)
-        best, gain = t.copy(), at.copy()
+        best = t.copy()
         step, open_ = np.ones(len(t)), np.ones(len(t), bool)
-        for _ in range(8):
-            tried = np.clip(t[open_] + step[open_, None] * move[open_], low, high)
+        for _ in range(12):
+            tried = np.clip(t[open_] + step[open_, None] * move[open_], LOW, HIGH)
             f = log_likelihood(tried, c[open_], r, q)
-            ok = f >= at[open_]
             where = np.flatnonzero(open_)
-            best[where[ok]], gain[where[ok]] = tried[ok], f[ok]
+            # near the top a step of Newton is right even where rounding hides the gain
+            ok = (f >= at[open_]) | (np.abs(move[open_]).max(1) < 1e-4)
+            best[where[ok]] = tried[ok]
             open_[where[ok]] = False
             if not open_.any():
                 break
             step[open_] /= 2
         theta[todo] = best
-        todo = todo[(np.abs(best - t).max(1) > tol) & (gain - at > 1e-9)]
-    grad, hess = bend(theta, counts, log_likelihood(theta, counts, r, q))
+        todo = todo[np.abs(best - t).max(1) > tol]
+    _, hess = derivatives(theta, counts, r, q)
     value, vector = np.linalg.eigh(-hess)
     spread = np.sqrt(np.einsum("nij,nj->ni", vector**2, 1 / np.maximum(value, 1e-6)))
     size = np.exp(theta)
@@ -150,29 +179,55 @@ def estimate_pairs(a: np.ndarray, b: np.ndarray, spec: SketchSpec, how: str, siz
     return {"inter": size[:, 2], "a_only": size[:, 0], "b_only": size[:, 1], "n_union": size.sum(1), "se": se[:, 2]}
 
 
-def intersect_packed(pairs: DataFrame, vst: Vst, how: str = "ml", rows: int = 1024) -> DataFrame:
-    """u, v, inter, a_only, b_only, n_union, se from packed sketches, a batch of pairs at a time.
+#: Edges of one vertex beyond which its sketch is sent to several tasks.
+HUB = 20_000
 
-    Vertices without a sketch count as empty sets (the pair is left out)."""
-    spec = vst.spec
 
-    def sized(batches):
-        for batch in batches:
-            yield batch.append_column("n", pa.array(estimate_array(to_dense(batch.column(1), batch.column(2), spec), "beta")))
+def oriented(pairs: DataFrame, sizes: DataFrame, hub: int = HUB) -> DataFrame:
+    """u, v, s, l, n_s, n_l, salt: the end with the smaller sketch first, and a part of the other end's pairs.
+
+    sizes: x, n, nz (registers that are not zero).  Pairs of a vertex without a sketch are left out."""
+    one, two = (sizes.select(F.col("x").alias(c), F.col("n").alias(f"n_{c}"), F.col("nz").alias(f"nz_{c}")) for c in "uv")
+    both = pairs.select("u", "v").join(one, "u").join(two, "v")
+    first = (F.col("nz_u") < F.col("nz_v")) | ((F.col("nz_u") == F.col("nz_v")) & (F.col("u") < F.col("v")))
+    pick = lambda a, b: F.when(first, F.col(a)).otherwise(F.col(b))
+    both = both.select("u", "v", pick("u", "v").alias("s"), pick("v", "u").alias("l"), pick("n_u", "n_v").alias("n_s"), pick("n_v", "n_u").alias("n_l"))
+    return both.withColumn("salt", F.pmod(F.xxhash64("s"), _copies("n_l", hub)).cast("int"))
 
-    packed = pack(vst.regs, spec).select("x", "mode", "regs").mapInArrow(sized, "x long, mode tinyint, regs binary, n double")
-    one, two = (packed.select(F.col("x").alias(c), *(F.col(k).alias(f"{k}_{c}") for k in ("mode", "regs", "n"))) for c in "uv")
-    both = pairs.select("u", "v").join(one, "u").join(two, "v").select("u", "v", "mode_u", "regs_u", "n_u", "mode_v", "regs_v", "n_v")
+
+def _copies(n: str, hub: int) -> Column:
+    return F.greatest(F.lit(1), F.ceil(F.col(n) / hub)).cast("int")
+
+
+def intersect_packed(pairs: DataFrame, vst: Vst, how: str = "ml", rows: int = 1024, hub: int = HUB) -> DataFrame:
+    """u, v, inter, a_only, b_only, n_union, se, n_u, n_v from packed sketches, a batch of pairs at a time.
+
+    Only the smaller sketch of a pair travels, to where the larger one is; a hub's sketch is there in as many
+    copies as its estimated pairs need.  Vertices without a sketch count as empty sets (the pair is left out)."""
+    spec = vst.spec
+    sums = vst.regs.groupBy("x").agg(F.sum(F.pow(F.lit(2.0), -F.col("rho"))).alias("t"), F.count("*").alias("nz"))
+    sizes = sums.select("x", estimate(F.col("t"), F.col("nz").cast("double"), spec, "beta").alias("n"), "nz")
+    packed = pack(vst.regs, spec).select("x", "mode", "regs")
+    edges = oriented(pairs, sizes, hub)
+    small = packed.select(F.col("x").alias("s"), F.col("mode").alias("mode_s"), F.col("regs").alias("regs_s"))
+    copies = F.explode(F.sequence(F.lit(0), _copies("n", hub) - 1)).alias("salt")
+    large = packed.join(sizes.select("x", "n"), "x").select(F.col("x").alias("l"), F.col("mode").alias("mode_l"), F.col("regs").alias("regs_l"), copies)
+    both = edges.join(small, "s").join(large, ["l", "salt"]).select("u", "v", "s", "n_s", "n_l", "mode_s", "regs_s", "mode_l", "regs_l")
+    names = ("inter", "a_only", "b_only", "n_union", "se", "n_u", "n_v")
 
     def run(batches):
         for batch in batches:
             for i in range(0, batch.num_rows, rows):
                 part = batch.slice(i, rows)
-                a, b = (to_dense(part.column(k), part.column(k + 1), spec) for k in (2, 5))
-                got = estimate_pairs(a, b, spec, how, (np.asarray(part.column(4)), np.asarray(part.column(7))))
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), *(pa.array(x) for x in got.values())], names=["u", "v", *got])
+                u, s, n_s, n_l = (np.asarray(part.column(k)) for k in (0, 2, 3, 4))
+                a, b = (to_dense(part.column(k), part.column(k + 1), spec) for k in (5, 7))
+                got = estimate_pairs(a, b, spec, how, (n_s, n_l))
+                same = s == u
+                got["a_only"], got["b_only"] = np.where(same, got["a_only"], got["b_only"]), np.where(same, got["b_only"], got["a_only"])
+                got["n_u"], got["n_v"] = np.where(same, n_s, n_l), np.where(same, n_l, n_s)
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), *(pa.array(got[c]) for c in names)], names=["u", "v", *names])
 
-    return both.mapInArrow(run, "u long, v long, inter double, a_only double, b_only double, n_union double, se double")
+    return both.mapInArrow(run, "u long, v long, " + ", ".join(f"{c} double" for c in names))
 
 
 def intersect_theta(edges: DataFrame, pairs: DataFrame, lg: int = 12) -> DataFrame:
@@ -185,11 +240,12 @@ def intersect_theta(edges: DataFrame, pairs: DataFrame, lg: int = 12) -> DataFra
 
 
 def intersect(pairs: DataFrame, vst: Vst, how: str = "ml", edges: DataFrame | None = None) -> DataFrame:
-    """u, v, inter, n_union by ``ie`` (relational), ``ie_packed``, ``ml``, ``theta`` or ``exact`` (both need edges)."""
-    if how == "ie":
-        return inclusion_exclusion(pairs, vst).select("u", "v", "inter", "n_union")
-    if how in ("ml", "ie_packed"):
-        return intersect_packed(pairs, vst, how[:2]).select("u", "v", "inter", "n_union")
+    """u, v, inter, n_union, n_u, n_v (estimated sizes of both sets) by ``ie`` (packed), ``ie_rows`` (relational: a row a
+    register, for a check or few registers), ``ml``, ``theta`` or ``exact`` (both need edges, and have no sizes)."""
+    if how == "ie_rows":
+        return inclusion_exclusion(pairs, vst).select("u", "v", "inter", "n_union", (F.col("a_only") + F.col("inter")).alias("n_u"), (F.col("b_only") + F.col("inter")).alias("n_v"))
+    if how in ("ml", "ie", "ie_packed"):
+        return intersect_packed(pairs, vst, how[:2]).select("u", "v", "inter", "n_union", "n_u", "n_v")
     if how == "theta":
         return intersect_theta(edges, pairs)
     if how == "exact":

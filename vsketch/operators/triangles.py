@@ -11,6 +11,7 @@ from .joint import intersect
 from .vst import Vst
 
 DIGITS = 6
+ML_DIGITS = 2  # the likelihood's top is found to far more, but another engine's logarithms move the last digits
 #: Sums of estimates are taken in decimals, so that they don't depend on the order of rows.
 EXACT = "decimal(28,6)"
 
@@ -20,15 +21,17 @@ def edge_triangles(edges: DataFrame, vst: Vst, how: str = "ml", clamp: bool = Tr
 
     An edge's triangles are the common neighbours of its ends.  clamp: into [0, smaller degree - 1], since
     each end is the other's neighbour and never a common one."""
+    digits = ML_DIGITS if how == "ml" else DIGITS
     got = intersect(edges, vst, how, edges)
     t = F.col("inter")
     if clamp:
-        d = vst.degree()
-        du, dv = (d.select(F.col("x").alias(c), F.col("d_est").alias(f"d{c}")) for c in "uv")
-        got = got.join(du, "u").join(dv, "v")
-        t = F.greatest(F.lit(0.0), F.least(t, F.col("du") - 1, F.col("dv") - 1))
-    t = F.round(t, DIGITS)
-    return got.select("u", "v", t.alias("t_est"), F.round(F.when(F.col("n_union") > 0, t / F.col("n_union")).otherwise(0.0), DIGITS).alias("density"))
+        if "n_u" not in got.columns:
+            d = vst.degree()
+            du, dv = (d.select(F.col("x").alias(c), F.col("d_est").alias(f"n_{c}")) for c in "uv")
+            got = got.join(du, "u").join(dv, "v")
+        t = F.greatest(F.lit(0.0), F.least(t, F.col("n_u") - 1, F.col("n_v") - 1))
+    t = F.round(t, digits)
+    return got.select("u", "v", t.alias("t_est"), F.round(F.when(F.col("n_union") > 0, t / F.col("n_union")).otherwise(0.0), digits).alias("density"))
 
 
 def top_edges(per_edge: DataFrame, k: int, ties: str = "cut", value: str = "t_est") -> DataFrame:

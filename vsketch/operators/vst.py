@@ -29,7 +29,7 @@ def merge(rows: DataFrame, keys: list[str]) -> DataFrame:
     return rows.groupBy(*keys, "j").agg(F.max("rho").alias("rho"))
 
 
-def measure(regs: DataFrame, keys: list[str], spec: SketchSpec, how: str = "linear", name: str = "n_est") -> DataFrame:
+def measure(regs: DataFrame, keys: list[str], spec: SketchSpec, how: str = "beta", name: str = "n_est") -> DataFrame:
     """keys.., estimate of each sketch.  A sum of dyadic numbers: the same in any order."""
     sums = regs.groupBy(*keys).agg(F.sum(F.pow(F.lit(2.0), -F.col("rho"))).alias("_total"), F.count("*").cast("double").alias("_filled"), F.sum("rho").cast("double").alias("_ranks"))
     value = estimate_geo(F.col("_ranks"), spec) if how == "geo" else estimate(F.col("_total"), F.col("_filled"), spec, how)
@@ -43,14 +43,14 @@ class Vst:
     regs: DataFrame
     spec: SketchSpec
 
-    def degree(self, how: str = "linear", ids: DataFrame | None = None) -> DataFrame:
+    def degree(self, how: str = "beta", ids: DataFrame | None = None) -> DataFrame:
         """x, d_est; with ids (a column x) also for vertices without neighbours (0)."""
         if ids is None:
             return measure(self.regs, ["x"], self.spec, how, "d_est")
         found = measure(self.regs.join(ids.select("x").distinct(), "x", "left_semi"), ["x"], self.spec, how, "d_est")
         return ids.select("x").distinct().join(found, "x", "left").select("x", F.coalesce("d_est", F.lit(0.0)).alias("d_est"))
 
-    def union_size(self, groups: DataFrame, how: str = "linear") -> DataFrame:
+    def union_size(self, groups: DataFrame, how: str = "beta") -> DataFrame:
         """gid, n_est: size of the union of neighbour sets of each group's vertices.  groups: gid, x."""
         merged = merge(groups.select("gid", "x").join(self.regs, "x").select("gid", "j", "rho"), ["gid"])
         return measure(merged, ["gid"], self.spec, how)

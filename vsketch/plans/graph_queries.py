@@ -198,7 +198,15 @@ add("i_inclusion_exclusion_raw", _pairs("event_prox300", lambda e, t: _rounded(j
 _KIND = "SELECT u, v, {k} AS kind, {c} AS k FROM sides WHERE {w}"
 _COUNTS = " UNION ALL ".join(_KIND.format(k=f"'{k}'", c=c, w=w) for k, c, w in (("a_lt", "a", "a < b"), ("b_gt", "b", "a < b"), ("a_gt", "a", "a > b"), ("b_lt", "b", "a > b"), ("eq", "a", "a = b")))
 add("i_joint_counts", _pairs("event_prox60", lambda e, t: joint.joint_counts(e, t)), S.head("event_prox60", "pairs AS (SELECT * FROM e)", S.SIDES) + f"SELECT u, v, kind, k, count(*) AS cnt FROM ({_COUNTS}) GROUP BY 1, 2, 3, 4 UNION ALL SELECT u, v, 'eq', 0, 256 - count(*) FROM sides GROUP BY 1, 2 HAVING count(*) < 256")
-add("i_joint_ml", lambda s, d: joint.intersect_packed(*_vst(s, d, "event_prox60", ML12), "ml"))
+
+
+def _joint_ml(s, d):
+    """Sizes where the joint likelihood is highest, and the standard error where the intersection is not next to none."""
+    got = joint.intersect_packed(*_vst(s, d, "event_prox60"), "ml")
+    return got.select("u", "v", *(F.round(c, 2).alias(c) for c in ("inter", "a_only", "b_only")), F.round(F.when(F.col("inter") >= 1, F.col("se")), 2).alias("se"))
+
+
+add("i_joint_ml", _joint_ml, S.head("event_prox60", "pairs AS (SELECT * FROM e)", *_IE, *S.joint_ml()) + "SELECT u, v, round(inter, 2) AS inter, round(a_only, 2) AS a_only, round(b_only, 2) AS b_only, round(CASE WHEN inter >= 1 THEN se END, 2) AS se FROM ml")
 add("i_theta", lambda s, d: joint.intersect_theta(graph(s, d, "event_prox300"), graph(s, d, "event_prox300")))
 _EXACT_PAIRS = "met AS (SELECT e.u, e.v, count(b.y) AS n FROM e LEFT JOIN arcs a ON a.x = e.u LEFT JOIN arcs b ON b.x = e.v AND b.y = a.y GROUP BY 1, 2)"
 add("i_exact", lambda s, d: exact.intersections(graph(s, d, "docline"), graph(s, d, "docline")), S.head("docline", S.DEGREE, _EXACT_PAIRS) + "SELECT m.u, m.v, CAST(n AS DOUBLE) AS inter, CAST(p.d + q.d - n AS DOUBLE) AS n_union FROM met m JOIN deg p ON p.x = m.u JOIN deg q ON q.x = m.v")
@@ -227,9 +235,27 @@ add("clustering_local", _tri("docline", lambda p, e: triangles.clustering(triang
 add("transitivity", _tri("event_prox300", lambda p, e: triangles.transitivity(p, e)), _E("event_prox300", S.DEGREE) + "SELECT round(3 * round(CAST(sum(CAST(t_est AS DECIMAL(28,6))) AS DOUBLE) / 3, 4) / (SELECT sum(d * (d - 1) / 2) FROM deg), 6) AS transitivity FROM per_edge")
 add("topk_edges_per_vertex", _tri("event_prox60", lambda p, e: triangles.top_edges_by_vertex(p, 3)), _E("event_prox60") + "SELECT * FROM (SELECT x, u, v, t_est, CAST(row_number() OVER (PARTITION BY x ORDER BY t_est DESC, u, v) AS INTEGER) AS nth FROM (SELECT u AS x, u, v, t_est FROM per_edge UNION ALL SELECT v, u, v, t_est FROM per_edge)) WHERE nth <= 3")
 add("tri_edge_top100_pruned", lambda s, d: triangles.top_edges_pruned(*_vst(s, d, "docline"), 100, "ie"), _E("docline") + "SELECT * FROM per_edge ORDER BY t_est DESC, u, v LIMIT 100")
-add("tri_edge_top100_ml", _tri("docline", lambda p, e: triangles.top_edges(p, 100), ML12, "ml"))
-add("tri_vertex_top100_ml", _tri("event_prox60", lambda p, e: triangles.top_vertices(triangles.vertex_triangles(p), 100), ML12, "ml"))
-add("tri_global_ml", _tri("event_prox60", lambda p, e: triangles.total(p), ML12, "ml"))
+_M = lambda name, *more: S.head(name, *S.edge_ml(), *more)
+add("tri_edge_top100_ml", _tri("docline", lambda p, e: triangles.top_edges(p, 100), how="ml"), _M("docline") + "SELECT * FROM per_edge ORDER BY t_est DESC, u, v LIMIT 100")
+add("tri_vertex_top100_ml", _tri("event_prox60", lambda p, e: triangles.top_vertices(triangles.vertex_triangles(p), 100), how="ml"), _M("event_prox60", _V) + "SELECT * FROM per_v ORDER BY t_est DESC, x LIMIT 100")
+add("tri_global_ml", _tri("event_prox60", lambda p, e: triangles.total(p), how="ml"), _M("event_prox60") + "SELECT round(coalesce(CAST(sum(CAST(t_est AS DECIMAL(28,6))) AS DOUBLE), 0.0) / 3, 4) AS t_est FROM per_edge")
+
+
+def _heavy_hitters(s, d):
+    """The three answers of one pass, as rows: kind, first and second vertex (or none), estimate."""
+    edges, table = _vst(s, d, "event_prox60")
+    e, v, t = triangles.heavy_hitters(edges, table, 20, "ml")
+    none = F.lit(None).cast("long")
+    rows = e.select(F.lit("edge").alias("kind"), "u", "v", "t_est").unionByName(v.select(F.lit("vertex").alias("kind"), F.col("x").alias("u"), none.alias("v"), "t_est"))
+    return rows.unionByName(t.select(F.lit("total").alias("kind"), none.alias("u"), none.alias("v"), "t_est"))
+
+
+add(
+    "tri_heavy_hitters_ml", _heavy_hitters,
+    _M("event_prox60", _V) + "SELECT * FROM (SELECT 'edge' AS kind, u, v, t_est FROM per_edge ORDER BY t_est DESC, u, v LIMIT 20) UNION ALL SELECT * FROM (SELECT 'vertex', x, NULL, t_est FROM per_v ORDER BY t_est DESC, x LIMIT 20) "
+    "UNION ALL SELECT 'total', NULL, NULL, round(coalesce(CAST(sum(CAST(t_est AS DECIMAL(28,6))) AS DOUBLE), 0.0) / 3, 4) FROM per_edge",
+)
+add("tri_edges_rows", _tri("docline", lambda p, e: p, how="ie_rows"), _E("docline") + "SELECT * FROM per_edge")
 
 # exact
 add("x_degree", lambda s, d: exact.degrees(graph(s, d, "copart")), S.head("copart", S.DEGREE) + "SELECT * FROM deg")

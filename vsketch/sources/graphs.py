@@ -74,7 +74,7 @@ _LINES = "SELECT DISTINCT doc_id, trim(line, ' ') AS line FROM (SELECT doc_id, u
 SQL: dict[str, str] = {
     "copart": _pairs("lineitem", "l_orderkey", "l_partkey"),
     "cosupp": _pairs("lineitem", "l_orderkey", "l_suppkey"),
-    "docline": f"WITH l AS ({_LINES}), k AS (SELECT line FROM l GROUP BY line HAVING count(*) BETWEEN 2 AND 200) SELECT DISTINCT a.doc_id AS u, b.doc_id AS v FROM l a JOIN k ON k.line = a.line JOIN l b ON b.line = a.line AND a.doc_id < b.doc_id",
+    "docline": f"WITH l AS ({_LINES}), k AS (SELECT line FROM l GROUP BY line HAVING count(*) >= 2) SELECT DISTINCT a.doc_id AS u, b.doc_id AS v FROM l a JOIN k ON k.line = a.line JOIN l b ON b.line = a.line AND a.doc_id < b.doc_id",
     "cust_part": _canon("SELECT o_custkey * 2 AS u, l_partkey * 2 + 1 AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey"),
     "cust_supp": _canon("SELECT o_custkey * 2 AS u, l_suppkey * 2 + 1 AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey"),
     "part_supp": _canon("SELECT l_partkey * 2 AS u, l_suppkey * 2 + 1 AS v FROM lineitem"),
