@@ -39,8 +39,9 @@ class Balls:
         return self.local.groupBy("t").agg(F.sum("n_est").alias("n_est"))
 
     def save(self, path: str) -> None:
+        """A folder a hop; saving again replaces the hops that are saved."""
         for t, regs in self.layers.items():
-            regs.withColumn("hop", F.lit(t)).write.mode("append").partitionBy("hop").parquet(path)
+            regs.write.mode("overwrite").parquet(f"{path}/hop={t}")
 
 
 def load_layers(spark: SparkSession, path: str, hop: int | None = None) -> DataFrame:
@@ -55,9 +56,9 @@ def step(layer: DataFrame, arcs: DataFrame, source: DataFrame | None = None, exc
     return merge(sent if exclusive else layer.unionByName(sent), ["x"])
 
 
-def _sent(layer: DataFrame, arcs: DataFrame) -> float:
-    """Registers that an arc carries on average."""
-    nz, d = layer.groupBy("x").agg(F.count("*").alias("nz")), arcs.groupBy("x").agg(F.count("*").alias("d"))
+def _sent(layer: DataFrame, d: DataFrame) -> float:
+    """Registers that an arc carries on average.  d: x and its arcs."""
+    nz = layer.groupBy("x").agg(F.count("*").alias("nz"))
     return nz.join(d, "x").agg(F.sum(F.col("nz").cast("double") * F.col("d")) / F.sum("d")).first()[0] or 0.0
 
 
@@ -73,17 +74,19 @@ def _packed_hops(layer: DataFrame, arcs: DataFrame, spec: SketchSpec, first: int
     return out
 
 
-def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: str = "beta", active: str = "all", until_stable: bool = False, keep_layers: bool = True, cut_every: int = 1, form: str = "rows") -> Balls:
+def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: str = "beta", active: str = "all", until_stable: bool = False, keep_layers: bool = True, cut_every: int = 1, form: str = "rows", simple: bool = True) -> Balls:
     """Sizes for t = 1..k.
 
     form: ``rows`` keeps a row a register throughout; ``packed`` goes over to a binary a vertex after the first
     hop; ``auto`` does so once an arc carries PACK_AT registers or more on average.  Registers are the same.
     ball: ``closed`` counts a vertex in its own ball from t = 1; ``as_printed`` starts from open sketches.
     active: ``changed`` lets only registers that grew in the last hop travel (the result is the same).
+    simple: edges are distinct; without, repeats are dropped first, since each would send its sketch again (the
+    result is the same).
     until_stable: stop when no register grows.  cut_every: hops between written layers (lineage is cut there)."""
     if k < 1:
         raise ValueError("k must be 1 or more")
-    spec, arcs = vst.spec, both_ways(edges).distinct()
+    spec, arcs = vst.spec, both_ways(edges) if simple else both_ways(edges).distinct()
     layer = vst.regs
     if ball == "closed":
         own = registers(arcs.select("x").distinct().withColumn("me", F.col("x")), "x", F.col("me"), spec)
@@ -95,9 +98,10 @@ def ball_sizes(edges: DataFrame, vst: Vst, k: int, ball: str = "closed", how: st
     if form not in ("rows", "packed", "auto") or form == "packed" and (active == "changed" or how == "geo"):
         raise ValueError(f"form {form} is unknown, or has no {active}, {how}")
     local, layers, delta = measure(layer, ["x"], spec, how).withColumn("t", F.lit(1)), {1: layer}, layer
-    hops, may_pack = 1, form == "auto" and active == "all" and how != "geo"
+    hops, may_pack = 1, form == "auto" and active == "all" and how != "geo" and k > 1
+    d = shared_table(arcs.groupBy("x").agg(F.count("*").alias("d")), "arcs-of") if may_pack else None
     for t in range(2, k + 1):
-        if form == "packed" or may_pack and _sent(layer, arcs) >= PACK_AT:
+        if form == "packed" or may_pack and _sent(layer, d) >= PACK_AT:
             found = _packed_hops(layer, arcs, spec, t, k, how, until_stable)
             for at, (sizes, regs) in found.items():
                 local = local.unionByName(sizes.withColumn("t", F.lit(at)))

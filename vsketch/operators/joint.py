@@ -56,10 +56,14 @@ def joint_counts(pairs: DataFrame, vst: Vst) -> DataFrame:
 def count_arrays(a: np.ndarray, b: np.ndarray, top: int) -> np.ndarray:
     """The same from dense registers: pairs x kinds x (top + 1)."""
     n, r = a.shape
-    row = np.repeat(np.arange(n), r).reshape(n, r)
+    k = int(max(a.max(initial=0), b.max(initial=0))) + 1
+    code = a.astype(np.int32) * k + b + (np.arange(n, dtype=np.int32) * (k * k))[:, None]
+    both = np.bincount(code.ravel(), minlength=n * k * k).reshape(n, k, k)  # registers with A at i and B at j
+    less, equal = np.triu(np.ones((k, k)), 1), np.arange(k)
     out = np.zeros((n, 5, top + 1))
-    for k, (mask, value) in enumerate(((a < b, a), (a > b, a), (b < a, b), (b > a, b), (a == b, a))):
-        out[:, k] = np.bincount(row[mask] * (top + 1) + value[mask], minlength=n * (top + 1)).reshape(n, top + 1)
+    out[:, 0, :k], out[:, 3, :k] = (both * less).sum(2), (both * less).sum(1)
+    out[:, 1, :k], out[:, 2, :k] = (both * less.T).sum(2), (both * less.T).sum(1)
+    out[:, 4, :k] = both[:, equal, equal]
     return out
 
 

@@ -90,11 +90,12 @@ def unpack(packed: DataFrame, spec: SketchSpec) -> DataFrame:
     return packed.select("x", "mode", "regs").mapInArrow(run, "x long, j int, rho int")
 
 
-def merge_packed(packed: DataFrame, spec: SketchSpec, dense_only: bool = False, salts: int = 8, held: int = 1 << 26) -> DataFrame:
+def merge_packed(packed: DataFrame, spec: SketchSpec, dense_only: bool = False, salts: int = 1, held: int = 1 << 26) -> DataFrame:
     """One sketch for each x, the register-wise maximum of its rows, sparse and dense mixed.
 
-    Each task merges before the shuffle in a table of at most ``held`` bytes, then each x in ``salts`` parts,
-    then the parts: a hub's sketches never meet in one task unmerged, and no task holds more than the table."""
+    Each task merges before the shuffle in a table of at most ``held`` bytes, so an x leaves it about once, and a hub
+    has about one row a task after the shuffle, which are merged as they come.  salts: over 1, each x is merged in
+    so many parts first, for hubs whose rows fill the table again and again."""
     most = max(2, held // spec.r)
 
     def combine(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -5,9 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.estimate import alpha
 from ..functions.hashing import hash_word, index_of, rank_of
 from ..functions.spec import PORTABLE8, SketchSpec
-from ..operators import balls, exact, joint, triangles, vst
+from ..operators import balls, exact, joint, packed, triangles, vst
 from ..sources import build
 from ..sources.graphs import GRAPHS, graph
 from . import sql as S
@@ -55,6 +56,31 @@ def _merge(s, d):
 
 
 add("k_merge", _merge, S.head("copart") + "SELECT x, j, rho FROM reg")
+
+
+
+def _packed_merge(s, d):
+    """Sparse and dense binaries of two halves of the edges, merged and unpacked again."""
+    edges = graph(s, d, "copart")
+    one, two = (packed.pack(vst.accumulate(edges.filter(F.pmod(F.col("u"), F.lit(3)) == i), PORTABLE8).regs, PORTABLE8, dense_only=i == 1) for i in (0, 1))
+    three = packed.pack(vst.accumulate(edges.filter(F.pmod(F.col("u"), F.lit(3)) == 2), PORTABLE8).regs, PORTABLE8)
+    return packed.unpack(packed.merge_packed(one.unionByName(two).unionByName(three), PORTABLE8, salts=2), PORTABLE8)
+
+
+add("k_packed_merge", _packed_merge, S.head("copart") + "SELECT x, j, rho FROM reg")
+
+
+def _packed_estimate(s, d):
+    both = [packed.measure_packed(packed.pack(_vst(s, d, "copart")[1].regs, PORTABLE8, dense_only=dense), PORTABLE8, name=n) for dense, n in ((False, "sparse"), (True, "dense"))]
+    return _rounded(both[0].join(both[1], "x"), "sparse", "dense")
+
+
+add("k_sparse_equals_dense", _packed_estimate, S.head("copart") + "SELECT x, n_est AS sparse, n_est AS dense FROM (" + S.measured("reg") + ")")
+add(
+    "k_alpha_integral", lambda s, d: s.createDataFrame([(p, round(alpha(1 << p), 9)) for p in range(4, 19)], "p int, alpha double"),
+    "WITH g AS (SELECT CAST(p AS INTEGER) AS p, pow(2.0, p) AS r, i, i * 0.002::DOUBLE AS w FROM range(4, 19) a(p), range(0, 200001) b(i)) "
+    "SELECT p, round(1 / sum(pow(log2((2 + w / r) / (1 + w / r)), r) * CASE WHEN i IN (0, 200000) THEN 1 WHEN i % 2 = 1 THEN 4 ELSE 2 END * 0.002::DOUBLE / 3), 9) AS alpha FROM g GROUP BY p",
+)
 for _how in ("raw", "linear", "beta", "geo"):
     add(f"k_estimate_{_how}", lambda s, d, h=_how: _rounded(_vst(s, d, "copart")[1].degree(h), "d_est"), S.head("copart") + S.measured("reg", how=_how, name="d_est"))
 _W32 = SketchSpec(p=8, hash="portable", bits=32)
@@ -139,7 +165,14 @@ def _total(name, k):
 add("balls_total_k3", _total("event_prox60", 3), S.head("event_prox60", *S.layers(3)) + f"SELECT t, round(sum(n_est), 4) AS n_est FROM ({S.locals_(3)}) GROUP BY t")
 add("balls_as_printed_k2", _balls("event_prox60", 2, ball="as_printed"), S.head("event_prox60", *S.layers(2, closed=False)) + S.locals_(2))
 add("balls_delta_k3", _balls("docline", 3, active="changed"), S.head("docline", *S.layers(3)) + S.locals_(3))
-add("balls_until_stable", _balls("event_prox60", 6, until_stable=True))
+_GREW = " AND ".join
+add(
+    "balls_until_stable", _balls("event_prox60", 6, until_stable=True),
+    S.head("event_prox60", *S.layers(6), *(f"grew{t} AS (SELECT count(*) > 0 AS yes FROM (SELECT * FROM l{t} EXCEPT SELECT * FROM l{t - 1}))" for t in range(2, 7)))
+    + " UNION ALL ".join(f"SELECT x, t, n_est FROM (SELECT x, {t} AS t, n_est FROM ({S.measured(f'l{t}')}))" + (" WHERE " + _GREW(f"(SELECT yes FROM grew{i})" for i in range(2, t + 1)) if t > 1 else "") for t in range(1, 7)),
+)
+add("balls_packed_k3", _balls("docline", 3, form="packed"), S.head("docline", *S.layers(3)) + S.locals_(3))
+add("balls_auto_k3", _balls("event_prox60", 3, form="auto"), S.head("event_prox60", *S.layers(3)) + S.locals_(3))
 
 
 def _two_hop(s, d):
@@ -167,7 +200,21 @@ def _coloured_sql(where: str) -> str:
 _BUILD = "x IN (SELECT c_custkey * 4 FROM customer WHERE c_mktsegment = 'BUILDING')"
 add("balls_coloured_segment", _coloured(all_of=["BUILDING"]), _coloured_sql(_BUILD))
 add("balls_coloured_not", _coloured(none_of=["BUILDING"]), _coloured_sql(f"NOT ({_BUILD})"))
-add("balls_builtin_hll", lambda s, d: balls.ball_sizes_builtin(graph(s, d, "event_prox60"), 2))
+
+
+def _near(est: DataFrame, truth: DataFrame, keys: list[str], value: str, true: str, share: float, plus: float = 0.0) -> DataFrame:
+    """keys.., the exact answer, and whether the estimate is as near to it as it should be: for sketches and samplers
+    whose numbers no other engine repeats."""
+    rows = truth.join(est, keys, "left")
+    return rows.select(*keys, F.col(true), (F.abs(F.coalesce(F.col(value), F.lit(0.0)) - F.col(true)) <= share * F.col(true) + plus).alias("near"))
+
+
+def _builtin_balls(s, d):
+    edges = graph(s, d, "event_prox60")
+    return _near(balls.ball_sizes_builtin(edges, 2), exact.balls(edges, 2), ["x", "t"], "n_est", "n", 0.1, 1.0)
+
+
+add("balls_builtin_hll", _builtin_balls, S.head("event_prox60", *S.exact_balls(2)) + " UNION ALL ".join(f"SELECT x, {t} AS t, count(*) AS n, TRUE AS near FROM b{t} GROUP BY x" for t in (1, 2)))
 
 
 def _diameter(s, d):
@@ -207,8 +254,15 @@ def _joint_ml(s, d):
 
 
 add("i_joint_ml", _joint_ml, S.head("event_prox60", "pairs AS (SELECT * FROM e)", *_IE, *S.joint_ml()) + "SELECT u, v, round(inter, 2) AS inter, round(a_only, 2) AS a_only, round(b_only, 2) AS b_only, round(CASE WHEN inter >= 1 THEN se END, 2) AS se FROM ml")
-add("i_theta", lambda s, d: joint.intersect_theta(graph(s, d, "event_prox300"), graph(s, d, "event_prox300")))
 _EXACT_PAIRS = "met AS (SELECT e.u, e.v, count(b.y) AS n FROM e LEFT JOIN arcs a ON a.x = e.u LEFT JOIN arcs b ON b.x = e.v AND b.y = a.y GROUP BY 1, 2)"
+
+
+def _near_theta(edges: DataFrame) -> DataFrame:
+    truth = exact.intersections(edges, edges).select("u", "v", F.col("inter").cast("long").alias("t"))
+    return _near(joint.intersect_theta(edges, edges), truth, ["u", "v"], "inter", "t", 0.1, 1.0)
+
+
+add("i_theta", lambda s, d: _near_theta(graph(s, d, "event_prox300")), S.head("event_prox300", _EXACT_PAIRS) + "SELECT u, v, n AS t, TRUE AS near FROM met")
 add("i_exact", lambda s, d: exact.intersections(graph(s, d, "docline"), graph(s, d, "docline")), S.head("docline", S.DEGREE, _EXACT_PAIRS) + "SELECT m.u, m.v, CAST(n AS DOUBLE) AS inter, CAST(p.d + q.d - n AS DOUBLE) AS n_union FROM met m JOIN deg p ON p.x = m.u JOIN deg q ON q.x = m.v")
 
 

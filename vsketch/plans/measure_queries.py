@@ -2,17 +2,18 @@
 
 from __future__ import annotations
 
+import re
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.estimate import std_error
 from ..functions.spec import PORTABLE8, SketchSpec
-from ..operators import balls, baselines, exact, measures, triangles, vst
+from ..operators import balls, baselines, exact, joint, measures, trials, triangles, vst
 from ..sources.build import arcs, canonical
 from ..sources.graphs import graph
 from . import sql as S
-from .graph_queries import ML12, _vst
+from .graph_queries import ML12, _near, _vst
 from .registry import registry
 
 QUERIES, SQL, add = registry()
@@ -54,12 +55,35 @@ add(
     + "SELECT round(count(*) / pow(0.3, 2), 6) AS t_est FROM p JOIN k a ON a.x = p.u AND a.pos < p.pos JOIN k b ON b.x = p.v AND b.y = a.y AND b.pos < p.pos",
 )
 add("b_reservoir_base", _on("docline", lambda e: baselines.reservoir_base(e, 3000)), S.head("docline", "m AS (SELECT count(*)::DOUBLE AS m FROM e)", f"k AS MATERIALIZED (SELECT u, v FROM (SELECT u, v, {S.uniform(_KEY, 2)} AS p FROM e) ORDER BY p, u, v LIMIT 3000)") + f"SELECT round(({_TRI_OF('k')}) * (CASE WHEN m > 3000 THEN greatest(1.0, m * (m - 1) * (m - 2) / (3000.0::DOUBLE * 2999 * 2998)) ELSE 1.0 END), 6) AS t_est FROM m")
-add("b_reservoir_improved", _on("docline", lambda e: baselines.reservoir_triangles(e, 3000, 4)))
-add("b_reservoir_dynamic", _on("docline", lambda e: baselines.reservoir_triangles(e.withColumn("deleted", F.pmod("u", F.lit(5)) == 0), 3000, 4, variant="dynamic")))
-add("b_reservoir_parallel", _on("docline", lambda e: baselines.reservoir_triangles(e, 1500, 2, workers=4)))
-add("b_reservoir_grouped", _on("docline", lambda e: baselines.reservoir_triangles(e, 1500, 2, groups=3)))
-add("b_weighted_sample", _on("docline", lambda e: baselines.weighted_sample_triangles(e, 0.2, 0.5)))
-add("b_wedges", _on("docline", lambda e: baselines.wedge_triangles(e, 2000)))
+
+
+def _sampled(run, share: float):
+    """The exact total, and whether the mean of a sampler's trials comes within ``share`` of it."""
+
+    def query(sp, d):
+        edges = graph(sp, d, "docline")
+        mean = run(edges).agg(F.avg("t_est").alias("t_est")).withColumn("g", F.lit(0))
+        return _near(mean, exact.global_triangles(edges).withColumn("g", F.lit(0)), ["g"], "t_est", "t", share).drop("g")
+
+    return query
+
+
+_TOTAL = S.head("docline", S.TRI) + "SELECT count(*) AS t, TRUE AS near FROM tri"
+add("b_reservoir_improved", _sampled(lambda e: baselines.reservoir_triangles(e, 3000, 4), 0.3), _TOTAL)
+add("b_reservoir_parallel", _sampled(lambda e: baselines.reservoir_triangles(e, 1500, 2, workers=4), 0.3), _TOTAL)
+add("b_reservoir_grouped", _sampled(lambda e: baselines.reservoir_triangles(e, 1500, 2, groups=3), 0.3), _TOTAL)
+add("b_weighted_sample", _sampled(lambda e: baselines.weighted_sample_triangles(e, 0.2, 0.5), 0.3), _TOTAL)
+add("b_wedges", _sampled(lambda e: baselines.wedge_triangles(e, 2000), 0.1), _TOTAL)
+
+
+def _dynamic(sp, d):
+    edges = graph(sp, d, "docline")
+    gone = F.pmod("u", F.lit(5)) == 0
+    mean = baselines.reservoir_triangles(edges.withColumn("deleted", gone), 3000, 4, variant="dynamic").agg(F.avg("t_est").alias("t_est")).withColumn("g", F.lit(0))
+    return _near(mean, exact.global_triangles(edges.filter(~gone)).withColumn("g", F.lit(0)), ["g"], "t_est", "t", 0.5).drop("g")
+
+
+add("b_reservoir_dynamic", _dynamic, S.head("docline", "left_ AS (SELECT * FROM e WHERE u % 5 <> 0)") + f"SELECT count(*) AS t, TRUE AS near FROM ({_TRI_OF('left_').replace('count(*)', '1')})")
 _P64 = SketchSpec(p=6, hash="portable")
 
 
@@ -75,8 +99,15 @@ _MRB = (
     "base AS (SELECT x, least(max(level) + 1, 8) AS base FROM f WHERE n > 0.9 * 64 GROUP BY 1)"
 )
 add("b_multires_bitmap", lambda s, d: _round(baselines.multires_bitmap(arcs(graph(s, d, "copart")), "x", F.col("y"))), S.head("copart", _MRB) + "SELECT x, round(sum(-64.0 * ln((64 - least(n, 63))::DOUBLE / 64.0)) * pow(2.0, max(coalesce(base, 1)) - 1), 6) AS n_est FROM f LEFT JOIN base USING (x) WHERE level >= coalesce(base, 1) GROUP BY x")
-add("b_builtin_hll", lambda s, d: vst.accumulate_builtin(graph(s, d, "copart"), "hll").select("x", F.hll_sketch_estimate("sk").alias("d_est")))
-add("b_builtin_approx", lambda s, d: arcs(graph(s, d, "copart")).groupBy("x").agg(F.approx_count_distinct("y", 0.05).alias("d_est")))
+_DEGREES = S.head("copart", S.DEGREE) + "SELECT x, d, TRUE AS near FROM deg"
+
+
+def _builtin(run, share: float):
+    return lambda s, d: _near(run(graph(s, d, "copart")), exact.degrees(graph(s, d, "copart")), ["x"], "d_est", "d", share, 1.0)
+
+
+add("b_builtin_hll", _builtin(lambda e: vst.accumulate_builtin(e, "hll").select("x", F.hll_sketch_estimate("sk").alias("d_est")), 0.1), _DEGREES)
+add("b_builtin_approx", _builtin(lambda e: arcs(e).groupBy("x").agg(F.approx_count_distinct("y", 0.05).alias("d_est")), 0.3), _DEGREES)
 add("b_exact_distinct", lambda s, d: arcs(graph(s, d, "copart")).groupBy("x").agg(F.countDistinct("y").alias("d")), S.head("copart") + "SELECT x, count(DISTINCT y) AS d FROM arcs GROUP BY x")
 
 
@@ -90,22 +121,19 @@ _ERR = f"err AS (SELECT t, abs(n_est - n) / n AS err FROM (SELECT l.x, l.t, n_es
 add("m_mre_by_hop", lambda s, d: _round(measures.mre(_ball_errors(s, d, "event_prox60", 3), ["t"])), S.head("event_prox60", *S.layers(3), *S.exact_balls(3), _ERR) + "SELECT t, round(avg(err), 6) AS mre, count(*) AS n, CAST(0 AS BIGINT) AS undefined FROM err GROUP BY t")
 
 
-def _trials(s: SparkSession, d: str, name: str, seeds: int, k: int) -> DataFrame:
+def _bias(s, d, name="event_prox60", seeds=4, k=2, spec=PORTABLE8):
+    """Mean bias and spread over seeds of ball estimates, by hop, against the standard error."""
     edges = graph(s, d, name)
-    out = None
-    for seed in range(seeds):
-        spec = SketchSpec(p=8, seed=seed)
-        got = balls.ball_sizes(edges, vst.accumulate(edges, spec), k, how="beta").local.withColumn("seed", F.lit(seed))
-        out = got if out is None else out.unionByName(got)
-    return out
+    got = measures.bias_sd(trials.ball_trials(edges, k, spec, seeds), trials.exact_balls(edges, k), ["x", "t"], "n_est", "n")
+    return _round(got.groupBy("t").agg(F.avg("bias").alias("bias"), F.avg("sd").alias("sd")).withColumn("eta", F.lit(std_error(8))))
 
 
-def _bias(s, d):
-    got = measures.bias_sd(_trials(s, d, "event_prox60", 8, 2), exact.balls(graph(s, d, "event_prox60"), 2), ["x", "t"], "n_est", "n")
-    return _round(got.groupBy("t").agg(F.avg("bias").alias("bias"), F.avg("sd").alias("sd")).withColumn("eta", F.lit(std_error(8))))
+def _seeded(name: str, k: int, seeds: int) -> str:
+    exact_ = "truth AS MATERIALIZED (" + " UNION ALL ".join(f"SELECT x, {t} AS t, count(*) AS n FROM b{t} GROUP BY x" for t in range(1, k + 1)) + ")"
+    return S.head(name, *S.seeded_layers(k, seeds), *S.exact_balls(k), exact_)
 
 
-add("m_bias_sd", _bias)
+add("m_bias_sd", _bias, _seeded("event_prox60", 2, 4) + f"SELECT t, round(avg(bias), 6) AS bias, round(avg(sd), 6) AS sd, round({std_error(8)!r}::DOUBLE, 6) AS eta FROM (SELECT x, t, avg(n_est / n) - 1 AS bias, stddev_samp(n_est / n) AS sd FROM seeds_t JOIN truth USING (x, t) GROUP BY 1, 2) GROUP BY t")
 
 
 def _pr(s, d, name, k, vertex=False, spec=PORTABLE8, how="ie", aware=False):
@@ -166,44 +194,87 @@ def _each(s, d, names, run):
     return out
 
 
-def w01(s, d, seeds: int = 2, k: int = 3, names=("event_prox60", "geo_tree", "docline")) -> DataFrame:
+MODERATE = ("copart", "docline", "cust_part", "cust_supp", "part_supp", "order_part", "event_prox300", "user_next", "page_link", "geo_tree")
+
+
+def w01(s, d, seeds: int = 20, k: int = 5, names=MODERATE, spec=SketchSpec(p=8)) -> DataFrame:
     """Mean relative error of ball sizes by graph and hop, over seeds, with the standard error for comparison."""
 
     def run(n):
-        got = _trials(s, d, n, seeds, k).join(exact.balls(graph(s, d, n), k), ["x", "t"])
+        edges = graph(s, d, n)
+        got = trials.ball_trials(edges, k, spec, seeds).join(trials.exact_balls(edges, k), ["x", "t"])
         err = got.groupBy("t", "seed").agg(F.avg(F.abs(F.col("n_est") - F.col("n")) / F.col("n")).alias("mre"))
-        return err.groupBy("t").agg(F.avg("mre").alias("mre")).withColumn("se_line", F.lit(std_error(8)))
+        return err.groupBy("t").agg(F.avg("mre").alias("mre"), F.count("*").alias("seeds")).withColumn("se_line", F.lit(std_error(spec.p)))
 
     return _round(_each(s, d, names, run))
 
 
 add("w01_ball_mre", w01)
-add("w02_theorem_check", _bias)
+_MRE = "SELECT t, avg(mre) AS mre, count(*) AS seeds FROM (SELECT t, seed, avg(abs(n_est - n) / n) AS mre FROM seeds_t JOIN truth USING (x, t) GROUP BY 1, 2) GROUP BY t"
+add(
+    "w01_ball_mre_portable", lambda s, d: w01(s, d, 3, 4, ("event_prox60", "geo_tree", "page_link"), PORTABLE8),
+    " UNION ALL ".join(f"SELECT '{n}' AS graph, t, round(mre, 6) AS mre, seeds, round({std_error(8)!r}::DOUBLE, 6) AS se_line FROM ({_seeded(n, 4, 3)}{_MRE})" for n in ("event_prox60", "geo_tree", "page_link")),
+)
+
+
+def w02(s, d, seeds: int = 50, k: int = 3, names=("event_prox60", "docline", "geo_tree"), spec=SketchSpec(p=8)) -> DataFrame:
+    """Bias and spread over seeds of local ball sizes (means over vertices) and of their sum N(t), against the standard error."""
+
+    def run(n):
+        edges = graph(s, d, n)
+        est, true = balls.shared_table(trials.ball_trials(edges, k, spec, seeds), "trials"), balls.shared_table(trials.exact_balls(edges, k), "truth")
+        local = measures.bias_sd(est, true, ["x", "t"], "n_est", "n").groupBy("t").agg(F.avg("bias").alias("bias"), F.avg("sd").alias("sd"))
+        sums = est.groupBy("seed", "t").agg(F.sum("n_est").alias("n_est"))
+        whole = measures.bias_sd(sums, true.groupBy("t").agg(F.sum("n").alias("n")), ["t"], "n_est", "n").select("t", "bias", "sd")
+        return local.withColumn("of", F.lit("vertex")).unionByName(whole.withColumn("of", F.lit("sum"))).withColumns({"eta": F.lit(std_error(spec.p)), "seeds": F.lit(seeds)})
+
+    return _round(_each(s, d, names, run))
+
+
+add("w02_theorem_check", w02)
+_BOTH = (
+    "SELECT t, avg(bias) AS bias, avg(sd) AS sd, 'vertex' AS of FROM (SELECT x, t, avg(n_est / n) - 1 AS bias, stddev_samp(n_est / n) AS sd FROM seeds_t JOIN truth USING (x, t) GROUP BY 1, 2) GROUP BY t "
+    "UNION ALL SELECT t, avg(e / n) - 1, stddev_samp(e / n), 'sum' FROM (SELECT seed, t, sum(n_est) AS e FROM seeds_t GROUP BY 1, 2) JOIN (SELECT t, sum(n) AS n FROM truth GROUP BY 1) USING (t) GROUP BY t"
+)
+add(
+    "w02_theorem_check_portable", lambda s, d: w02(s, d, 4, 3, ("event_prox60", "geo_tree"), PORTABLE8),
+    " UNION ALL ".join(f"SELECT '{n}' AS graph, t, round(bias, 6) AS bias, round(sd, 6) AS sd, of, round({std_error(8)!r}::DOUBLE, 6) AS eta, 4 AS seeds FROM ({_seeded(n, 3, 4)}{_BOTH})" for n in ("event_prox60", "geo_tree")),
+)
 _REAL = ("copart", "cosupp", "docline", "event_prox60", "event_prox300", "user_next", "emb_sim")
+_PRODUCTS = ("kron:event_prox300*event_prox300", "kron:user_next*event_prox300", "kron:event_prox300*docline", "kron:cosupp*docline", "kron:docline*docline")
+
 
+def _smallest(d: str) -> str:
+    """The folder of the smallest tables beside d: factors of products come from there."""
+    return re.sub(r"sf[0-9.]+/?$", "sf0.001", d)
 
-def precision(s, d, vertex: bool, names=_REAL, ks=(10, 100, 1000)) -> DataFrame:
-    """Tie-aware precision and recall of the top k' by graph and k; a k over the number of edges or vertices has no rows."""
+
+def precision(s, d, vertex: bool, names=_REAL + _PRODUCTS, ks=(10, 100, 1000), how: str = "ml", work: int = 400_000, most: int = 20) -> DataFrame:
+    """Tie-aware precision and recall of the top k' (0.2 k to 2 k) by graph and k, means over seeds; a k over the number
+    of edges or vertices has no rows.  Products are of the smallest tables.  ``most`` seeds, fewer where seeds times
+    edges would go beyond ``work``, two at least."""
 
     def run(n):
-        edges, table = _vst(s, d, n, ML12)
-        per, true, keys = triangles.edge_triangles(edges, table, "ie_packed"), exact.edge_triangles(edges), ["u", "v"]
+        edges = balls.shared_table(graph(s, _smallest(d) if n.startswith("kron:") else d, n), "edges")
+        seeds = max(2, min(most, work // max(1, edges.count())))
+        est, true, keys = trials.edge_trials(edges, ML12, seeds, how), exact.edge_triangles(edges), ["u", "v"]
         if vertex:
-            per, true, keys = triangles.vertex_triangles(per), exact.vertex_triangles(edges), ["x"]
-        per, true = balls.shared_table(per, "estimated"), balls.shared_table(true, "exact")
-        m, out = true.count(), None
-        for k in ks:
-            if k <= m or out is None:
-                got = measures.pr_curve(per, true, keys, k, tie_aware=True).filter(F.lit(k <= m))
-                out = got if out is None else out.unionByName(got)
-        return out
+            ends = F.explode(F.array("u", "v")).alias("x")
+            est = est.select("seed", ends, "t_est").groupBy("seed", "x").agg((F.sum("t_est") / 2).alias("t_est"))
+            true, keys = true.select(ends, "t").groupBy("x").agg((F.sum("t") / 2).cast("long").alias("t")), ["x"]
+        got = trials.precision_trials(est, true, keys, ks).groupBy("k", "kprime").agg(F.avg("precision").alias("precision"), F.avg("recall").alias("recall"), F.coalesce(F.stddev_samp("precision"), F.lit(0.0)).alias("precision_sd"))
+        return got.withColumn("seeds", F.lit(seeds))
 
     return _round(_each(s, d, names, run))
 
 
 add("w03_edge_precision", lambda s, d: precision(s, d, False))
 add("w04_vertex_precision", lambda s, d: precision(s, d, True))
-add("w05_rank_profiles", lambda s, d: _round(_each(s, d, ("docline", "cosupp", "emb_sim"), lambda n: measures.rank_profile(_true_density(s, d, n)))))
+_PROFILED = ("docline", "cosupp", "emb_sim", "kron:emb_sim*emb_sim")
+add(
+    "w05_rank_profiles", lambda s, d: _round(_each(s, d, _PROFILED, lambda n: measures.rank_profile(_true_density(s, d, n)))),
+    " UNION ALL ".join(f"SELECT '{n}' AS graph, * FROM ({S.head(n, S.DEGREE, *_DENSE)}SELECT CAST(rank AS INTEGER) AS rank, u, v, t, round(density, 6) AS density FROM (SELECT row_number() OVER (ORDER BY t DESC, u, v) AS rank, * FROM td) WHERE rank <= 10000)" for n in _PROFILED),
+)
 
 
 def w09(s: SparkSession, d: str, trials: int = 40) -> DataFrame:
@@ -244,13 +315,39 @@ def w09(s: SparkSession, d: str, trials: int = 40) -> DataFrame:
 add("w09_intersection_grid", w09)
 
 
+def w09_zero(s, d):
+    """A graph without triangles: what both estimators report where every intersection is empty."""
+    edges, table = _vst(s, d, "geo_tree")
+    naive = joint.inclusion_exclusion(edges, table, clamp=False).select("u", "v", (F.col("inter") < 0).alias("below"), F.round(F.greatest(F.col("inter"), F.lit(0.0)), 2).alias("naive"))
+    ml = joint.intersect_packed(edges, table, "ml").select("u", "v", F.round("inter", 2).alias("ml"))
+    return naive.join(ml, ["u", "v"])
+
+
+add(
+    "w09_zero_intersections", w09_zero,
+    S.head("geo_tree", "pairs AS (SELECT * FROM e)", S.SIDES, S.sizes(), *S.joint_ml()) + "SELECT u, v, n_a + n_b - n_union < 0 AS below, round(greatest(0.0, n_a + n_b - n_union), 2) AS naive, round(inter, 2) AS ml FROM sized JOIN ml USING (u, v)",
+)
+_FACTORS = (("emb_sim", "emb_sim"), ("emb_sim", "event_prox60"), ("emb_sim", "conv_turn"), ("emb_sim", "geo_tree"), ("event_prox60", "conv_turn"))
+
+
 def w10(s, d):
-    """Triangles of a product graph, counted and in closed form (6 T_A T_B)."""
-    one = exact.global_triangles(graph(s, d, "emb_sim")).select((6 * F.col("t") * F.col("t")).alias("closed_form"))
-    return exact.global_triangles(graph(s, d, "kron:emb_sim*emb_sim")).crossJoin(one)
+    """Triangles of five product graphs, counted and in closed form (6 T_A T_B); trees and chains make products without any."""
+
+    def run(name):
+        a, b = (exact.global_triangles(graph(s, d, n)) for n in name[5:].split("*"))
+        edges = balls.shared_table(graph(s, d, name), "product")
+        closed = a.crossJoin(b.withColumnRenamed("t", "tb")).select((6 * F.col("t") * F.col("tb")).alias("closed_form"))
+        return exact.global_triangles(edges).crossJoin(closed).crossJoin(edges.agg(F.count("*").alias("edges")))
+
+    return _each(s, d, [f"kron:{a}*{b}" for a, b in _FACTORS], run)
 
 
-add("w10_kron_truth", w10, S.head("emb_sim", S.TRI) + "SELECT 6 * count(*) * count(*) AS t, 6 * count(*) * count(*) AS closed_form FROM tri")
+def _product_sql(a: str, b: str) -> str:
+    of = lambda n: f"(SELECT count(*) FROM ({S.head(n, S.TRI)}SELECT * FROM tri))"
+    return f"SELECT 'kron:{a}*{b}' AS graph, (SELECT count(*) FROM ({S.head(f'kron:{a}*{b}', S.TRI)}SELECT * FROM tri)) AS t, 6 * {of(a)} * {of(b)} AS closed_form, (SELECT count(*) FROM ({S.graph_sql(f'kron:{a}*{b}')})) AS edges"
+
+
+add("w10_kron_truth", w10, " UNION ALL ".join(_product_sql(a, b) for a, b in _FACTORS))
 
 
 def w11(s, d):
@@ -264,22 +361,57 @@ def w11(s, d):
 
 
 add("w11_idempotence", w11, "SELECT CAST(0 AS BIGINT) AS extra, CAST(0 AS BIGINT) AS missing, (SELECT count(*) FROM lineitem a JOIN lineitem b ON a.l_orderkey = b.l_orderkey) AS raw_edges, (SELECT count(*) FROM (" + S.graph_sql("cosupp") + ")) AS edges")
-add("w13_global_error", lambda s, d: _round(_each(s, d, ("docline", "event_prox300", "event_prox60"), lambda n: _global_error(s, d, n, SketchSpec(p=10)))))
+_BYTES = ("copart", "docline", "order_part", "event_prox300")
+add(
+    "w12_table_and_graph_bytes", lambda s, d: _round(_each(s, d, _BYTES, lambda n: measures.vst_bytes(_vst(s, d, n)[1], graph(s, d, n)))),
+    " UNION ALL ".join(
+        f"SELECT '{n}' AS graph, * FROM ({S.head(n, _NZ)}SELECT count(*) AS vertices, round(avg(CASE WHEN nz > 64 THEN 1.0 ELSE 0.0 END), 6) AS dense_share, CAST(sum(nz * 4) AS BIGINT) AS sparse_bytes, CAST(count(*) * 256 AS BIGINT) AS dense_bytes, "
+        "CAST(sum(CASE WHEN nz > 64 THEN 256 ELSE nz * 4 END) AS BIGINT) AS mixed_bytes, (SELECT count(*) * 16 FROM e) AS edge_bytes FROM nz)" for n in _BYTES
+    ),
+)
+_ERROR_P, _ERROR_GRAPHS = (8, 10, 12), ("docline", "event_prox300", "event_prox60")
+
 
+def w13(s, d):
+    """Error of the total number of triangles by graph and register count."""
+    out = None
+    for p in _ERROR_P:
+        spec = SketchSpec(p=p, hash="portable")
+        got = _each(s, d, _ERROR_GRAPHS, lambda n: _global_error(s, d, n, spec)).withColumn("p", F.lit(p))  # noqa: B023
+        out = got if out is None else out.unionByName(got)
+    return _round(out)
 
-def w14(s, d, size: int = 3000):
-    """Total triangles by samplers with as many bytes as the sketch table, and by the table."""
-    e = graph(s, d, "docline")
+
+add(
+    "w13_global_error", w13,
+    " UNION ALL ".join(
+        f"SELECT '{n}' AS graph, * FROM ({S.head(n, *S.edge_t(SketchSpec(p=p, hash='portable')), S.TRI, spec=SketchSpec(p=p, hash='portable'))}SELECT t_est, t, round(abs(t_est - t) / t, 6) AS error, {p} AS p "
+        "FROM (SELECT round(CAST(sum(CAST(t_est AS DECIMAL(28,6))) AS DOUBLE) / 3, 4) AS t_est FROM per_edge), (SELECT count(*) AS t FROM tri))" for p in _ERROR_P for n in _ERROR_GRAPHS
+    ),
+)
+EDGE_BYTES, WEDGE_BYTES, HASH_BYTES = 16, 24, 8  # two ids; three ids; a hash
+
+
+def w14(s, d, name: str = "docline") -> DataFrame:
+    """Total triangles by samplers that may hold as many bytes as the sketch table does: method, bytes held at most, items,
+    estimate, error.  A sampler that would hold the whole graph in fewer bytes does so and is exact."""
+    e, spec = balls.shared_table(graph(s, d, name), "edges"), PORTABLE8
+    table = vst.accumulate(e, spec)
+    sizes = measures.vst_bytes(table, e).first()
+    budget, m, n = int(sizes["mixed_bytes"]), int(sizes["edge_bytes"]) // EDGE_BYTES, int(sizes["vertices"])
+    size, hashes, wedges = max(3, min(m, budget // EDGE_BYTES)), max(1, budget // (HASH_BYTES * n)), max(1, budget // WEDGE_BYTES)
+    share = size / m
     truth = exact.global_triangles(e).first()[0]
-    share = size / max(1, e.count())
     runs = {
-        "sketch table": triangles.total(triangles.edge_triangles(e, vst.accumulate(e, SketchSpec(p=8)), "ie_packed")), "minwise": baselines.minwise_triangles(e, 16).agg((F.sum("t_est") / 3).alias("t_est")),
-        "edges, final": baselines.sampled_triangles(e, min(1.0, share)), "edges, arrival": baselines.sampled_triangles(e, min(1.0, share), mode="arrival"), "reservoir": baselines.reservoir_base(e, size),
-        "reservoir, improved": baselines.reservoir_triangles(e, size, 1).select("t_est"), "weighted": baselines.weighted_sample_triangles(e, share / 2, share, 1).select("t_est"), "wedges": baselines.wedge_triangles(e, size),
+        "sketch table": (budget, n, triangles.total(triangles.edge_triangles(e, table, "ie"))), "sketch table, likelihood": (budget, n, triangles.total(triangles.edge_triangles(e, table, "ml"))),
+        "minwise": (hashes * HASH_BYTES * n, hashes, baselines.minwise_triangles(e, hashes).agg((F.sum("t_est") / 3).alias("t_est"))),
+        "edges, final": (size * EDGE_BYTES, size, baselines.sampled_triangles(e, share)), "edges, arrival": (size * EDGE_BYTES, size, baselines.sampled_triangles(e, share, mode="arrival")),
+        "reservoir": (size * EDGE_BYTES, size, baselines.reservoir_base(e, size)), "reservoir, improved": (size * EDGE_BYTES, size, baselines.reservoir_triangles(e, size, 1).select("t_est")),
+        "weighted": (size * EDGE_BYTES, size, baselines.weighted_sample_triangles(e, share / 2, share, 1).select("t_est")), "wedges": (wedges * WEDGE_BYTES, wedges, baselines.wedge_triangles(e, wedges)),
     }
     out = None
-    for name, got in runs.items():
-        row = got.select(F.lit(name).alias("method"), F.col("t_est").cast("double").alias("t_est"))
+    for method, (held, items, got) in runs.items():
+        row = got.select(F.lit(method).alias("method"), F.lit(held).cast("long").alias("bytes"), F.lit(items).cast("long").alias("items"), F.col("t_est").cast("double").alias("t_est"))
         out = row if out is None else out.unionByName(row)
     return _round(out.withColumn("error", F.abs(F.col("t_est") - truth) / truth))
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from ..functions.estimate import GEO, alpha
 from ..functions.constants import BETA
 from ..functions.spec import PORTABLE8, SketchSpec
@@ -61,6 +63,19 @@ def layers(k: int, closed: bool = True) -> list[str]:
     return out
 
 
+def seeded_layers(k: int, seeds: int, spec: SketchSpec = PORTABLE8) -> list[str]:
+    """seeds_t: seed, x, t, n_est of closed balls for seeds 0..seeds - 1."""
+    out = []
+    for seed in range(seeds):
+        own = replace(spec, seed=seed)
+        first = f"SELECT x, j, max(rho) AS rho FROM (({regs('arcs', spec=own)}) UNION ALL ({regs('(SELECT DISTINCT x FROM arcs)', element='x', spec=own)})) GROUP BY 1, 2"
+        out.append(f"s{seed}_1 AS MATERIALIZED ({first})")
+        for t in range(2, k + 1):
+            out.append(f"s{seed}_{t} AS MATERIALIZED (SELECT x, j, max(rho) AS rho FROM (SELECT * FROM s{seed}_{t - 1} UNION ALL SELECT y, j, rho FROM arcs JOIN s{seed}_{t - 1} USING (x)) GROUP BY 1, 2)")
+    every = " UNION ALL ".join(f"SELECT {seed} AS seed, x, {t} AS t, n_est FROM ({measured(f's{seed}_{t}', spec=spec)})" for seed in range(seeds) for t in range(1, k + 1))
+    return [*out, f"seeds_t AS MATERIALIZED ({every})"]
+
+
 def locals_(k: int, how: str = "beta") -> str:
     return " UNION ALL ".join(f"SELECT x, {t} AS t, n_est FROM ({measured(f'l{t}', how=how)})" for t in range(1, k + 1))
 
@@ -68,17 +83,22 @@ def locals_(k: int, how: str = "beta") -> str:
 SIDES = "sides AS MATERIALIZED (SELECT u, v, j, max(a) AS a, max(b) AS b FROM (SELECT u, v, j, rho AS a, 0 AS b FROM pairs JOIN reg ON reg.x = u UNION ALL SELECT u, v, j, 0, rho FROM pairs JOIN reg ON reg.x = v) GROUP BY 1, 2, 3)"
 
 
-def sizes(how: str = "beta") -> str:
+def sizes(how: str = "beta", spec: SketchSpec = PORTABLE8) -> str:
     s = lambda c, n: f"sum(CASE WHEN {c} > 0 THEN pow(2.0, -{c}) ELSE 0.0 END) AS {n}_t, sum(CASE WHEN {c} > 0 THEN 1.0 ELSE 0.0 END)::DOUBLE AS {n}_f"
     inner = f"SELECT u, v, {s('a', 'a')}, {s('b', 'b')}, {s('greatest(a, b)', 'o')} FROM sides GROUP BY 1, 2"
-    return f"sized AS MATERIALIZED (SELECT u, v, {est('a_t', 'a_f', how=how)} AS n_a, {est('b_t', 'b_f', how=how)} AS n_b, {est('o_t', 'o_f', how=how)} AS n_union FROM ({inner}))"
+    return f"sized AS MATERIALIZED (SELECT u, v, {est('a_t', 'a_f', spec, how)} AS n_a, {est('b_t', 'b_f', spec, how)} AS n_b, {est('o_t', 'o_f', spec, how)} AS n_union FROM ({inner}))"
+
+
+def edge_t(spec: SketchSpec = PORTABLE8) -> list[str]:
+    """per_edge by inclusion and exclusion."""
+    return ["pairs AS (SELECT * FROM e)", SIDES, sizes(spec=spec), *_PER_EDGE]
 
 
-EDGE_T = [
-    "pairs AS (SELECT * FROM e)", SIDES, sizes(),
+_PER_EDGE = [
     "per AS MATERIALIZED (SELECT u, v, round(greatest(0.0, least(greatest(0.0, least(n_a + n_b - n_union, n_a, n_b)), n_a - 1, n_b - 1)), 6) AS t_est, n_union FROM sized)",
     "per_edge AS MATERIALIZED (SELECT u, v, t_est, round(CASE WHEN n_union > 0 THEN t_est / n_union ELSE 0.0 END, 6) AS density FROM per)",
 ]
+EDGE_T = edge_t()
 TRI = "tri AS MATERIALIZED (SELECT e.u AS a, e.v AS b, f.v AS c FROM e JOIN e f ON e.v = f.u JOIN e g ON g.u = e.u AND g.v = f.v)"
 EXACT_EDGE = "exact AS MATERIALIZED (SELECT e.u, e.v, count(s.u) AS t FROM e LEFT JOIN (SELECT a AS u, b AS v FROM tri UNION ALL SELECT a, c FROM tri UNION ALL SELECT b, c FROM tri) s ON s.u = e.u AND s.v = e.v GROUP BY 1, 2)"
 EXACT_VERTEX = "exact_v AS MATERIALIZED (SELECT x, CAST(sum(t) / 2 AS BIGINT) AS t FROM (SELECT u AS x, t FROM exact UNION ALL SELECT v, t FROM exact) GROUP BY 1)"
