@@ -144,9 +144,9 @@ def joint_ml(counts: np.ndarray, start: np.ndarray, spec: SketchSpec, rounds: in
         at = log_likelihood(t, c, r, q)
         grad, hess = derivatives(t, c, r, q)
         value, vector = np.linalg.eigh(-hess)
-        value = np.maximum(value, 1e-6)
+        value = np.maximum(np.abs(value), 1e-6)
         move = np.einsum("nij,nj->ni", vector, np.einsum("nji,nj->ni", vector, grad) / value)
-        move = np.clip(move, -3, 3)
+        move /= np.maximum(1.0, np.abs(move).max(1, keepdims=True) / 3)  # shorter, in the same direction: still upwards
         best = t.copy()
         step, open_ = np.ones(len(t)), np.ones(len(t), bool)
         for _ in range(12):

@@ -131,7 +131,10 @@ def edge_trials(edges: DataFrame, spec: SketchSpec, seeds: int, how: str = "ml",
             got = triangles.edge_triangles(edges, vst.accumulate(edges, replace(spec, seed=spec.seed + seed)), how).select(F.lit(seed).alias("seed"), "u", "v", "t_est")
             out = got if out is None else out.unionByName(got)
         return out
-    shared, parts = edges.sparkSession.sparkContext.broadcast(graph), max(1, -(-len(graph.u) // part))
+    context = edges.sparkSession.sparkContext
+    # each task makes all registers of its seed, so there are only as many tasks as keep the cores busy
+    parts = max(1, min(-(-len(graph.u) // part), -(-2 * context.defaultParallelism // seeds)))
+    shared, part = context.broadcast(graph), -(-len(graph.u) // parts)
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         own, at = shared.value, int(pdf.part.iloc[0])
@@ -149,6 +152,33 @@ def edge_trials(edges: DataFrame, spec: SketchSpec, seeds: int, how: str = "ml",
     return hashed.groupBy("seed", "part").applyInPandas(run, "seed int, u long, v long, t_est double")
 
 
+def exact_edge_triangles(edges: DataFrame, part: int = 50_000, most: int = 1 << 28) -> DataFrame:
+    """u, v, t: common neighbours of the ends of every edge, by a bit set of neighbours for each vertex where these
+    take up to ``most`` bytes; larger graphs as exact.edge_triangles."""
+    graph = local_graph(edges)
+    if graph is None or len(graph.ids) ** 2 // 8 > most:
+        return exact.edge_triangles(edges)
+    spark = edges.sparkSession
+    shared, m = spark.sparkContext.broadcast(graph), len(graph.u)
+
+    def run(parts):
+        own, bits = shared.value, None
+        for pdf in parts:
+            for lo in pdf.id.tolist():
+                if bits is None:
+                    n = len(own.ids)
+                    bits = np.zeros((n, -(-n // 64)), np.uint64)
+                    x = np.repeat(np.arange(n), np.diff(own.start))
+                    np.bitwise_or.at(bits, (x, own.to // 64), np.uint64(1) << (own.to % 64).astype(np.uint64))
+                u, v = own.u[lo : lo + part], own.v[lo : lo + part]
+                step = max(1, _CELLS // (8 * bits.shape[1]))
+                t = [np.bitwise_count(bits[u[i : i + step]] & bits[v[i : i + step]]).sum(1, dtype=np.int64) for i in range(0, len(u), step)]
+                yield pd.DataFrame({"u": own.ids[u], "v": own.ids[v], "t": np.concatenate(t)})
+
+    starts = spark.range(0, m, part, -(-m // part) or 1)
+    return starts.mapInPandas(run, "u long, v long, t long")
+
+
 def precision_trials(est: DataFrame, truth: DataFrame, keys: list[str], ks: tuple[int, ...], shares: tuple[float, ...] = tuple(i / 5 for i in range(1, 11))) -> DataFrame:
     """seed, k, kprime, tp, fp, fn, precision, recall: tie-aware (every row that reaches the true k-th value is heavy).
 

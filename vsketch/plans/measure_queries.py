@@ -257,7 +257,7 @@ def precision(s, d, vertex: bool, names=_REAL + _PRODUCTS, ks=(10, 100, 1000), h
     def run(n):
         edges = balls.shared_table(graph(s, _smallest(d) if n.startswith("kron:") else d, n), "edges")
         seeds = max(2, min(most, work // max(1, edges.count())))
-        est, true, keys = trials.edge_trials(edges, ML12, seeds, how), exact.edge_triangles(edges), ["u", "v"]
+        est, true, keys = trials.edge_trials(edges, ML12, seeds, how), trials.exact_edge_triangles(edges), ["u", "v"]
         if vertex:
             ends = F.explode(F.array("u", "v")).alias("x")
             est = est.select("seed", ends, "t_est").groupBy("seed", "x").agg((F.sum("t_est") / 2).alias("t_est"))
