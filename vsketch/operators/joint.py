@@ -57,13 +57,16 @@ def count_arrays(a: np.ndarray, b: np.ndarray, top: int) -> np.ndarray:
     """The same from dense registers: pairs x kinds x (top + 1)."""
     n, r = a.shape
     k = int(max(a.max(initial=0), b.max(initial=0))) + 1
-    code = a.astype(np.int32) * k + b + (np.arange(n, dtype=np.int32) * (k * k))[:, None]
-    both = np.bincount(code.ravel(), minlength=n * k * k).reshape(n, k, k)  # registers with A at i and B at j
-    less, equal = np.triu(np.ones((k, k)), 1), np.arange(k)
+    less, equal, rows = np.triu(np.ones((k, k)), 1), np.arange(k), max(1, (1 << 17) // r)  # rows that a core's cache holds
     out = np.zeros((n, 5, top + 1))
-    out[:, 0, :k], out[:, 3, :k] = (both * less).sum(2), (both * less).sum(1)
-    out[:, 1, :k], out[:, 2, :k] = (both * less.T).sum(2), (both * less.T).sum(1)
-    out[:, 4, :k] = both[:, equal, equal]
+    for lo in range(0, n, rows):
+        one, two = a[lo : lo + rows], b[lo : lo + rows]
+        code = one.astype(np.int64) * k + two + (np.arange(len(one)) * (k * k))[:, None]
+        both = np.bincount(code.ravel(), minlength=len(one) * k * k).reshape(len(one), k, k)  # registers with A at i and B at j
+        part = out[lo : lo + rows]
+        part[:, 0, :k], part[:, 3, :k] = (both * less).sum(2), (both * less).sum(1)
+        part[:, 1, :k], part[:, 2, :k] = (both * less.T).sum(2), (both * less.T).sum(1)
+        part[:, 4, :k] = both[:, equal, equal]
     return out
 
 
@@ -129,7 +132,7 @@ def derivatives(theta: np.ndarray, counts: np.ndarray, r: int, q: int) -> tuple[
 LOW, HIGH = -9.0, 25.0  # logs of the smallest and largest size
 
 
-def joint_ml(counts: np.ndarray, start: np.ndarray, spec: SketchSpec, rounds: int = 60, tol: float = 1e-10) -> tuple[np.ndarray, np.ndarray]:
+def joint_ml(counts: np.ndarray, start: np.ndarray, spec: SketchSpec, rounds: int = 60, tol: float = 1e-7) -> tuple[np.ndarray, np.ndarray]:
     """Sizes (A only, B only, both) that make the statistics likeliest, and their standard errors.
 
     Damped Newton over log sizes for all rows at once, with a floor on the curvature and halved steps."""
@@ -145,8 +148,8 @@ def joint_ml(counts: np.ndarray, start: np.ndarray, spec: SketchSpec, rounds: in
         grad, hess = derivatives(t, c, r, q)
         value, vector = np.linalg.eigh(-hess)
         value = np.maximum(np.abs(value), 1e-6)
-        move = np.einsum("nij,nj->ni", vector, np.einsum("nji,nj->ni", vector, grad) / value)
-        move /= np.maximum(1.0, np.abs(move).max(1, keepdims=True) / 3)  # shorter, in the same direction: still upwards
+        along = np.clip(np.einsum("nji,nj->ni", vector, grad) / value, -3, 3)  # a long step in a flat direction leaves the others
+        move = np.einsum("nij,nj->ni", vector, along)
         best = t.copy()
         step, open_ = np.ones(len(t)), np.ones(len(t), bool)
         for _ in range(12):
@@ -172,7 +175,8 @@ def joint_ml(counts: np.ndarray, start: np.ndarray, spec: SketchSpec, rounds: in
 def estimate_pairs(a: np.ndarray, b: np.ndarray, spec: SketchSpec, how: str, sizes: tuple[np.ndarray, np.ndarray] | None = None) -> dict[str, np.ndarray]:
     """inter, a_only, b_only, n_union, se for rows of dense registers; sizes: known estimates of both sets."""
     n_a, n_b = sizes if sizes is not None else (estimate_array(a, "beta"), estimate_array(b, "beta"))
-    n_u = estimate_array(np.maximum(a, b), "beta")
+    rows = max(1, (1 << 17) // spec.r)
+    n_u = np.concatenate([np.zeros(0), *(estimate_array(np.maximum(a[i : i + rows], b[i : i + rows]), "beta") for i in range(0, len(a), rows))])
     naive = n_a + n_b - n_u
     if how == "ie":
         inter = np.clip(naive, 0, np.minimum(n_a, n_b))

@@ -35,15 +35,11 @@ class LocalGraph:
     v: np.ndarray
 
     def gathered(self, rows: np.ndarray, how=np.maximum) -> np.ndarray:
-        """``how`` over the rows of each vertex's neighbours, a bounded part of the graph at a time."""
+        """``how`` over the rows of each vertex's neighbours."""
         out = np.empty((len(self.ids), rows.shape[1]), rows.dtype)
-        most = max(1, _CELLS // max(1, rows.shape[1] * rows.itemsize))
-        lo = 0
-        while lo < len(self.ids):
-            hi = max(lo + 1, int(np.searchsorted(self.start, self.start[lo] + most, "right")) - 1)
-            part = self.to[self.start[lo] : self.start[hi]]
-            out[lo:hi] = how.reduceat(rows[part], self.start[lo:hi] - self.start[lo], axis=0)
-            lo = hi
+        ends = self.start.tolist()
+        for i in range(len(self.ids)):
+            how.reduce(rows[self.to[ends[i] : ends[i + 1]]], axis=0, out=out[i])
         return out
 
 
