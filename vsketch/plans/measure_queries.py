@@ -327,7 +327,7 @@ add(
     "w09_zero_intersections", w09_zero,
     S.head("geo_tree", "pairs AS (SELECT * FROM e)", S.SIDES, S.sizes(), *S.joint_ml()) + "SELECT u, v, n_a + n_b - n_union < 0 AS below, round(greatest(0.0, n_a + n_b - n_union), 2) AS naive, round(inter, 2) AS ml FROM sized JOIN ml USING (u, v)",
 )
-_FACTORS = (("emb_sim", "emb_sim"), ("emb_sim", "event_prox60"), ("emb_sim", "conv_turn"), ("emb_sim", "geo_tree"), ("event_prox60", "conv_turn"))
+_FACTORS = (("emb_sim", "emb_sim"), ("emb_sim", "conv_turn"), ("event_prox60", "conv_turn"), ("page_link", "conv_turn"), ("geo_tree", "conv_turn"))
 
 
 def w10(s, d):
