@@ -60,16 +60,17 @@ def headline(spark: SparkSession, root: str) -> dict[str, float]:
         "edge_top100_packed_docline": timed(lambda: triangles.top_edges(triangles.edge_triangles(docline, doc, "ie_packed"), 100)),
         "vertex_top100_packed_docline": timed(lambda: triangles.top_vertices(triangles.vertex_triangles(triangles.edge_triangles(docline, doc, "ie_packed")), 100)),
         "edge_top100_ml_pruned_docline": timed(lambda: triangles.top_edges_pruned(docline, doc, 100, "ml")),
-        "exact_triangles_docline": timed(lambda: exact.global_triangles(docline)),
+        "exact_triangles_copart": timed(lambda: exact.global_triangles(copart)),
     }
 
 
 def scaling(root: str) -> dict:
     """Seconds over graphs (fixed cores) and over cores (fixed graph), with the slope against edges on logs."""
     from vsketch.functions.spec import SketchSpec
-    from vsketch.operators import balls, triangles, vst
+    from vsketch.operators import balls, packed, triangles, vst
+    from vsketch.sources.build import arcs as both_ways
 
-    p8, out = SketchSpec(p=8), {"graphs": {}, "cores": {}}
+    p8, out = SketchSpec(p=8), {"graphs": {}, "cores": {}, "passes": {}}
 
     def both(spark, name):
         edges = stored(spark, name, root)
@@ -77,9 +78,22 @@ def scaling(root: str) -> dict:
         table = vst.Vst(balls.shared_table(vst.accumulate(edges, p8).regs, "bench"), p8)
         return edges.count(), acc, timed(lambda: triangles.total(triangles.edge_triangles(edges, table, "ie_packed")))
 
+    def passes(spark, name, k=4):
+        """Seconds of each ball pass after the first, from a packed layer: sparse where it is sparse, and dense only."""
+        edges, times = stored(spark, name, root), {}
+        arcs = both_ways(edges)
+        for dense in (False, True):
+            now, own = balls.shared_table(packed.pack(balls.ball_sizes(edges, vst.accumulate(edges, p8), 1).layers[1], p8, dense), "bench"), []
+            for _ in range(2, k + 1):
+                start = time.time()
+                now = balls.shared_table(packed.ball_step_packed(now, arcs, p8, dense_only=dense), "bench")
+                own.append(round(time.time() - start, 3))
+            times["dense" if dense else "mixed"] = own
+        return times
+
     spark = session(CPUS)
     both(spark, "docline")
-    for name in ("docline", "event_prox60", "order_part", "event_prox300", "copart"):
+    for name in ("event_prox60", "order_part", "event_prox300", "docline", "copart"):
         out["graphs"][name] = both(spark, name)
     logs = [(math.log(m), math.log(acc), math.log(tri)) for m, acc, tri in out["graphs"].values()]
     mean = [sum(c) / len(logs) for c in zip(*logs, strict=True)]
@@ -90,6 +104,7 @@ def scaling(root: str) -> dict:
         spark = session(cpus)
         both(spark, "docline")
         out["cores"][cpus] = both(spark, "event_prox60")[1:]
+        out["passes"][cpus] = passes(spark, "event_prox60")
         spark.stop()
     return out
 

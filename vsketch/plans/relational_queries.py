@@ -172,13 +172,21 @@ def _sql_degree(s, d):
 add("sql_degree", _sql_degree, S.head("event_prox60") + "SELECT x, count(*) AS nz, sum(pow(2.0, -rho)) AS total FROM reg GROUP BY x")
 
 
-def _sql_joint(s, d):
-    edges, table = _vst(s, d, "event_prox60")
-    surface.register(s, edges, table)
-    return s.sql("SELECT u, v, j.inter FROM (SELECT u, v, vs_joint(a.mode, a.regs, b.mode, b.regs) AS j FROM edges JOIN vst_packed a ON a.x = u JOIN vst_packed b ON b.x = v)")
+def _by_sql(text: str):
+    """A statement over the views and functions of the sketch table of event_prox60."""
+
+    def query(s, d):
+        surface.register(s, *_vst(s, d, "event_prox60"))
+        return s.sql(text)
+
+    return query
 
 
-add("sql_joint", _sql_joint)
+_SIDES = "FROM edges JOIN vst_packed a ON a.x = u JOIN vst_packed b ON b.x = v"
+_SIZED = S.head("event_prox60", "pairs AS (SELECT * FROM e)", S.SIDES, S.sizes(), *S.joint_ml())
+add("sql_joint", _by_sql(f"SELECT u, v, round(j.inter, 2) AS inter FROM (SELECT u, v, vs_joint(a.mode, a.regs, b.mode, b.regs) AS j {_SIDES})"), _SIZED + "SELECT u, v, round(inter, 2) AS inter FROM ml")
+add("sql_estimate", _by_sql("SELECT x, round(vs_estimate(mode, regs), 6) AS d_est FROM vst_packed"), S.head("event_prox60") + S.measured("reg", name="d_est"))
+add("sql_merge", _by_sql(f"SELECT u, v, round(vs_estimate(CAST(1 AS TINYINT), vs_merge(a.mode, a.regs, b.mode, b.regs)), 6) AS n_union {_SIDES}"), _SIZED + "SELECT u, v, round(n_union, 6) AS n_union FROM sized")
 add("point_neighbourhood", lambda s, d: surface.neighbourhood(graph(s, d, "geo_tree"), 4, 2), S.head("geo_tree", "one AS (SELECT y AS z FROM arcs WHERE x = 4)", "two AS (SELECT DISTINCT a.y AS z FROM arcs a JOIN one ON a.x = one.z)") + "SELECT CAST(4 AS BIGINT) AS z, 0 AS t UNION ALL SELECT z, 1 FROM one UNION ALL SELECT z, 2 FROM two WHERE z <> 4 AND z NOT IN (SELECT z FROM one)")
 
 # streams
