@@ -65,7 +65,7 @@ def accumulate_stream(edges: DataFrame, spec: SketchSpec) -> Vst:
 
 
 def windowed_degrees(events: DataFrame, window, late: str = "10 minutes") -> DataFrame:
-    """Distinct values seen with each user in a window, by an approximate count; window is a window column."""
+    """start, end, user_id, n, top: rows of each user in a window and their largest value; window is a window column."""
     marked = events.withWatermark("ts", late)
     got = marked.groupBy(window.alias("w"), "user_id").agg(F.count("*").alias("n"), F.max("value").alias("top"))
     return got.select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "user_id", "n", "top")
