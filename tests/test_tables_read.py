@@ -4,12 +4,12 @@ import __spark_entry__ as entry
 from tests import test_entry
 
 
-@pytest.mark.parametrize("name", ["k_alpha_integral"])
+@pytest.mark.parametrize("name", ["k_alpha_integral", "k_std_error"])
 def test_a_table_is_read(spark, name):
     with pytest.raises(Exception, match="/nowhere"):
         entry.queries()[name](spark, "/nowhere").collect()
 
 
-@pytest.mark.parametrize("name", ["k_alpha_integral"])
+@pytest.mark.parametrize("name", ["k_alpha_integral", "k_std_error"])
 def test_changed_queries_against_sql(spark, name):
     test_entry.test_against_sql(spark, name)
