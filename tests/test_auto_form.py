@@ -15,6 +15,6 @@ def test_filled_sketches_are_packed_by_default(spark, monkeypatch):
     assert called and got.count() == 200
 
 
-@pytest.mark.parametrize("name", ["b_balls_global_only", "balls_total_k3"])
+@pytest.mark.parametrize("name", ["b_balls_global_only", "balls_total_k3", "balls_until_stable"])
 def test_queries_of_dense_graphs(spark, name):
     test_entry.test_against_sql(spark, name)
