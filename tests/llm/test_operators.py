@@ -185,6 +185,23 @@ def test_words_beyond_the_head_get_the_class_of_their_contexts(make):
         assert got[10_000] > got[10_001] + 1
 
 
+def test_language_model_in_small_batches_and_without_lists(spark, make):
+    """Words and texts that span batches give the same scores, and nothing is collected into lists."""
+    rng = random.Random(13)
+    docs = make([(i, " ".join(rng.choice("abcdefgh") + rng.choice(("x", "", "yy", "zzz")) for _ in range(rng.randint(0, 40)))) for i in range(90)])
+    how = dict(classes=5, words=6, groups=3, table_words=9)
+    score = lambda: sorted((r["doc_id"], r["n_known"], round(r["base_score"], 8), round(r["score"], 8)) for r in classlm.score(docs, **how).collect())
+    want, key = score(), "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before, lists = spark.conf.get(key), F.collect_list
+    try:
+        spark.conf.set(key, "2")
+        F.collect_list = None
+        assert score() == want
+    finally:
+        spark.conf.set(key, before)
+        F.collect_list = lists
+
+
 def test_exchange_ends_where_no_unit_moves():
     rng = np.random.default_rng(5)
     pairs = rng.poisson(rng.gamma(0.3, 4, (60, 60))).astype(float)

@@ -17,10 +17,11 @@ from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, column, table, texts
+from .common import arrow_map, column, table, texts, tidy
 
 END_WORD = ""  # no word is empty
 WORD_BYTES = 64  # longer words are never in the broadcast table but joined by word, with the same counts and classes
@@ -68,7 +69,7 @@ class Units:
         rest = [words[i] for i in np.flatnonzero(at < 0).tolist()]
         unit = self.unit_of[at] if len(self.unit_of) else np.zeros(len(words), np.int64)
         if rest:
-            unit[at < 0] = np.fromiter(map(self.spelled, rest), np.int64, len(rest))
+            unit[at < 0] = 1 + self.words + np.fromiter((crc32(w[-3:]) for w in rest), np.int64, len(rest)) % self.groups
         return at, unit, rest
 
 
@@ -77,39 +78,44 @@ END = np.iinfo(np.int32).min
 
 def encode(docs: DataFrame, units) -> DataFrame:
     """row, doc_id, train, ids, rest for each row of docs: the place of each word in the table, or -1 - g for a word
-    of spelling group g that is not there; these words stand in rest, in order.  row is unique."""
+    of spelling group g that is not there; these words stand in rest, in order.  row is unique.  ids are packed, four
+    bytes each, so that they are copied and not read one by one wherever a row passes."""
 
     def make():
         own = units.value
 
         def step(batch):
-            ids, ends, rest, rest_ends = [], [0], [], [0]
+            words, ends = [], [0]
             for text in texts(batch):
-                at, unit, more = own.read(tokens(text))
-                ids.append(np.where(at < 0, own.words - unit, at).astype(np.int32))
-                ends.append(ends[-1] + len(at))
-                rest += more
-                rest_ends.append(len(rest))
-            flat = pa.array(np.concatenate(ids) if ids else np.zeros(0, np.int32))
+                words += tokens(text)
+                ends.append(len(words))
+            at, unit, rest = own.read(words)
+            ids = np.where(at < 0, own.words - unit, at).astype(np.int32)
+            ends = np.array(ends)
+            rest_ends = np.r_[0, np.cumsum(at < 0)][ends].astype(np.int32)
+            packed = pa.Array.from_buffers(pa.binary(), len(ends) - 1, [None, pa.py_buffer((4 * ends).astype(np.int32)), pa.py_buffer(ids)])
             return {
-                "row": column(batch, "row"), "doc_id": column(batch, "doc_id"), "train": column(batch, "train"), "ids": pa.ListArray.from_arrays(pa.array(ends, pa.int32()), flat),
-                "rest": pa.ListArray.from_arrays(pa.array(rest_ends, pa.int32()), pa.array(rest, pa.binary()).cast(pa.string())),
+                "row": column(batch, "row"), "doc_id": column(batch, "doc_id"), "train": column(batch, "train"), "ids": packed,
+                "rest": pa.ListArray.from_arrays(pa.array(rest_ends), pa.array(rest, pa.binary()).cast(pa.string())),
             }
 
         return step
 
     rows = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", (~held_out(F.col("doc_id"))).alias("train"))
-    return table(arrow_map(rows, make, "row long, doc_id long, train boolean, ids array<int>, rest array<string>", slice_by="text"), "lm-ids")
+    return table(arrow_map(rows, make, "row long, doc_id long, train boolean, ids binary, rest array<string>", slice_by="text"), "lm-ids")
 
 
 def chain(batch) -> tuple[np.ndarray, np.ndarray]:
     """Ids of the batch's texts in one row, END before, between and after them, and the index of each text's END."""
     ids = column(batch, "ids")
-    ends = np.cumsum(np.diff(np.asarray(ids.offsets)) + 1)
+    _, offsets, data = ids.buffers()
+    own = np.frombuffer(offsets, np.int32)[ids.offset : ids.offset + len(ids) + 1]
+    data = np.frombuffer(data or b"", np.uint8)[own[0] : own[-1]].view(np.int32)
+    ends = np.cumsum(np.diff(own) // 4 + 1)
     flat = np.full(ends[-1] + 1, END, np.int64)
     inside = np.ones(len(flat), bool)
     inside[0] = inside[ends] = False
-    flat[inside] = np.asarray(ids.flatten())
+    flat[inside] = data
     return flat, ends
 
 
@@ -145,7 +151,8 @@ def pair_counts(encoded: DataFrame, model) -> DataFrame:
 
 def contexts(encoded: DataFrame, model, head: int) -> tuple[DataFrame, DataFrame]:
     """(word, near) of the table's words after the first ``head``, by place, and of all words beyond the table:
-    how often each class stands before the word (key = class) and after it (key = classes + class)."""
+    how often each class stands before the word (key = class) and after it (key = classes + class), count * 2 * classes + key.
+    A word has a row for each batch that holds it."""
 
     size = 2 * model.value[0]
 
@@ -182,19 +189,67 @@ def contexts(encoded: DataFrame, model, head: int) -> tuple[DataFrame, DataFrame
         return step
 
     def near(make, kind, *cols):
-        rows = arrow_map(encoded.select(*cols), make, f"word {kind}, near array<long>").repartition("word").select("word", F.explode("near").alias("code"))
-        rows = rows.select("word", F.pmod("code", F.lit(size)).cast("int").alias("key"), F.expr(f"code div {size}").alias("n"))
-        return rows.groupBy("word", "key").agg(F.sum("n").alias("n")).groupBy("word").agg(F.collect_list(F.struct("key", "n")).alias("near"))
+        return arrow_map(encoded.select(*cols), make, f"word {kind}, near array<long>")
 
     return near(of_table, "long", "ids"), near(beyond, "string", "ids", "rest")
 
 
-def likeliest(near: pa.Array, gain: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def by_key(frame: DataFrame, key: str, run, schema: str) -> DataFrame:
+    """run over the batches of a task, where rows of a key stand together.  A sort moves rows as they are, where
+    collected lists would be built, and sorted, value by value."""
+    return frame.repartition(key).sortWithinPartitions(key).mapInArrow(tidy(run), schema)
+
+
+def run_starts(key: pa.Array) -> np.ndarray:
+    """Where runs of equal values start."""
+    return np.r_[0, 1 + np.flatnonzero(np.asarray(pc.not_equal(key.slice(1), key.slice(0, len(key) - 1))))].astype(np.int64)
+
+
+def summed(batches, classes: int):
+    """Words and their contexts as a row of counts (before: classes, after: classes), from batches in order of words."""
+    last, over = None, None
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        word, near = column(batch, "word"), column(batch, "near")
+        starts = run_starts(word)
+        code = np.asarray(near.flatten())
+        of = np.repeat(np.searchsorted(starts, np.arange(len(word)), "right") - 1, np.diff(np.asarray(near.offsets)))
+        held = np.bincount(of * (2 * classes) + code % (2 * classes), code // (2 * classes), len(starts) * 2 * classes).reshape(-1, 2 * classes)
+        words = word.take(pa.array(starts))
+        if last is not None and last[0].equals(words[0]):
+            held[0] += over[0]
+        elif last is not None:
+            yield last, over
+        if len(words) > 1:
+            yield words.slice(0, len(words) - 1), held[:-1]
+        last, over = words.slice(len(words) - 1), held[-1:]
+    if last is not None:
+        yield last, over
+
+
+def whole(batches, key: str):
+    """The same rows, from batches in order of the key, with all rows of a key in one batch."""
+    held = []
+    join = lambda parts: pa.Table.from_batches(parts).combine_chunks().to_batches()[0]
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        if held and not column(held[0], key)[0].equals(column(batch, key)[0]):
+            yield join(held)
+            held = []
+        last = int(run_starts(column(batch, key))[-1])
+        if last:
+            yield join([*held, batch.slice(0, last)])
+            held = []
+        held.append(batch.slice(last))
+    if held:
+        yield join(held)
+
+
+def likeliest(held: np.ndarray, gain: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Count of each word and the class of the highest likelihood of what stands around it; class 0 is the end's."""
     classes = len(gain)
-    flat = near.flatten()
-    held = np.zeros((len(near), 2 * classes))
-    np.add.at(held, (np.repeat(np.arange(len(near)), np.diff(np.asarray(near.offsets))), np.asarray(flat.field("key"))), np.asarray(flat.field("n")))
     value = held[:, :classes] @ gain + held[:, classes:] @ gain.T
     return held[:, :classes].sum(1).astype(np.int64), 1 + value[:, 1:].argmax(1)
 
@@ -283,12 +338,10 @@ def rare_links(encoded: DataFrame, rare: DataFrame, model, norm: float) -> DataF
 
         return step
 
-    def link():
-        def step(batch):
-            marks = column(batch, "marks")
-            flat = marks.flatten()
-            mark, own, n = (np.asarray(flat.field(k)).astype(np.int64) for k in ("mark", "class", "n"))
-            text = np.repeat(np.arange(len(marks)), np.diff(np.asarray(marks.offsets)))
+    def link(batches):
+        for batch in whole(batches, "doc"):
+            docs, mark, own, n = (np.asarray(column(batch, k)).astype(np.int64) for k in ("doc", "mark", "class", "n"))
+            doc, text = np.unique(docs, return_inverse=True)
             order = np.lexsort((mark, text))
             text, mark, own, n = text[order], mark[order], own[order], n[order]
             own = np.where(own < 0, mark // base**2 % base, own)  # not in training
@@ -296,17 +349,15 @@ def rare_links(encoded: DataFrame, rare: DataFrame, model, norm: float) -> DataF
             before = np.where(before < 0, np.r_[0, own[:-1]], before)  # the word before is also beyond the table
             out = after >= 0
             key, of = np.r_[before * (base - 1) + own, (own * (base - 1) + after)[out]], np.r_[text, text[out]]
-            ends = np.r_[0, np.cumsum(np.bincount(of, minlength=len(marks)))].astype(np.int32)
+            ends = np.r_[0, np.cumsum(np.bincount(of, minlength=len(doc)))].astype(np.int32)
             keys = pa.ListArray.from_arrays(pa.array(ends), pa.array(key[np.argsort(of, kind="stable")].astype(np.int32)))
-            doc = np.asarray(column(batch, "doc"))
-            rest = np.bincount(text, np.log10((n + 0.5) / norm), len(marks))
-            return {"row": pa.array(doc // 2), "train": pa.array(doc % 2 == 1), "keys": keys, "rest": pa.array(rest), "rest_known": pa.array(np.bincount(text[n > 0], minlength=len(marks)))}
-
-        return step
+            rest = np.bincount(text, np.log10((n + 0.5) / norm), len(doc))
+            rows = [pa.array(doc // 2), pa.array(doc % 2 == 1), keys, pa.array(rest), pa.array(np.bincount(text[n > 0], minlength=len(doc)))]
+            yield pa.RecordBatch.from_arrays(rows, names=["row", "train", "keys", "rest", "rest_known"])
 
     rows = arrow_map(encoded.select("row", "train", "ids", "rest"), make, "doc long, word string, mark long")
-    rows = rows.join(rare, "word", "left").select("doc", F.struct("mark", F.coalesce("class", F.lit(-1)).alias("class"), F.coalesce("n", F.lit(0)).alias("n")).alias("mark"))
-    return arrow_map(rows.repartition("doc").groupBy("doc").agg(F.collect_list("mark").alias("marks")), link, "row long, train boolean, keys array<int>, rest double, rest_known long")
+    rows = rows.join(rare, "word", "left").select("doc", "mark", F.coalesce("class", F.lit(-1)).alias("class"), F.coalesce("n", F.lit(0)).alias("n"))
+    return by_key(rows, "doc", link, "row long, train boolean, keys array<int>, rest double, rest_known long")
 
 
 @dataclass
@@ -360,24 +411,20 @@ def fit(docs: DataFrame, classes: int = 48, words: int = 1500, groups: int = 300
     shared = spark.sparkContext.broadcast((gain, units.groups, of_group))
 
     def choose(beyond: bool):
-        def make():
+        def run(batches):
             gain, groups, of_group = shared.value
-
-            def step(batch):
-                n, best = likeliest(column(batch, "near"), gain)
-                word = column(batch, "word")
+            for word, held in summed(batches, len(gain)):
+                n, best = likeliest(held, gain)
                 if beyond:  # in the table a word's count is known beforehand
                     once = np.flatnonzero(n == 1)
                     best[once] = [of_group[crc32(w[-3:]) % groups] for w in word.take(pa.array(once)).cast(pa.binary()).to_pylist()]
-                return {"word": word, "n": pa.array(n), "class": pa.array(best.astype(np.int32))}
-
-            return step
+                yield pa.RecordBatch.from_arrays([word, pa.array(n), pa.array(best.astype(np.int32))], names=["word", "n", "class"])
 
-        return make
+        return run
 
-    chosen = arrow_map(near_table, choose(False), "word long, n long, class int").filter("n > 1").select("word", "class").toArrow()  # at most table_words
+    chosen = by_key(near_table, "word", choose(False), "word long, n long, class int").filter("n > 1").select("word", "class").toArrow()  # at most table_words
     of_table[np.asarray(chosen.column("word"))] = np.asarray(chosen.column("class"))
-    rare = table(arrow_map(near_rest, choose(True), "word string, n long, class int"), "lm-rare")
+    rare = table(by_key(near_rest, "word", choose(True), "word string, n long, class int"), "lm-rare")
 
     mass = np.bincount(of_table, n_known + 0.5, classes).astype(np.float64)
     mass[0] += n_end + 0.5
