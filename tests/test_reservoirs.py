@@ -39,7 +39,7 @@ def test_a_reservoir_that_holds_all_counts_all(spark):
     assert [r["t_est"] for r in reservoirs.triangles(edges.filter("u > v"), 100, 2).collect()] == [0.0, 0.0]
 
 
-@pytest.mark.parametrize("name", ["b_reservoir_improved", "b_reservoir_parallel"])
+@pytest.mark.parametrize("name", ["b_reservoir_improved", "b_reservoir_parallel", "b_reservoir_grouped"])
 def test_queries_make_no_rows_for_each_edge_and_trial(spark, monkeypatch, name):
     from vsketch.operators import baselines, exact
 
