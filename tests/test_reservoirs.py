@@ -46,3 +46,29 @@ def test_queries_make_no_rows_for_each_edge_and_trial(spark, monkeypatch, name):
     for module, fn in ((baselines, "reservoir_triangles"), (exact, "global_triangles")):
         monkeypatch.setattr(module, fn, None)
     test_entry.test_against_sql(spark, name)
+
+
+@pytest.mark.parametrize("size, slack", [(60, 2.0), (60, 0.01), (1000, 2.0)])
+def test_deletions_at_the_end_leave_gaps(spark, size, slack):
+    """The sample is what is left of the edges of lowest priority."""
+    draw = random.Random(9)
+    pairs = sorted({tuple(sorted(draw.sample(range(30), 2))) for _ in range(300)})
+    edges = spark.createDataFrame(pairs, "u long, v long").withColumn("deleted", F.expr("u % 5 = 0")).repartition(4).cache()
+    live = sum(u % 5 > 0 for u, _ in pairs)
+    got = {r["trial"]: r["t_est"] for r in reservoirs.dynamic_triangles(edges, size, 3, 1, slack).collect()}
+    rows = edges.withColumn("trial", F.explode(F.array(F.lit(0), F.lit(1), F.lit(2)))).withColumn("prio", reservoirs._even(F.lit(1), "trial", "u", "v")).collect()
+    for trial in range(3):
+        held = sorted((r for r in rows if r["trial"] == trial), key=lambda r: r["prio"])[:size]
+        left = {(r["u"], r["v"]) for r in held if not r["deleted"]}
+        t = sum((a, c) in left and (b, c) in left for a, b in left for c in range(b + 1, 30))
+        s = len(left)
+        assert t > 0 and got[trial] == pytest.approx(t * (live * (live - 1) * (live - 2) / (s * (s - 1) * (s - 2)) if live > s else 1.0))
+    assert [r["t_est"] for r in reservoirs.dynamic_triangles(edges.filter("u > v"), 60, 2).collect()] == [0.0, 0.0]
+
+
+def test_dynamic_lists_no_wedges_of_all_edges(spark, monkeypatch):
+    from vsketch.operators import baselines, exact
+
+    for module, fn in ((baselines, "reservoir_triangles"), (exact, "global_triangles")):
+        monkeypatch.setattr(module, fn, None)
+    test_entry.test_against_sql(spark, "b_reservoir_dynamic")
