@@ -45,3 +45,12 @@ def test_a_crowded_minute_makes_no_edges(spark):
 @pytest.mark.parametrize("name", ["balls_total_k3", "balls_until_stable", "balls_auto_k3", "balls_as_printed_k2", "b_balls_bitmap"])
 def test_queries_against_sql(spark, name):
     test_entry.test_against_sql(spark, name)
+
+
+def test_global_balls_make_no_edges(spark, monkeypatch):
+    from tests import test_entry
+    from vsketch.plans import measure_queries
+
+    for fn in ("graph", "_vst"):
+        monkeypatch.setattr(measure_queries, fn, None)
+    test_entry.test_against_sql(spark, "b_balls_global_only")
