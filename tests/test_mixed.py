@@ -39,3 +39,15 @@ def test_wedges_make_no_edges(spark, monkeypatch):
     for module, fn in ((classes, "edges"), (mixed.Mixed, "edges"), (baselines, "wedge_triangles")):
         monkeypatch.setattr(module, fn, None)
     test_entry.test_against_sql(spark, "b_wedges")
+
+
+@pytest.mark.parametrize("name", ["b_reservoir_improved"])
+def test_reservoirs_join_no_edges(spark, monkeypatch, name):
+    """Closed wedges and the exact total come from types; edges are only read in place, twice."""
+    read = []
+    real = mixed.Mixed.edges
+    monkeypatch.setattr(mixed.Mixed, "edges", lambda held: read.append(1) or real(held))
+    for module, fn in ((classes, "edges"), (classes, "global_triangles")):
+        monkeypatch.setattr(module, fn, None)
+    test_entry.test_against_sql(spark, name)
+    assert len(read) == 1
