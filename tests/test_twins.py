@@ -1,6 +1,7 @@
 import datetime
 import random
 
+import pytest
 from pyspark.sql import functions as F
 
 from tests import test_entry
@@ -33,3 +34,16 @@ def test_built_in_balls_make_no_edges_of_twins(spark, monkeypatch):
     monkeypatch.setattr(trials, "exact_balls", None)
     monkeypatch.setattr(graph_queries.balls, "ball_sizes_builtin", None)
     test_entry.test_against_sql(spark, "balls_builtin_hll")
+
+
+@pytest.mark.parametrize("most", [4096, 1])
+def test_triangles_of_edges_by_twins(spark, most):
+    edges = proximity(seen(spark), "ts", "who", 60).cache()
+    got = twins.edge_triangles(*twins.twins(seen(spark), "ts", "who", 60), most).cache()
+    want = exact.edge_triangles(edges)
+    assert got.count() == edges.count() and not got.exceptAll(want).count()
+
+
+def test_array_triangles_make_no_edges_of_twins(spark, monkeypatch):
+    monkeypatch.setattr(exact, "edge_triangles", None)
+    test_entry.test_against_sql(spark, "arr_adjacency_intersect")
